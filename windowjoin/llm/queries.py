@@ -6,8 +6,9 @@ from collections.abc import Callable
 from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from windowjoin.llm import common, packing, token_files
+from windowjoin.llm import bpe, common, edit_counts, gif_media, packing, token_files
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -23,6 +24,27 @@ def op3_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files.token_file_table(common.read_documents(spark, sf_dir), vocabulary("word_bpe_49k.json"), end_id=1)
 
 
+def op4_bpe_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return bpe.round_trip_digests(common.read_documents(spark, sf_dir), vocabulary("byte_bpe_50k.json"))
+
+
+def op5_gif_media(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return gif_media.features(gif_media.media_table(common.read_documents(spark, sf_dir)))
+
+
+def three_edits(trees: DataFrame) -> DataFrame:
+    """An insertion, a deletion and a replacement at places that follow from id and length."""
+    n = F.length("text").cast("long")
+    place = [F.pmod(F.xxhash64("doc_id", F.lit(k)), n + 1) for k in range(3)]
+    edit = lambda at, more, new: F.struct(at.alias("start"), (at + more).alias("stop"), F.lit(new).alias("new"))
+    return trees.withColumn("edits", F.array(edit(place[0], F.lit(0), " an inserted remark, 2024;"), edit(place[1], F.lit(40), ""), edit(place[2], F.lit(12), "rewritten")))
+
+
+def op10_edit_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    definition = vocabulary("byte_bpe_50k.json")
+    return edit_counts.apply_edits(three_edits(edit_counts.build(common.read_documents(spark, sf_dir), definition)), definition)
+
+
 def op9_harmonic_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(common.read_documents(spark, sf_dir), vocabulary("word_bpe_49k.json"), capacity=2048, end_id=1)
 
@@ -30,6 +52,9 @@ def op9_harmonic_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 def queries() -> dict[str, Query]:
     return {
         "op3_token_files": op3_token_files,
+        "op4_bpe_round_trip": op4_bpe_round_trip,
+        "op5_gif_media": op5_gif_media,
+        "op10_edit_counts": op10_edit_counts,
         "op9_harmonic_packing": op9_harmonic_packing,
     }
 

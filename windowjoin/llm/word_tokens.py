@@ -12,22 +12,26 @@ from __future__ import annotations
 
 import json
 import os
+import re
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-from windowjoin.llm.common import cut, offsets, ranges
+from windowjoin.llm.common import cut, offsets
 
 os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
 
+# Fixed value: the public pattern of this kind of vocabulary, for lower-case printable ASCII.
+ASCII_PIECES = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-z]+|[0-9]|[^a-z0-9]+")
+
 _OPEN: dict[int, "ChunkTokenizer"] = {}
 
 
 class ChunkTokenizer:
     """``encode(texts)`` gives the flat ids and each text's number of ids."""
 
-    def __init__(self, definition: str, most_chunks: int = 1_000_000):
+    def __init__(self, definition: str, most_chunks: int = 1_200_000):
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_str(definition)
@@ -35,6 +39,12 @@ class ChunkTokenizer:
         self.library.no_padding()
         parts = json.loads(definition)
         self.special = [t["content"] for t in parts["added_tokens"]]
+        self.marks = {s[0] for s in self.special}
+        model = parts["model"]
+        suffix = model.get("end_of_word_suffix") or ""
+        self.ends = np.zeros(1 + max([*model["vocab"].values(), *(t["id"] for t in parts["added_tokens"])]), bool)
+        if suffix:
+            self.ends[[i for t, i in model["vocab"].items() if t.endswith(suffix)]] = True
         self.lower = '"Lowercase"' in json.dumps(parts["normalizer"])
         self.most = most_chunks
         self._clear()
@@ -42,15 +52,39 @@ class ChunkTokenizer:
     def _clear(self) -> None:
         self.known: dict[str, int] = {}
         self.flat = np.zeros(1 << 16, np.uint32)
-        self.start = np.zeros(1 << 14, np.int64)
-        self.size = np.zeros(1 << 14, np.int64)
+        self.start = np.zeros(1 << 14, np.int32)
+        self.size = np.zeros(1 << 14, np.int32)
         self.used = 0
 
+    def _ids(self, chunks: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Flat ids of the chunks, and each chunk's number of ids.
+
+        Every piece ends with an end-of-word token, so printable ASCII chunks, whose
+        pieces can be counted here, go to the library many to a text and are told
+        apart by these tokens; any other chunk is a text of its own.
+        """
+        joined = [c for c in chunks if c.isascii() and c.isprintable() and c] if self.ends.any() else []
+        others = [c for c in chunks if not (c.isascii() and c.isprintable() and c)] if joined else chunks
+        if joined:
+            pieces = np.fromiter((len(ASCII_PIECES.findall(c.lower())) for c in joined), np.int64, len(joined))
+            lines = [" ".join(joined[i : i + 200]) for i in range(0, len(joined), 200)]
+            flat = np.fromiter((i for e in self.library.encode_batch_fast(lines, add_special_tokens=False) for i in e.ids), np.uint32)
+            at = np.concatenate(([0], np.flatnonzero(self.ends[flat]) + 1))
+            if len(at) - 1 == pieces.sum():
+                bounds = at[np.concatenate(([0], np.cumsum(pieces)))]
+            else:  # not a vocabulary of that kind
+                joined, others = [], chunks
+        alone = [e.ids for e in self.library.encode_batch_fast(others, add_special_tokens=False)] if others else []
+        rest = np.fromiter((i for x in alone for i in x), np.uint32)
+        rest_sizes = np.fromiter(map(len, alone), np.int64, len(alone))
+        if not joined:
+            return rest, rest_sizes
+        self.order = joined + others
+        return np.concatenate((flat, rest)), np.concatenate((np.diff(bounds), rest_sizes))
+
     def _add(self, chunks: list[str]) -> None:
-        found = self.library.encode_batch_fast(chunks, add_special_tokens=False)
-        ids = [e.ids for e in found]
-        sizes = np.fromiter(map(len, ids), np.int64, len(ids))
-        new = np.fromiter((i for x in ids for i in x), np.uint32, int(sizes.sum()))
+        self.order = chunks
+        new, sizes = self._ids(chunks)
         n, total = len(self.known), len(self.known) + len(chunks)
         while total > len(self.start):
             self.start, self.size = np.resize(self.start, 2 * len(self.start)), np.resize(self.size, 2 * len(self.size))
@@ -60,11 +94,12 @@ class ChunkTokenizer:
         self.start[n:total] = self.used + np.cumsum(sizes) - sizes
         self.size[n:total] = sizes
         self.used += len(new)
-        self.known.update(zip(chunks, range(n, total), strict=True))
+        self.known.update(zip(self.order, range(n, total), strict=True))
 
     def _slots(self, chunks: list[str]) -> np.ndarray:
         if self.lower:
-            chunks = [c.lower() if c.isascii() else c for c in chunks]
+            marks = self.marks  # a chunk that could turn into a special token's string stays as it is
+            chunks = [c.lower() if c.isascii() and marks.isdisjoint(c) else c for c in chunks]
         if len(self.known) + len(chunks) > self.most:
             self._clear()
         known = self.known
@@ -85,8 +120,12 @@ class ChunkTokenizer:
         coded = words.dictionary_encode()
         slots = self._slots(coded.dictionary.to_pylist())[coded.indices.to_numpy()]
         sizes = self.size[slots]
-        ids = self.flat[ranges(self.start[slots], sizes)]
-        ends = np.concatenate(([0], np.cumsum(sizes)))[np.concatenate(([0], np.cumsum(per)))]
+        total = np.cumsum(sizes, dtype=np.int64)
+        # a slice holds less than 2**31 ids, so places fit 32 bits
+        where = np.repeat(self.start[slots] - (total - sizes).astype(np.int32), sizes)
+        where += np.arange(len(where), dtype=np.int32)
+        ids = self.flat[where]
+        ends = np.concatenate(([0], total))[np.concatenate(([0], np.cumsum(per)))]
         counts = np.diff(ends)
         if whole.any():
             rows = np.flatnonzero(whole)
@@ -118,6 +157,6 @@ def encoded(batches, definition: str, end_id: int, key: str = "doc_id"):
     """(keys, flat ids, counts with the end id) of each bounded slice of the batches."""
     tok = opened(definition)
     for batch in batches:
-        for part in cut(batch):
+        for part in cut(batch, most=4 << 20):
             ids, counts = tok.encode(part.column("text"))
             yield part.column(key), *with_end(ids, counts, end_id)

@@ -8,7 +8,7 @@ from pathlib import Path
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from windowjoin.llm import bpe, common, edit_counts, gif_media, packing, token_files
+from windowjoin.llm import bpe, common, edit_counts, gif_media, packing, quality, simhash, token_files
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -45,6 +45,14 @@ def op10_edit_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return edit_counts.apply_edits(three_edits(edit_counts.build(common.read_documents(spark, sf_dir), definition)), definition)
 
 
+def op6_quality_discriminant(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.classify(common.read_documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
+def op7_simhash_components(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return simhash.digest(simhash.near_duplicates(common.read_documents(spark, sf_dir), width=4, most=4))
+
+
 def op9_harmonic_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(common.read_documents(spark, sf_dir), vocabulary("word_bpe_49k.json"), capacity=2048, end_id=1)
 
@@ -55,6 +63,8 @@ def queries() -> dict[str, Query]:
         "op4_bpe_round_trip": op4_bpe_round_trip,
         "op5_gif_media": op5_gif_media,
         "op10_edit_counts": op10_edit_counts,
+        "op6_quality_discriminant": op6_quality_discriminant,
+        "op7_simhash_components": op7_simhash_components,
         "op9_harmonic_packing": op9_harmonic_packing,
     }
 

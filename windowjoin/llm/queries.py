@@ -8,7 +8,7 @@ from pathlib import Path
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from windowjoin.llm import bpe, common, edit_counts, gif_media, packing, quality, simhash, token_files
+from windowjoin.llm import bpe, common, edit_counts, gif_media, multiset_hash, packing, quality, simhash, token_files
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -20,6 +20,10 @@ def vocabulary(name: str) -> str:
     return Path(public_tokenizers.path(name)).read_text(encoding="utf-8")
 
 
+def op2_multiset_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return multiset_hash.edited_pairs(common.read_documents(spark, sf_dir))
+
+
 def op3_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files.token_file_table(common.read_documents(spark, sf_dir), vocabulary("word_bpe_49k.json"), end_id=1)
 
@@ -59,6 +63,7 @@ def op9_harmonic_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def queries() -> dict[str, Query]:
     return {
+        "op2_multiset_fingerprints": op2_multiset_fingerprints,
         "op3_token_files": op3_token_files,
         "op4_bpe_round_trip": op4_bpe_round_trip,
         "op5_gif_media": op5_gif_media,

@@ -8,7 +8,7 @@ from pathlib import Path
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from windowjoin.llm import bpe, common, edit_counts, gif_media, multiset_hash, packing, quality, simhash, token_files
+from windowjoin.llm import bpe, common, edit_counts, gif_media, multiset_hash, packing, quality, simhash, suffix_dedup, token_files
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -57,6 +57,10 @@ def op7_simhash_components(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.digest(simhash.near_duplicates(common.read_documents(spark, sf_dir), width=4, most=4))
 
 
+def op8_suffix_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.repeat_digests(common.read_documents(spark, sf_dir), span=400)
+
+
 def op9_harmonic_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(common.read_documents(spark, sf_dir), vocabulary("word_bpe_49k.json"), capacity=2048, end_id=1)
 
@@ -70,6 +74,7 @@ def queries() -> dict[str, Query]:
         "op10_edit_counts": op10_edit_counts,
         "op6_quality_discriminant": op6_quality_discriminant,
         "op7_simhash_components": op7_simhash_components,
+        "op8_suffix_repeats": op8_suffix_repeats,
         "op9_harmonic_packing": op9_harmonic_packing,
     }
 

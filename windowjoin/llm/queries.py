@@ -8,7 +8,7 @@ from pathlib import Path
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from windowjoin.llm import bpe, common, edit_counts, gif_media, multiset_hash, packing, quality, simhash, suffix_dedup, token_files
+from windowjoin.llm import bpe, common, edit_counts, gif_media, multiset_hash, packing, quality, simhash, suffix_dedup, token_files, url_templates
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -20,6 +20,19 @@ def vocabulary(name: str) -> str:
     return Path(public_tokenizers.path(name)).read_text(encoding="utf-8")
 
 
+URL_RULES = [("org", "/", "allow"), ("example.org", "/es/", "block"), ("example.org", "/en/1", "block"), ("com", "/fr/", "allow"), ("com", "/de/", "block")]
+
+
+def op1_url_templates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return url_templates.judge(spark.read.parquet(f"{sf_dir}/pages.parquet"), URL_RULES)
+
+
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def op2_multiset_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return multiset_hash.edited_pairs(common.read_documents(spark, sf_dir))
 
@@ -67,6 +80,8 @@ def op9_harmonic_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def queries() -> dict[str, Query]:
     return {
+        "pipeline": pipeline,
+        "op1_url_templates": op1_url_templates,
         "op2_multiset_fingerprints": op2_multiset_fingerprints,
         "op3_token_files": op3_token_files,
         "op4_bpe_round_trip": op4_bpe_round_trip,

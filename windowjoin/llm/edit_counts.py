@@ -86,47 +86,60 @@ class SegmentTree:
         self._build(old_chars[:first] + chars + old_chars[stop:], old_tokens[:first] + tokens + old_tokens[stop:])
 
 
-def leaves_of(model: bpe.NumpyBPE, words: list[str]) -> tuple[list[int], list[int]]:
-    """Characters and tokens of each leaf of ``LEAF`` words."""
+def leaves_of(words: list[str], counts: np.ndarray) -> tuple[list[int], list[int]]:
+    """Characters and tokens of each leaf of ``LEAF`` words with these token counts."""
     if not words:
         return [], []
     at = np.arange(0, len(words), LEAF)
     chars = np.add.reduceat(np.fromiter(map(len, words), np.int64, len(words)), at)
-    return chars.tolist(), np.add.reduceat(model.count_words(words), at).tolist()
+    return chars.tolist(), np.add.reduceat(counts, at).tolist()
+
+
+def counted(model: bpe.NumpyBPE, lists: list[list[str]]) -> list[np.ndarray]:
+    """Token counts of many lists of words, looked up and merged together."""
+    counts = model.count_words([w for x in lists for w in x])
+    return np.split(counts, np.cumsum([len(x) for x in lists])[:-1]) if lists else []
 
 
 class EditedText:
-    """A text, its tree, and the number of characters encoded since it was built."""
+    """A text, its tree, and the number of characters encoded since it was built.
+
+    ``cut_out`` changes the text and gives the words to encode, ``put_back`` takes their
+    counts; so the words of many documents' edits are encoded together.
+    """
 
     def __init__(self, model: bpe.NumpyBPE, text: str, chars: list[int], tokens: list[int]):
         self.model, self.text, self.encoded = model, text, 0
         self.tree = SegmentTree(chars, tokens)
+        self.special = self._special()
 
     def _special(self) -> bool:
         return any(s in self.text for s in self.model.special)
 
-    def edit(self, start: int, stop: int, new: str) -> None:
+    def cut_out(self, start: int, stop: int, new: str) -> list[str]:
         tree = self.tree
         start = min(max(start, 0), len(self.text))
         stop = min(max(stop, start), len(self.text))
-        had = self._special()
-        old, self.text = self.text, self.text[:start] + new + self.text[stop:]
-        if had or self._special() or not old:
+        had, old = self.special, self.text
+        self.text = old[:start] + new + old[stop:]
+        self.special = self._special()
+        if had or self.special or not old:
             self.encoded += len(self.text)
-            self.tree = SegmentTree(*leaves_of(self.model, self.model.split(self.text)))
-            return
+            self.place, self.words = None, self.model.split(self.text)
+            return self.words
         shift = len(new) - (stop - start)
         first, begin = tree.find(max(0, start - CONTEXT))
-        last, before = tree.find(max(stop, 0))
+        last, before = tree.find(stop)
         chars, _ = tree.leaves()
         end = before + chars[last]
         words: list[str] = []
+        match, text = self.model.pattern.match, self.text
         at = begin  # new words are known up to here, in the edited text
         while True:
             # the pattern looks a few characters ahead: match inside the whole text, stop at the boundary
             to = end + shift
             while at < to:
-                found = self.model.pattern.match(self.text, at)
+                found = match(text, at)
                 words.append(found.group())
                 at = found.end()
             if at == to or last + 1 >= tree.n:
@@ -135,25 +148,18 @@ class EditedText:
                 last += 1
                 end += chars[last]
         self.encoded += at - begin
-        tree.replace(first, last + 1, *leaves_of(self.model, words))
-
+        self.place, self.words = (first, last + 1), words
+        return words
 
-def build(docs: DataFrame, definition: str) -> DataFrame:
-    """(doc_id, text, seg_chars, seg_tokens): each text's leaves."""
-    common.ship(docs.sparkSession)
-    shared = docs.sparkSession.sparkContext.broadcast(definition)
+    def put_back(self, counts: np.ndarray) -> None:
+        leaves = leaves_of(self.words, counts)
+        if self.place is None:
+            self.tree = SegmentTree(*leaves)
+        else:
+            self.tree.replace(*self.place, *leaves)
 
-    def rows(batches):
-        model = bpe.opened(shared.value)
-        for batch in batches:
-            for part in common.cut(batch, most=4 << 20):
-                leaves = [leaves_of(model, model.split(t)) for t in part.column("text").to_pylist()]
-                yield pa.RecordBatch.from_arrays(
-                    [part.column("doc_id"), part.column("text"), *(pa.array([x[k] for x in leaves], pa.list_(pa.int32())) for k in (0, 1))],
-                    names=["doc_id", "text", "seg_chars", "seg_tokens"],
-                )
-
-    return common.texts(docs, "doc_id").mapInArrow(rows, "doc_id long, text string, seg_chars array<int>, seg_tokens array<int>")
+    def edit(self, start: int, stop: int, new: str) -> None:
+        self.put_back(self.model.count_words(self.cut_out(start, stop, new)))
 
 
 EDITS = "array<struct<start:bigint,stop:bigint,new:string>>"
@@ -176,16 +182,16 @@ def apply_edits(trees: DataFrame, definition: str, edits: str = "edits", texts_o
         model = bpe.opened(shared.value)
         for batch in batches:
             for part in common.cut(batch, most=4 << 20):
-                cols: list[list] = [[] for _ in range(7)]
-                for text, chars, tokens, todo in zip(*(part.column(c).to_pylist() for c in ("text", "seg_chars", "seg_tokens", "edits")), strict=True):
-                    now = EditedText(model, text, chars, tokens)
-                    before = now.tree.total
-                    for e in todo or []:
-                        if e is not None:
-                            now.edit(e["start"] or 0, e["stop"] or 0, e["new"] or "")
-                    got = (before, now.tree.total, len(now.text), now.encoded, now.text, *now.tree.leaves())
-                    for c, x in zip(cols, got, strict=True):
-                        c.append(x)
+                now = [EditedText(model, *x) for x in zip(*(part.column(c).to_pylist() for c in ("text", "seg_chars", "seg_tokens")), strict=True)]
+                before = [x.tree.total for x in now]
+                todo = [[e for e in x or [] if e is not None] for x in part.column("edits").to_pylist()]
+                for k in range(max(map(len, todo), default=0)):  # the k-th edit of every document at once
+                    at = [(x, t[k]) for x, t in zip(now, todo, strict=True) if len(t) > k]
+                    words = [x.cut_out(e["start"] or 0, e["stop"] or 0, e["new"] or "") for x, e in at]
+                    for (x, _), c in zip(at, counted(model, words), strict=True):
+                        x.put_back(c)
+                got = [(b, x.tree.total, len(x.text), x.encoded, x.text, *x.tree.leaves()) for b, x in zip(before, now, strict=True)]
+                cols = list(zip(*got, strict=True))
                 kinds = [pa.int64()] * 4 + [pa.string(), pa.list_(pa.int32()), pa.list_(pa.int32())]
                 arrays = [pa.array(c, k) for c, k in zip(cols, kinds, strict=True)]
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), *arrays][: len(names)], names=names)

@@ -162,6 +162,25 @@ class EditedText:
         self.put_back(self.model.count_words(self.cut_out(start, stop, new)))
 
 
+def build(docs: DataFrame, definition: str) -> DataFrame:
+    """(doc_id, text, seg_chars, seg_tokens): each text's leaves."""
+    common.ship(docs.sparkSession)
+    shared = docs.sparkSession.sparkContext.broadcast(definition)
+
+    def rows(batches):
+        model = bpe.opened(shared.value)
+        for batch in batches:
+            for part in common.cut(batch, most=4 << 20):
+                words = list(map(model.split, part.column("text").to_pylist()))
+                leaves = list(map(leaves_of, words, counted(model, words)))
+                yield pa.RecordBatch.from_arrays(
+                    [part.column("doc_id"), part.column("text"), *(pa.array([x[k] for x in leaves], pa.list_(pa.int32())) for k in (0, 1))],
+                    names=["doc_id", "text", "seg_chars", "seg_tokens"],
+                )
+
+    return common.texts(docs, "doc_id").mapInArrow(rows, "doc_id long, text string, seg_chars array<int>, seg_tokens array<int>")
+
+
 EDITS = "array<struct<start:bigint,stop:bigint,new:string>>"
 
 

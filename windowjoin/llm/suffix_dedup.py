@@ -31,7 +31,7 @@ overlapping ones; an empty table gives an empty table; extra columns pass throug
 from __future__ import annotations
 
 import hashlib
-from itertools import product
+from itertools import chain, groupby, product
 
 import numpy as np
 import pyarrow as pa
@@ -45,6 +45,8 @@ BASE = np.uint64(0x9E3779B97F4A7C15)
 BACK = np.uint64(pow(int(BASE), -1, 1 << 64))
 BYTE_VALUE = np.random.default_rng(77).integers(1, 2**63, 256, np.uint64) * np.uint64(2) + np.uint64(1)
 NAMES, CONTEXTS, SPANS, TEXT = 1, 2, 3, 9
+#: names that a task holds before it sends them; a value sent twice counts as two occurrences, which it is
+AT_ONCE = 4_000_000
 
 
 def difference_cover(q: int) -> tuple[int, np.ndarray]:
@@ -178,29 +180,47 @@ def _unique(values: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return distinct, index, n > 1
 
 
-def _grouped(batches, key: str, columns: tuple[str, ...]):
-    """(key, rows) for consecutive rows with one key, rows as tuples."""
-    now, held = None, []
+def _rows(batches, *columns: str):
     for batch in batches:
-        for row in zip(batch.column(key).to_pylist(), *(batch.column(c).to_pylist() for c in columns), strict=True):
-            if row[0] != now and held:
-                yield now, held
-                held = []
-            now = row[0]
-            held.append(row[1:])
-    if held:
-        yield now, held
+        yield from zip(*(batch.column(c).to_pylist() for c in columns), strict=True)
+
+
+def _buckets(batches):
+    """(bucket, what the other tasks told it, its texts) of consecutive rows.
+
+    The texts, (digest, copies, bytes) with each digest once, are read on as they are
+    asked for; a bucket's texts are never held together.
+    """
+    for bucket, rows in groupby(_rows(batches, "bucket", "kind", "digest", "copies", "text", "data"), key=lambda r: r[0]):
+        told, first = [], None
+        for row in rows:
+            if row[1] == TEXT:
+                first = row
+                break
+            told.append((row[1], row[5]))
+        yield bucket, told, _once(chain([first] if first else [], rows))
+
+
+def _once(rows):
+    for digest, same in groupby(rows, key=lambda r: r[2]):
+        first = next(same)
+        yield digest, first[3] + sum(r[3] for r in same), first[4].encode()
 
 
 class Plan:
     """The three steps over one table of texts."""
 
-    def __init__(self, docs: DataFrame, span: int = 400, q: int = 13, hot_buckets: int = 256, bucket_bytes: int = 4 << 20):
+    def __init__(self, docs: DataFrame, span: int = 400, q: int = 13, hot_buckets: int = 256, part_bytes: int = 128 << 20):
         self.docs, self.spark, self.span, self.q, self.hot = docs, docs.sparkSession, span, q, hot_buckets
         common.ship(self.spark)
         self.width = common.shuffle_width(self.spark)
+        self.buckets, self.part_bytes = self.width, part_bytes
         total = common.texts(docs).agg(F.sum(F.octet_length("text"))).first()[0] or 0
-        self.buckets = int(max(2 * self.width, -(-total // bucket_bytes)))
+        self.name_parts = self._parts(0.7 * total)
+
+    def _parts(self, size: float) -> int:
+        """Enough parts that one has ``part_bytes`` at most; a task takes them one after the other."""
+        return int(self.width * max(1, -(-size // (self.width * self.part_bytes))))
 
     def rows(self) -> DataFrame:
         """Distinct texts of each batch with their number, dealt into buckets."""
@@ -236,63 +256,90 @@ class Plan:
         rows = self.rows()
         if told is not None:
             rows = rows.unionByName(told.select("bucket", "kind", F.lit(None).cast("string").alias("digest"), F.lit(0).cast("long").alias("copies"), F.lit(None).cast("string").alias("text"), "data"))
-        return rows.repartition(self.width, "bucket").sortWithinPartitions("bucket", "kind", "digest")
+        return rows.repartitionById(self.width, F.pmod("bucket", F.lit(self.width))).sortWithinPartitions("bucket", "kind", "digest")
 
     def _to_parts(self, blocks: DataFrame) -> DataFrame:
-        return blocks.repartition(self.width, "part").sortWithinPartitions("part")
+        return blocks.repartitionById(self.width, F.pmod("part", F.lit(self.width))).sortWithinPartitions("part")
 
     def sampled_names(self) -> DataFrame:
         """Step 1: blocks (bucket, kind, data) with the names that have a partner, and whether they are hot."""
-        span, q, width, hot = self.span, self.q, self.width, self.hot
+        span, q, parts, hot = self.span, self.q, self.name_parts, self.hot
 
         def local(batches):
             sampler = Sampler(span, q)
-            for bucket, texts in _texts(batches):
-                found = []
+
+            def block(found):
+                names, _, again = _unique(np.concatenate(found))
+                return _block_batch(_blocks((names % np.uint64(parts)).astype(np.int64), bucket, NAMES, names, again))
+
+            for bucket, _, texts in _buckets(batches):
+                found, size = [], 0
                 for _, _, text in texts:
                     sampler.read(text)
                     found.append(sampler.names(sampler.samples()))
-                names, _, again = _unique(np.concatenate(found) if found else np.zeros(0, np.uint64))
-                if rows := _blocks((names % np.uint64(width)).astype(np.int64), bucket, NAMES, names, again):
-                    yield _block_batch(rows)
+                    size += len(found[-1])
+                    if size > AT_ONCE:
+                        yield block(found)
+                        found, size = [], 0
+                if size:
+                    yield block(found)
 
         return common.written(self._to_parts(self._in_buckets(None).mapInArrow(local, BLOCK_SCHEMA)).mapInArrow(lambda b: _partners(b, hot), BLOCK_SCHEMA).drop("part"), "names")
 
     def refined(self, names: DataFrame) -> DataFrame:
         """Steps 2 and 3: blocks with each refined name's repeated starts, and the repeated spans of hot names."""
-        span, q, width = self.span, self.q, self.width
+        span, q = self.span, self.q
+        survivors = names.agg(F.sum(F.octet_length("data"))).first()[0] or 0
+        parts = self._parts(survivors / 9 * 400)
 
         def local(batches):
             sampler = Sampler(span, q)
-            for bucket, texts, told in _told(batches):
+
+            def contexts_block(cols):
+                own, keys, before, behind, contexts = map(np.concatenate, cols)
+                keys, index, again = _unique(keys)
+                part = (own[index] % np.uint64(parts)).astype(np.int64)
+                return _block_batch(_blocks(part, bucket, CONTEXTS, own[index], keys, before[index].astype(np.uint16), behind[index].astype(np.uint16), again, contexts[index].astype(np.uint8)))
+
+            def spans_block(spans):
+                starts, _, again = _unique(np.concatenate(spans))
+                return _block_batch(_blocks((starts % np.uint64(parts)).astype(np.int64), bucket, SPANS, starts, again))
+
+            for bucket, told, texts in _buckets(batches):
                 known, is_hot = _known(told)
                 if not len(known):
                     continue
                 cols: list[list] = [[] for _ in range(5)]
-                spans = []
+                spans, n_spans, n_contexts = [], 0, 0
                 for _, _, text in texts:
                     sampler.read(text)
                     p = sampler.samples()
                     own = sampler.names(p)
                     at = np.minimum(np.searchsorted(known, own), len(known) - 1)
                     hit = known[at] == own
-                    spans.append(_spans_near(sampler, p[hit & is_hot[at]]))
+                    if len(near := _spans_near(sampler, p[hit & is_hot[at]])):
+                        spans.append(near)
+                        n_spans += len(near)
                     p, own = p[hit & ~is_hot[at]], own[hit & ~is_hot[at]]
                     if len(p):
+                        n_contexts += len(p)
                         for c, x in zip(cols, (own, sampler.keys(p), *sampler.sides(p), sampler.contexts(p)), strict=True):
                             c.append(x)
-                if cols[0]:
-                    own, keys, before, behind, contexts = map(np.concatenate, cols)
-                    keys, index, again = _unique(keys)
-                    part = (own[index] % np.uint64(width)).astype(np.int64)
-                    yield _block_batch(_blocks(part, bucket, CONTEXTS, own[index], keys, before[index].astype(np.uint16), behind[index].astype(np.uint16), again, contexts[index].astype(np.uint8)))
-                starts, _, again = _unique(np.concatenate(spans) if spans else np.zeros(0, np.uint64))
-                if len(starts):
-                    yield _block_batch(_blocks((starts % np.uint64(width)).astype(np.int64), bucket, SPANS, starts, again))
+                    if n_contexts > AT_ONCE // 40:
+                        yield contexts_block(cols)
+                        cols, n_contexts = [[] for _ in range(5)], 0
+                    if n_spans > AT_ONCE:
+                        yield spans_block(spans)
+                        spans, n_spans = [], 0
+                if n_contexts:
+                    yield contexts_block(cols)
+                if n_spans:
+                    yield spans_block(spans)
 
         def settle(batches):
             side = difference_cover(q)[0] - 1
-            for _, rows in _grouped(batches, "part", ("bucket", "kind", "data")):
+            for _, group in groupby(_rows(batches, "part", "bucket", "kind", "data"), key=lambda r: r[0]):
+                rows = [r[1:] for r in group]
                 if spans := [(b, d) for b, kind, d in rows if kind == SPANS]:
                     yield from _answers(spans, SPANS, 1 << 62)
                 if rows := [(b, d) for b, kind, d in rows if kind == CONTEXTS]:
@@ -310,7 +357,7 @@ class Plan:
             sampler = Sampler(span, q)
             columns = [c.split()[0] for c in schema.split(", ")]
             kinds = [pa.string() if c.endswith("string") else pa.binary() if c.endswith("binary") else pa.int64() for c in schema.split(", ")]
-            for _bucket, texts, told in _told(batches):
+            for _bucket, told, texts in _buckets(batches):
                 known, is_hot = _known(told)
                 hot_names, hot_spans = known[is_hot], _sorted(told, SPANS)
                 keys, masks = _masks(told, sampler.v)
@@ -328,29 +375,9 @@ class Plan:
         return self._in_buckets(told).mapInArrow(local, schema)
 
 
-def _texts(batches):
-    """(bucket, [(digest, copies, text)]) with each digest once; other rows are passed over."""
-    for bucket, texts, _ in _told(batches):
-        yield bucket, texts
-
-
-def _told(batches):
-    """(bucket, texts, what the other tasks told it) of each bucket."""
-    for bucket, rows in _grouped(batches, "bucket", ("kind", "digest", "copies", "text", "data")):
-        told = [(kind, data) for kind, _, _, _, data in rows if kind != TEXT]
-        texts: list[list] = []
-        for kind, digest, copies, text, _ in rows:
-            if kind == TEXT:
-                if texts and texts[-1][0] == digest:
-                    texts[-1][1] += copies
-                else:
-                    texts.append([digest, copies, text.encode()])
-        yield bucket, texts, told
-
-
 def _partners(batches, hot: int):
-    for _, rows in _grouped(batches, "part", ("bucket", "data")):
-        yield from _answers(rows, NAMES, hot)
+    for _, group in groupby(_rows(batches, "part", "bucket", "data"), key=lambda r: r[0]):
+        yield from _answers([r[1:] for r in group], NAMES, hot)
 
 
 def _answers(rows: list[tuple], kind: int, hot: int):

@@ -13,6 +13,7 @@ from __future__ import annotations
 import json
 import os
 import re
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -31,7 +32,7 @@ _OPEN: dict[int, "ChunkTokenizer"] = {}
 class ChunkTokenizer:
     """``encode(texts)`` gives the flat ids and each text's number of ids."""
 
-    def __init__(self, definition: str, most_chunks: int = 1_200_000):
+    def __init__(self, definition: str, most_chunks: int = 1_600_000):
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_str(definition)
@@ -51,6 +52,7 @@ class ChunkTokenizer:
 
     def _clear(self) -> None:
         self.known: dict[str, int] = {}
+        self.n = 0
         self.flat = np.zeros(1 << 16, np.uint32)
         self.start = np.zeros(1 << 14, np.int32)
         self.size = np.zeros(1 << 14, np.int32)
@@ -68,14 +70,14 @@ class ChunkTokenizer:
         if joined:
             pieces = np.fromiter((len(ASCII_PIECES.findall(c.lower())) for c in joined), np.int64, len(joined))
             lines = [" ".join(joined[i : i + 200]) for i in range(0, len(joined), 200)]
-            flat = np.fromiter((i for e in self.library.encode_batch_fast(lines, add_special_tokens=False) for i in e.ids), np.uint32)
+            flat = np.fromiter(chain.from_iterable(e.ids for e in self.library.encode_batch_fast(lines, add_special_tokens=False)), np.uint32)
             at = np.concatenate(([0], np.flatnonzero(self.ends[flat]) + 1))
             if len(at) - 1 == pieces.sum():
                 bounds = at[np.concatenate(([0], np.cumsum(pieces)))]
             else:  # not a vocabulary of that kind
                 joined, others = [], chunks
         alone = [e.ids for e in self.library.encode_batch_fast(others, add_special_tokens=False)] if others else []
-        rest = np.fromiter((i for x in alone for i in x), np.uint32)
+        rest = np.fromiter(chain.from_iterable(alone), np.uint32)
         rest_sizes = np.fromiter(map(len, alone), np.int64, len(alone))
         if not joined:
             return rest, rest_sizes
@@ -85,7 +87,7 @@ class ChunkTokenizer:
     def _add(self, chunks: list[str]) -> None:
         self.order = chunks
         new, sizes = self._ids(chunks)
-        n, total = len(self.known), len(self.known) + len(chunks)
+        n, total = self.n, self.n + len(chunks)
         while total > len(self.start):
             self.start, self.size = np.resize(self.start, 2 * len(self.start)), np.resize(self.size, 2 * len(self.size))
         while self.used + len(new) > len(self.flat):
@@ -94,18 +96,23 @@ class ChunkTokenizer:
         self.start[n:total] = self.used + np.cumsum(sizes) - sizes
         self.size[n:total] = sizes
         self.used += len(new)
+        self.n = total
         self.known.update(zip(self.order, range(n, total), strict=True))
 
     def _slots(self, chunks: list[str]) -> np.ndarray:
-        if self.lower:
-            marks = self.marks  # a chunk that could turn into a special token's string stays as it is
-            chunks = [c.lower() if c.isascii() and marks.isdisjoint(c) else c for c in chunks]
         if len(self.known) + len(chunks) > self.most:
             self._clear()
         known = self.known
-        if missing := list(dict.fromkeys(c for c in chunks if c not in known)):
-            self._add(missing)
-        return np.fromiter(map(known.__getitem__, chunks), np.int64, len(chunks))
+        found = list(map(known.get, chunks))
+        if None in found:
+            missing = [c for c, f in zip(chunks, found, strict=True) if f is None]
+            # a chunk that could turn into a special token's string stays as it is
+            plain = [c.lower() if c.isascii() and self.marks.isdisjoint(c) else c for c in missing] if self.lower else missing
+            if new := list(dict.fromkeys(c for c in plain if c not in known)):
+                self._add(new)
+            known.update(zip(missing, map(known.__getitem__, plain), strict=True))
+            found = list(map(known.__getitem__, chunks))
+        return np.array(found, np.int64)
 
     def encode(self, text: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         if not len(text):
@@ -118,7 +125,7 @@ class ChunkTokenizer:
         words = lists.flatten()
         per = np.diff(offsets(lists))
         coded = words.dictionary_encode()
-        slots = self._slots(coded.dictionary.to_pylist())[coded.indices.to_numpy()]
+        slots = self._slots(coded.dictionary.to_numpy(zero_copy_only=False).tolist())[coded.indices.to_numpy()]
         sizes = self.size[slots]
         total = np.cumsum(sizes, dtype=np.int64)
         # a slice holds less than 2**31 ids, so places fit 32 bits
@@ -157,6 +164,6 @@ def encoded(batches, definition: str, end_id: int, key: str = "doc_id"):
     """(keys, flat ids, counts with the end id) of each bounded slice of the batches."""
     tok = opened(definition)
     for batch in batches:
-        for part in cut(batch, most=4 << 20):
+        for part in cut(batch, most=8 << 20):
             ids, counts = tok.encode(part.column("text"))
             yield part.column(key), *with_end(ids, counts, end_id)

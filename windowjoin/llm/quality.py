@@ -105,7 +105,7 @@ def features(docs: DataFrame) -> DataFrame:
 
     def rows(batches):
         for batch in batches:
-            for part in common.cut(batch, most=2 << 20):
+            for part in common.cut(batch, most=1 << 20):
                 x = statistics(*common.utf8(part.column("text")))
                 at = pa.array(np.arange(len(x) + 1, dtype=np.int32) * x.shape[1])
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.ListArray.from_arrays(at, pa.array(x.ravel()))], names=["doc_id", "features"])
@@ -209,17 +209,15 @@ def classify(docs: DataFrame, labels: DataFrame) -> DataFrame:
 
 def keep_good(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """The rows of ``docs``, all columns, that the classifier does not reject."""
-    model = train(features(docs.join(labels.select("doc_id").distinct(), "doc_id", "left_semi")), labels)
+    model = train(common.written(features(docs), "features"), labels)
     if model is None:
         return docs
     common.ship(docs.sparkSession)
 
     def rows(batches):
         for batch in batches:
-            for part in common.cut(batch, "text__plain", most=2 << 20):
-                good = model.score(statistics(*common.utf8(part.column("text__plain")))) >= 0.5
-                kept = part.filter(pa.array(good))
-                yield kept.select([n for n in kept.schema.names if n != "text__plain"])
+            for part in common.cut(batch, most=1 << 20):
+                good = model.score(statistics(*common.utf8(part.column("text").fill_null("")))) >= 0.5
+                yield part.filter(pa.array(good))
 
-    plain = docs.withColumn("text__plain", F.coalesce("text", F.lit("")))
-    return plain.mapInArrow(rows, docs.schema)
+    return docs.mapInArrow(rows, docs.schema)

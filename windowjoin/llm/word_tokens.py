@@ -3,7 +3,8 @@
 The tokenizer's pieces never contain a space or a line feed, so a text's ids are those
 of its chunks between spaces and line feeds, one after the other. Each distinct chunk
 of a batch is found with Arrow's dictionary encoding and goes to the library once; a
-bounded cache keeps the chunks of earlier batches. ASCII chunks are lower-cased before
+bounded cache of two generations keeps the chunks of earlier batches: when the young one is
+full it becomes the old one, from which chunks that occur again move to the next. ASCII chunks are lower-cased before
 the look-up when the vocabulary's normaliser does so anyway. A text that holds one of
 the special tokens' strings goes to the library as a whole.
 """
@@ -19,7 +20,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-from windowjoin.llm.common import cut, offsets
+from windowjoin.llm.common import cut, offsets, ranges
 
 os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
 
@@ -29,10 +30,39 @@ ASCII_PIECES = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-z]+|[0-9]|[^a-z0-9]+")
 _OPEN: dict[int, "ChunkTokenizer"] = {}
 
 
+class Generation:
+    """Ids of chunks in flat arrays."""
+
+    def __init__(self):
+        self.known: dict[str, int] = {}
+        self.flat = np.zeros(1 << 16, np.uint32)
+        self.start = np.zeros(1 << 14, np.int32)
+        self.size = np.zeros(1 << 14, np.int32)
+        self.n = self.used = 0
+
+    def add(self, chunks: list[str], ids: np.ndarray, sizes: np.ndarray) -> None:
+        total = self.n + len(chunks)
+        while total > len(self.start):
+            self.start, self.size = np.resize(self.start, 2 * len(self.start)), np.resize(self.size, 2 * len(self.size))
+        while self.used + len(ids) > len(self.flat):
+            self.flat = np.resize(self.flat, 2 * len(self.flat))
+        self.flat[self.used : self.used + len(ids)] = ids
+        self.start[self.n : total] = self.used + np.cumsum(sizes) - sizes
+        self.size[self.n : total] = sizes
+        self.used += len(ids)
+        self.known.update(zip(chunks, range(self.n, total), strict=True))
+        self.n = total
+
+    def take(self, chunks: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        at = np.array([self.known[c] for c in chunks])
+        sizes = self.size[at].astype(np.int64)
+        return self.flat[ranges(self.start[at].astype(np.int64), sizes)], sizes
+
+
 class ChunkTokenizer:
     """``encode(texts)`` gives the flat ids and each text's number of ids."""
 
-    def __init__(self, definition: str, most_chunks: int = 1_600_000):
+    def __init__(self, definition: str, most_chunks: int = 400_000):
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_str(definition)
@@ -48,15 +78,7 @@ class ChunkTokenizer:
             self.ends[[i for t, i in model["vocab"].items() if t.endswith(suffix)]] = True
         self.lower = '"Lowercase"' in json.dumps(parts["normalizer"])
         self.most = most_chunks
-        self._clear()
-
-    def _clear(self) -> None:
-        self.known: dict[str, int] = {}
-        self.n = 0
-        self.flat = np.zeros(1 << 16, np.uint32)
-        self.start = np.zeros(1 << 14, np.int32)
-        self.size = np.zeros(1 << 14, np.int32)
-        self.used = 0
+        self.young, self.old = Generation(), Generation()
 
     def _ids(self, chunks: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """Flat ids of the chunks, and each chunk's number of ids.
@@ -85,33 +107,28 @@ class ChunkTokenizer:
         return np.concatenate((flat, rest)), np.concatenate((np.diff(bounds), rest_sizes))
 
     def _add(self, chunks: list[str]) -> None:
+        """Encode chunks that are not known."""
         self.order = chunks
-        new, sizes = self._ids(chunks)
-        n, total = self.n, self.n + len(chunks)
-        while total > len(self.start):
-            self.start, self.size = np.resize(self.start, 2 * len(self.start)), np.resize(self.size, 2 * len(self.size))
-        while self.used + len(new) > len(self.flat):
-            self.flat = np.resize(self.flat, 2 * len(self.flat))
-        self.flat[self.used : self.used + len(new)] = new
-        self.start[n:total] = self.used + np.cumsum(sizes) - sizes
-        self.size[n:total] = sizes
-        self.used += len(new)
-        self.n = total
-        self.known.update(zip(self.order, range(n, total), strict=True))
+        ids, sizes = self._ids(chunks)
+        self.young.add(self.order, ids, sizes)
 
     def _slots(self, chunks: list[str]) -> np.ndarray:
-        if len(self.known) + len(chunks) > self.most:
-            self._clear()
-        known = self.known
-        found = list(map(known.get, chunks))
+        """Places of the chunks in the young generation."""
+        if len(self.young.known) + len(chunks) > self.most:
+            self.old, self.young = self.young, Generation()
+        young, old = self.young.known, self.old.known
+        found = list(map(young.get, chunks))
         if None in found:
             missing = [c for c, f in zip(chunks, found, strict=True) if f is None]
+            if again := [c for c in missing if c in old]:
+                self.young.add(again, *self.old.take(again))
+                missing = [c for c in missing if c not in old]
             # a chunk that could turn into a special token's string stays as it is
             plain = [c.lower() if c.isascii() and self.marks.isdisjoint(c) else c for c in missing] if self.lower else missing
-            if new := list(dict.fromkeys(c for c in plain if c not in known)):
+            if new := list(dict.fromkeys(c for c in plain if c not in young)):
                 self._add(new)
-            known.update(zip(missing, map(known.__getitem__, plain), strict=True))
-            found = list(map(known.__getitem__, chunks))
+            young.update(zip(missing, map(young.__getitem__, plain), strict=True))
+            found = list(map(young.__getitem__, chunks))
         return np.array(found, np.int64)
 
     def encode(self, text: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -126,12 +143,12 @@ class ChunkTokenizer:
         per = np.diff(offsets(lists))
         coded = words.dictionary_encode()
         slots = self._slots(coded.dictionary.to_numpy(zero_copy_only=False).tolist())[coded.indices.to_numpy()]
-        sizes = self.size[slots]
+        sizes = self.young.size[slots]
         total = np.cumsum(sizes, dtype=np.int64)
         # a slice holds less than 2**31 ids, so places fit 32 bits
-        where = np.repeat(self.start[slots] - (total - sizes).astype(np.int32), sizes)
+        where = np.repeat(self.young.start[slots] - (total - sizes).astype(np.int32), sizes)
         where += np.arange(len(where), dtype=np.int32)
-        ids = self.flat[where]
+        ids = self.young.flat[where]
         ends = np.concatenate(([0], total))[np.concatenate(([0], np.cumsum(per)))]
         counts = np.diff(ends)
         if whole.any():

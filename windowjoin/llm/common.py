@@ -11,71 +11,16 @@ Conventions of every operator in this subpackage
 
 from __future__ import annotations
 
-import io
-import tempfile
-import uuid
-import zipfile
 from collections.abc import Iterator
-from pathlib import Path
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-PACKAGE = Path(__file__).resolve().parent.parent
-_SHIPPED: set[str] = set()
-_OWN_ROOT: dict[str, str] = {}
-
-
-def ship(spark: SparkSession) -> None:
-    """Send this package to the executors once per application."""
-    app = spark.sparkContext.applicationId
-    if app in _SHIPPED:
-        return
-    root = PACKAGE.parent
-    data = io.BytesIO()
-    with zipfile.ZipFile(data, "w", zipfile.ZIP_DEFLATED) as z:
-        for p in sorted(PACKAGE.rglob("*.py")):
-            z.write(p, p.relative_to(root))
-    out = Path(tempfile.mkdtemp(prefix="ship-")) / "windowjoin_code.zip"
-    out.write_bytes(data.getvalue())
-    spark.sparkContext.addPyFile(str(out.resolve()))
-    _SHIPPED.add(app)
-
-
-def shared_root(spark: SparkSession) -> str:
-    """The folder that driver and executors share: ``spark.checkpoint.dir``.
-
-    Only where the session names none (tests, one machine) a temporary folder is used.
-    """
-    named = spark.conf.get("spark.checkpoint.dir", None)
-    if named:
-        return named.rstrip("/")
-    app = spark.sparkContext.applicationId
-    if app not in _OWN_ROOT:
-        _OWN_ROOT[app] = "file://" + tempfile.mkdtemp(prefix="shared-")
-    return _OWN_ROOT[app]
-
-
-def new_path(spark: SparkSession, name: str) -> str:
-    return f"{shared_root(spark)}/{name}-{uuid.uuid4().hex}"
-
-
-def written(df: DataFrame, name: str, **options: str) -> DataFrame:
-    """Write a table to the shared folder and read it back: cuts lineage, survives executors."""
-    spark = df.sparkSession
-    path = new_path(spark, name)
-    df.write.options(**options).parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
-def drop_path(spark: SparkSession, path: str) -> None:
-    """Delete a folder that an operator wrote and no later plan reads."""
-    jvm = spark.sparkContext._jvm
-    target = jvm.org.apache.hadoop.fs.Path(path)
-    target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
+from windowjoin.runtime import drop_path, new_path, ship, shared_root, shuffle_width, written
 
+__all__ = ["cut", "drop_path", "new_path", "offsets", "ranges", "read_documents", "shared_root", "ship", "shuffle_width", "task_partition", "texts", "utf8", "written"]
 
 def texts(docs: DataFrame, *keep: str, text: str = "text") -> DataFrame:
     """The needed columns only; a null text becomes empty."""
@@ -129,7 +74,3 @@ def task_partition() -> int:
     from pyspark import TaskContext
 
     return TaskContext.get().partitionId()
-
-
-def shuffle_width(spark: SparkSession) -> int:
-    return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))

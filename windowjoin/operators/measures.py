@@ -133,15 +133,18 @@ def same_pairs(a: DataFrame, b: DataFrame) -> bool:
     return a.exceptAll(b).isEmpty() and b.exceptAll(a).isEmpty()
 
 
-def epsilon_for(prepared: DataFrame, wanted: int, layout: Layout, window: CountWindow, highest: int) -> int:
-    """Band half-width whose matches come nearest to ``wanted``: bisection over counts of range records."""
+def epsilon_for(prepared: DataFrame, wanted: int, layout: Layout, window: CountWindow, highest: int = 1 << 31) -> int:
+    """Least band half-width with ``wanted`` matches or more (``highest`` if none has): doubling,
+    then bisection, over counts of range records."""
     from windowjoin.plans import rank
     from windowjoin.predicates import Band
 
     def matches(eps: int) -> int:
         return rank.counts_per_probe(prepared, Band(-eps, eps), window, layout).agg(F.coalesce(F.sum("matches"), F.lit(0))).first()[0]
 
-    lo, hi = 0, highest
+    lo, hi = 0, 1
+    while hi < highest and matches(hi) < wanted:
+        lo, hi = hi + 1, min(highest, 2 * hi)
     while lo < hi:
         mid = (lo + hi) // 2
         if matches(mid) >= wanted:

@@ -451,7 +451,7 @@ query("dimension_rollup", "SELECT r_name, n_name, count(*) AS n FROM customer JO
 )
 query("sampled_splitters")(lambda spark, d: _rows(spark, [splitters.quantile_splitters(table(spark, d, "orders").select(F.col("o_orderkey").alias("key"), sequence.cents("o_totalprice").alias("value")), 16, "sample")]))
 query("epsilon_for_selectivity", f"{events_sql()}, m AS (SELECT abs(s.value - r.value) AS gap FROM s JOIN r ON ((s.seq > r.seq AND s.seen_r - r.rank < 500) OR (r.seq > s.seq AND r.seen_s - s.rank < 500))) SELECT min(gap) AS eps FROM (SELECT gap, sum(count(*)) OVER (ORDER BY gap) AS n FROM m GROUP BY gap) WHERE n >= 5000")(
-    _plain(lambda ev: (lambda p: row(p.sparkSession, eps=measures.epsilon_for(p, 5000, LAYOUT, W, 64)))(written(sequence.prepare(ev, 500), "prepared")))
+    _plain(lambda ev: (lambda p: row(p.sparkSession, eps=measures.epsilon_for(p, 5000, LAYOUT, W)))(written(sequence.prepare(ev, 500), "prepared")))
 )
 query("python_source_tuples", f"SELECT i AS seq, CASE WHEN i % 2 = 0 THEN 'S' ELSE 'R' END AS side, i AS key, {sources.hashed('i', 1)} AS value FROM range(1000) t(i)")(lambda spark, d: (sources.register(spark), spark.read.format("stream_tuples").option("rows", 1000).load())[1])
 query("udtf_band_bounds", f"{events_sql()} SELECT key, CAST(b.band AS INTEGER) AS band, value + b.lo AS lo, value + b.hi AS hi FROM s, (VALUES (0, -5, 5), (1, 20, 35)) b(band, lo, hi)")(

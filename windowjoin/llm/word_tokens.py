@@ -62,7 +62,7 @@ class Generation:
 class ChunkTokenizer:
     """``encode(texts)`` gives the flat ids and each text's number of ids."""
 
-    def __init__(self, definition: str, most_chunks: int = 500_000):
+    def __init__(self, definition: str, most_chunks: int = 800_000):
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_str(definition)

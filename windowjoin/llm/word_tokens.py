@@ -3,8 +3,8 @@
 The tokenizer's pieces never contain a space or a line feed, so a text's ids are those
 of its chunks between spaces and line feeds, one after the other. Each distinct chunk
 of a batch is found with Arrow's dictionary encoding and goes to the library once; a
-bounded cache of two generations keeps the chunks of earlier batches: when the young one is
-full it becomes the old one, from which chunks that occur again move to the next. ASCII chunks are lower-cased before
+bounded cache keeps the ids of earlier batches' chunks by two hashes of together 96 bits, in
+flat arrays of about 25 bytes a chunk. ASCII chunks are lower-cased before
 the look-up when the vocabulary's normaliser does so anyway. A text that holds one of
 the special tokens' strings goes to the library as a whole.
 """
@@ -20,7 +20,8 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-from windowjoin.llm.common import cut, offsets, ranges
+from windowjoin.llm.common import cut, offsets, ranges, utf8
+from windowjoin.llm.multiset_hash import mixed
 
 os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
 
@@ -30,39 +31,77 @@ ASCII_PIECES = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-z]+|[0-9]|[^a-z0-9]+")
 _OPEN: dict[int, "ChunkTokenizer"] = {}
 
 
-class Generation:
-    """Ids of chunks in flat arrays."""
+LONG = 255  # bytes; longer chunks are encoded each time
+_RANDOM = np.random.default_rng(4099)
+BYTE_VALUES = _RANDOM.integers(1, 2**63, (2, 256), np.uint64) * np.uint64(2) + np.uint64(1)
+PLACE_VALUES = _RANDOM.integers(1, 2**63, (2, LONG + 1), np.uint64) * np.uint64(2) + np.uint64(1)
+
+
+def chunk_hashes(chunks: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Two independent hashes (64 and 32 bits) of each chunk, and its bytes."""
+    data, ends = utf8(chunks)
+    size = np.diff(ends)
+    some = np.flatnonzero(size)
+    place = np.arange(len(data)) - np.repeat(ends[:-1][some], size[some])
+    np.minimum(place, LONG, out=place)
+    out = []
+    for values, places in zip(BYTE_VALUES, PLACE_VALUES, strict=True):
+        h = np.zeros(len(size), np.uint64)
+        if len(some):
+            h[some] = np.add.reduceat(values[data] * places[place], ends[:-1][some])
+        out.append(mixed(h + size.astype(np.uint64)))
+    return out[0], (out[1] >> np.uint64(32)).astype(np.uint32), size
+
+
+class IdCache:
+    """Ids of chunks by hash, in flat arrays: a large sorted part and a small one, merged now and then."""
 
     def __init__(self):
-        self.known: dict[str, int] = {}
-        self.flat = np.zeros(1 << 16, np.uint32)
+        self.hash = [np.zeros(0, np.uint64), np.zeros(0, np.uint64)]
+        self.slot = [np.zeros(0, np.int32), np.zeros(0, np.int32)]
+        self.check = np.zeros(1 << 14, np.uint32)
         self.start = np.zeros(1 << 14, np.int32)
         self.size = np.zeros(1 << 14, np.int32)
+        self.flat = np.zeros(1 << 16, np.uint32)
         self.n = self.used = 0
 
-    def add(self, chunks: list[str], ids: np.ndarray, sizes: np.ndarray) -> None:
-        total = self.n + len(chunks)
+    def find(self, hashes: np.ndarray, checks: np.ndarray) -> np.ndarray:
+        """Slot of each chunk, -1 where it is not known."""
+        out = np.full(len(hashes), -1, np.int64)
+        for h, s in zip(self.hash, self.slot, strict=True):
+            if len(h):
+                at = np.minimum(np.searchsorted(h, hashes), len(h) - 1)
+                hit = (h[at] == hashes) & (self.check[s[at]] == checks)
+                out[hit] = s[at[hit]]
+        return out
+
+    def add(self, hashes: np.ndarray, checks: np.ndarray, ids: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+        """Slots of chunks that were not known."""
+        total = self.n + len(hashes)
         while total > len(self.start):
-            self.start, self.size = np.resize(self.start, 2 * len(self.start)), np.resize(self.size, 2 * len(self.size))
+            self.check, self.start, self.size = (np.resize(x, 2 * len(x)) for x in (self.check, self.start, self.size))
         while self.used + len(ids) > len(self.flat):
             self.flat = np.resize(self.flat, 2 * len(self.flat))
         self.flat[self.used : self.used + len(ids)] = ids
         self.start[self.n : total] = self.used + np.cumsum(sizes) - sizes
-        self.size[self.n : total] = sizes
-        self.used += len(ids)
-        self.known.update(zip(chunks, range(self.n, total), strict=True))
-        self.n = total
-
-    def take(self, chunks: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        at = np.array([self.known[c] for c in chunks])
-        sizes = self.size[at].astype(np.int64)
-        return self.flat[ranges(self.start[at].astype(np.int64), sizes)], sizes
+        self.size[self.n : total], self.check[self.n : total] = sizes, checks
+        slots = np.arange(self.n, total, dtype=np.int32)
+        self.used, self.n = self.used + len(ids), total
+        h, s = np.concatenate((self.hash[1], hashes)), np.concatenate((self.slot[1], slots))
+        if len(h) > 200_000:
+            h, s = np.concatenate((self.hash[0], h)), np.concatenate((self.slot[0], s))
+        order = np.argsort(h)
+        if len(h) > 200_000:
+            self.hash, self.slot = [h[order], h[:0]], [s[order], s[:0]]
+        else:
+            self.hash[1], self.slot[1] = h[order], s[order]
+        return slots
 
 
 class ChunkTokenizer:
     """``encode(texts)`` gives the flat ids and each text's number of ids."""
 
-    def __init__(self, definition: str, most_chunks: int = 800_000):
+    def __init__(self, definition: str, most_chunks: int = 4_000_000):
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_str(definition)
@@ -78,7 +117,7 @@ class ChunkTokenizer:
             self.ends[[i for t, i in model["vocab"].items() if t.endswith(suffix)]] = True
         self.lower = '"Lowercase"' in json.dumps(parts["normalizer"])
         self.most = most_chunks
-        self.young, self.old = Generation(), Generation()
+        self.cache = IdCache()
 
     def _ids(self, chunks: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """Flat ids of the chunks, and each chunk's number of ids.
@@ -106,30 +145,28 @@ class ChunkTokenizer:
         self.order = joined + others
         return np.concatenate((flat, rest)), np.concatenate((np.diff(bounds), rest_sizes))
 
-    def _add(self, chunks: list[str]) -> None:
-        """Encode chunks that are not known."""
-        self.order = chunks
-        ids, sizes = self._ids(chunks)
-        self.young.add(self.order, ids, sizes)
-
-    def _slots(self, chunks: list[str]) -> np.ndarray:
-        """Places of the chunks in the young generation."""
-        if len(self.young.known) + len(chunks) > self.most:
-            self.old, self.young = self.young, Generation()
-        young, old = self.young.known, self.old.known
-        found = list(map(young.get, chunks))
-        if None in found:
-            missing = [c for c, f in zip(chunks, found, strict=True) if f is None]
-            if again := [c for c in missing if c in old]:
-                self.young.add(again, *self.old.take(again))
-                missing = [c for c in missing if c not in old]
+    def _slots(self, chunks: pa.Array) -> np.ndarray:
+        """Cache slots of distinct chunks."""
+        if self.cache.n + len(chunks) > self.most:
+            self.cache = IdCache()
+        hashes, checks, size = chunk_hashes(chunks)
+        slots = self.cache.find(hashes, checks)
+        if (long := size > LONG).any():  # their hashes do not tell them apart: never found again
+            slots[long] = -1
+            hashes[long] = mixed(np.uint64(1 << 63) + np.uint64(self.cache.n) + np.arange(long.sum(), dtype=np.uint64))
+        new = np.flatnonzero(slots < 0)
+        if len(new):
+            missing = chunks.take(pa.array(new)).to_numpy(zero_copy_only=False).tolist()
             # a chunk that could turn into a special token's string stays as it is
             plain = [c.lower() if c.isascii() and self.marks.isdisjoint(c) else c for c in missing] if self.lower else missing
-            if new := list(dict.fromkeys(c for c in plain if c not in young)):
-                self._add(new)
-            young.update(zip(missing, map(young.__getitem__, plain), strict=True))
-            found = list(map(young.__getitem__, chunks))
-        return np.array(found, np.int64)
+            self.order = list(dict.fromkeys(plain))
+            ids, sizes = self._ids(self.order)
+            place = {c: i for i, c in enumerate(self.order)}
+            at = np.fromiter(map(place.__getitem__, plain), np.int64, len(plain))
+            sizes = sizes.astype(np.int64)
+            starts = np.cumsum(sizes) - sizes
+            slots[new] = self.cache.add(hashes[new], checks[new], ids[ranges(starts[at], sizes[at])], sizes[at])
+        return slots
 
     def encode(self, text: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         if not len(text):
@@ -142,13 +179,13 @@ class ChunkTokenizer:
         words = lists.flatten()
         per = np.diff(offsets(lists))
         coded = words.dictionary_encode()
-        slots = self._slots(coded.dictionary.to_numpy(zero_copy_only=False).tolist())[coded.indices.to_numpy()]
-        sizes = self.young.size[slots]
+        slots = self._slots(coded.dictionary)[coded.indices.to_numpy()]
+        sizes = self.cache.size[slots]
         total = np.cumsum(sizes, dtype=np.int64)
         # a slice holds less than 2**31 ids, so places fit 32 bits
-        where = np.repeat(self.young.start[slots] - (total - sizes).astype(np.int32), sizes)
+        where = np.repeat(self.cache.start[slots] - (total - sizes).astype(np.int32), sizes)
         where += np.arange(len(where), dtype=np.int32)
-        ids = self.young.flat[where]
+        ids = self.cache.flat[where]
         ends = np.concatenate(([0], total))[np.concatenate(([0], np.cumsum(per)))]
         counts = np.diff(ends)
         if whole.any():

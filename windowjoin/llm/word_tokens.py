@@ -101,7 +101,7 @@ class IdCache:
 class ChunkTokenizer:
     """``encode(texts)`` gives the flat ids and each text's number of ids."""
 
-    def __init__(self, definition: str, most_chunks: int = 4_000_000):
+    def __init__(self, definition: str, most_chunks: int = 2_000_000):
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_str(definition)
@@ -119,6 +119,15 @@ class ChunkTokenizer:
         self.most = most_chunks
         self.cache = IdCache()
 
+    def _encoded(self, texts: list[str], at_once: int) -> tuple[np.ndarray, np.ndarray]:
+        """Flat ids and numbers of ids; few texts at once, for the library's results are large."""
+        flat, sizes = [np.zeros(0, np.uint32)], [np.zeros(0, np.int64)]
+        for i in range(0, len(texts), at_once):
+            ids = [e.ids for e in self.library.encode_batch_fast(texts[i : i + at_once], add_special_tokens=False)]
+            flat.append(np.fromiter(chain.from_iterable(ids), np.uint32))
+            sizes.append(np.fromiter(map(len, ids), np.int64, len(ids)))
+        return np.concatenate(flat), np.concatenate(sizes)
+
     def _ids(self, chunks: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """Flat ids of the chunks, and each chunk's number of ids.
 
@@ -131,15 +140,13 @@ class ChunkTokenizer:
         if joined:
             pieces = np.fromiter((len(ASCII_PIECES.findall(c.lower())) for c in joined), np.int64, len(joined))
             lines = [" ".join(joined[i : i + 200]) for i in range(0, len(joined), 200)]
-            flat = np.fromiter(chain.from_iterable(e.ids for e in self.library.encode_batch_fast(lines, add_special_tokens=False)), np.uint32)
+            flat, _ = self._encoded(lines, 50)
             at = np.concatenate(([0], np.flatnonzero(self.ends[flat]) + 1))
             if len(at) - 1 == pieces.sum():
                 bounds = at[np.concatenate(([0], np.cumsum(pieces)))]
             else:  # not a vocabulary of that kind
                 joined, others = [], chunks
-        alone = [e.ids for e in self.library.encode_batch_fast(others, add_special_tokens=False)] if others else []
-        rest = np.fromiter(chain.from_iterable(alone), np.uint32)
-        rest_sizes = np.fromiter(map(len, alone), np.int64, len(alone))
+        rest, rest_sizes = self._encoded(others, 2000)
         if not joined:
             return rest, rest_sizes
         self.order = joined + others
@@ -218,6 +225,7 @@ def encoded(batches, definition: str, end_id: int, key: str = "doc_id"):
     """(keys, flat ids, counts with the end id) of each bounded slice of the batches."""
     tok = opened(definition)
     for batch in batches:
-        for part in cut(batch, most=8 << 20):
+        for part in cut(batch, most=2 << 20):
             ids, counts = tok.encode(part.column("text"))
             yield part.column(key), *with_end(ids, counts, end_id)
+        pa.default_memory_pool().release_unused()

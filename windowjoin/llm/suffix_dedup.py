@@ -210,13 +210,14 @@ def _once(rows):
 class Plan:
     """The three steps over one table of texts."""
 
-    def __init__(self, docs: DataFrame, span: int = 400, q: int = 13, hot_buckets: int = 256, part_bytes: int = 128 << 20):
+    def __init__(self, docs: DataFrame, span: int = 400, q: int = 13, hot_buckets: int = 256, part_bytes: int = 128 << 20, words: int = 0, enough: int = 400):
         self.docs, self.spark, self.span, self.q, self.hot = docs, docs.sparkSession, span, q, hot_buckets
+        self.words, self.enough = words, enough
         common.ship(self.spark)
         self.width = common.shuffle_width(self.spark)
         self.buckets, self.part_bytes = self.width, part_bytes
         total = common.texts(docs).agg(F.sum(F.octet_length("text"))).first()[0] or 0
-        self.name_parts = self._parts(0.7 * total)
+        self.name_parts = self._parts(9 * (q + 1) / (q * q + q + 1) * total)
 
     def _parts(self, size: float) -> int:
         """Enough parts that one has ``part_bytes`` at most; a task takes them one after the other."""
@@ -349,7 +350,7 @@ class Plan:
 
     def spans_removed(self, schema: str, row) -> DataFrame:
         """``row(digest, text bytes, run starts, run stops)`` of every distinct text."""
-        span, q = self.span, self.q
+        span, q, words, enough = self.span, self.q, self.words, self.enough
         names = self.sampled_names()
         repeats = self.refined(names)
 
@@ -363,7 +364,7 @@ class Plan:
                 keys, masks = _masks(told, sampler.v)
                 out, size = [], 0
                 for digest, copies, text in texts:
-                    out.append(row(digest, text, *_runs(sampler, text, copies, keys, masks, hot_names, hot_spans)))
+                    out.append(row(digest, text, *_runs(sampler, text, copies, keys, masks, hot_names, hot_spans, words, enough)))
                     size += len(text)
                     if size > 4 << 20:
                         yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True), kinds, strict=True)], names=columns)
@@ -468,13 +469,14 @@ def _starts_near(sampler: Sampler, p: np.ndarray) -> np.ndarray:
     return starts[(starts >= 0) & (starts + sampler.span <= sampler.n)]
 
 
-def _runs(sampler: Sampler, text: bytes, copies: int, keys: np.ndarray, masks: np.ndarray, hot_names: np.ndarray, hot_spans: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Maximal removed runs of a text."""
+def _runs(sampler: Sampler, text: bytes, copies: int, keys: np.ndarray, masks: np.ndarray, hot_names: np.ndarray, hot_spans: np.ndarray, words: int = 0, enough: int = 400) -> tuple[np.ndarray, np.ndarray]:
+    """Maximal removed runs of a text; with ``words`` only of passages of so many words or ``enough`` bytes."""
     none = np.zeros(0, np.int64)
     if len(text) < sampler.span or not (copies > 1 or len(keys) or len(hot_spans)):
         return none, none
     if copies > 1:
-        return np.array([0]), np.array([len(text)])
+        whole = not words or len(text) >= enough or whole_words(text, 0, len(text)) >= words
+        return (np.array([0]), np.array([len(text)])) if whole else (none, none)
     sampler.read(text)
     p = sampler.samples()
     repeated = np.zeros(len(text), bool)
@@ -491,12 +493,22 @@ def _runs(sampler: Sampler, text: bytes, copies: int, keys: np.ndarray, masks: n
         near = _starts_near(sampler, p[np.isin(own, hot_names)])
         repeated[near[np.isin(sampler.name(near, near + sampler.span), hot_spans)]] = True
     starts = np.flatnonzero(repeated)
+    if words and len(starts):
+        passages = np.split(starts, np.flatnonzero(np.diff(starts) > 1) + 1)  # a repeated passage starts spans without a gap
+        stay = [p for p in passages if p[-1] + sampler.span - p[0] >= enough or whole_words(text, int(p[0]), int(p[-1]) + sampler.span) >= words]
+        starts = np.concatenate([none, *stay])
     if not len(starts):
         return none, none
     apart = np.flatnonzero(np.diff(starts) > sampler.span)
     return starts[np.concatenate(([0], apart + 1))], starts[np.concatenate((apart, [len(starts) - 1]))] + sampler.span
 
 
+def whole_words(text: bytes, start: int, stop: int) -> int:
+    """Number of the text's words that lie in the run from end to end."""
+    inside = lambda at: 0 < at < len(text) and not text[at - 1 : at].isspace() and not text[at : at + 1].isspace()
+    return len(text[start:stop].split()) - inside(start) - inside(stop)
+
+
 def kept_bytes(text: bytes, starts: np.ndarray, stops: np.ndarray) -> bytes:
     if not len(starts):
         return text

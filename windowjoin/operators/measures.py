@@ -49,12 +49,14 @@ def comparisons(prepared: DataFrame, pred: Predicate, window: win.Window, layout
     hist = held.groupBy(*bucket.KEYS, "pid").agg(F.count("*").alias("cnt"))
     sizes = hist.groupBy(*bucket.KEYS).agg(F.sum("cnt").alias("size"))
     asked = win.route(win.probes(rows), window, layout).join(table, bucket.KEYS)
-    lo, hi, _, _ = bucket.asked_intervals(pred, F.col("pr_value"), F.col("side") == "R")[0]
-    first = F.lit(0) if lo is None else F.when(lo.isNull(), 0).otherwise(splitters_below(F.col("splitters"), lo))
-    last = F.size("splitters") if hi is None else F.when(hi.isNull(), F.size("splitters")).otherwise(splitters_below(F.col("splitters"), hi))
-    routed = asked.select(*bucket.KEYS, "pr_key", first.cast("int").alias("a"), last.cast("int").alias("b")).join(sizes, bucket.KEYS)
-    total = routed.agg(F.count("*").alias("asked"), F.sum(F.col("b") - F.col("a") + 1).cast("bigint").alias("partitions"), F.sum("size").cast("bigint").alias("full_scan"))
-    touched = routed.withColumn("pid", F.explode(F.sequence("a", "b"))).join(hist, [*bucket.KEYS, "pid"]).agg(F.sum("cnt").cast("bigint").alias("touched"))
+    pids = []
+    for lo, hi, _, _ in bucket.asked_intervals(pred, F.col("pr_value"), F.col("side") == "R"):
+        first = F.lit(0) if lo is None else F.when(lo.isNull(), 0).otherwise(splitters_below(F.col("splitters"), lo))
+        last = F.size("splitters") if hi is None else F.when(hi.isNull(), F.size("splitters")).otherwise(splitters_below(F.col("splitters"), hi))
+        pids.append(F.sequence(first.cast("int"), last.cast("int")))
+    routed = asked.select(*bucket.KEYS, "pr_key", F.array_distinct(F.flatten(F.array(*pids))).alias("pids")).join(sizes, bucket.KEYS)
+    total = routed.agg(F.count("*").alias("asked"), F.sum(F.size("pids")).cast("bigint").alias("partitions"), F.sum("size").cast("bigint").alias("full_scan"))
+    touched = routed.withColumn("pid", F.explode("pids")).join(hist, [*bucket.KEYS, "pid"]).agg(F.sum("cnt").cast("bigint").alias("touched"))
     return total.crossJoin(touched)  # one row each
 
 

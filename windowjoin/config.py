@@ -19,19 +19,34 @@ class CountWindow:
 
 @dataclass(frozen=True)
 class TimeWindow:
-    """Tuples at most ``seconds`` apart, both ends included."""
+    """Tuples at most ``seconds`` apart, both ends included.
+
+    ``disorder``: how far a tuple's time may lie before one that came earlier; probes then
+    also look that far ahead of their own time.
+    """
 
     seconds: int
     exact: bool = True
+    disorder: int = 0
 
 
 @dataclass(frozen=True)
 class Layout:
-    """Subwindow size (tuples, or seconds for time windows), value partitions, worker slots."""
+    """Subwindow size (tuples, or seconds for time windows), value partitions, worker slots.
+
+    ``shares``: tasks among which a subwindow's probes are dealt (its tuples go to each);
+    ``segment``: subwindows whose boundaries one task carries on, after ``warm`` before them;
+    ``lowest``, ``highest``: range of the first boundaries, else the observed one.
+    """
 
     n_sub: int = 500
     partitions: int = 16
     slots: int = 16
+    shares: int = 1
+    segment: int = 16
+    warm: int = 3
+    lowest: int | None = None
+    highest: int | None = None
 
     def live(self, window: CountWindow) -> int:
         """Subwindows that a probe can meet at most."""

@@ -40,12 +40,12 @@ def chain_flow(ranked: DataFrame, pred: Predicate, window: win.Window, slots: in
     return win.pairs(found.withColumns({"st_hops": F.col("hops"), "pr_hops": F.col("hops")}), ("hops",)).withColumnRenamed("s_hops", "hops").drop("r_hops")
 
 
-def chained_tree(ranked: DataFrame, pred: Predicate, window: win.Window, n_sub: int = 500) -> DataFrame:
+def chained_tree(ranked: DataFrame, pred: Predicate, window: win.Window, n_sub: int = 64) -> DataFrame:
     """One ordered index per subwindow, no value partitions: the architecture's ancestor."""
-    from windowjoin.plans import rank
+    from windowjoin.plans import worker
 
-    prepared = prepare(ranked, n_sub)
-    return rank.join(prepared, pred, window, Layout(n_sub, 1))
+    layout = Layout(n_sub, 1)
+    return bucket.theta_filter_pairs(worker.run(prepare(ranked, n_sub), pred, window, layout, "sorted"), pred)
 
 
 def symmetric_hash(ranked: DataFrame, window: win.Window) -> DataFrame:

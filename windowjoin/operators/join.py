@@ -8,8 +8,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from windowjoin.config import CountWindow, Layout, TimeWindow
+from windowjoin.operators.advisor import LARGE_BATCH
 from windowjoin.operators.sequence import prepare
-from windowjoin.plans import bucket, rank
+from windowjoin.plans import bucket, rank, worker
 from windowjoin.plans import window as win
 from windowjoin.predicates import Inequality, NotEqual, Predicate
 
@@ -25,50 +26,60 @@ def window_join(
     n_bat: int = 1,
     result: str = "pairs",
     extra: tuple[str, ...] = (),
+    engine: str = "worker",
+    max_wait: float | None = None,
+    adjust: bool = True,
 ) -> DataFrame:
     """Join the two sides of ``ranked`` (from ``sequence``) over a sliding window.
 
-    ``index``: ``splitter`` (partitions from the subwindow before), ``wideleaf`` (own
-    partitions, no value cut), ``sorted`` (range records, then expansion), ``auto``, or a
-    choice per subwindow. ``n_bat`` above 1 gives the two-buffer batch semantics.
-    ``result``: ``pairs``, ``ranges`` (records of whole subwindows) or ``count`` per probe.
+    ``index``: ``splitter`` (boundaries inherited from the subwindow before and adjusted),
+    ``wideleaf`` (leaves cut as tuples come), ``sorted`` (range records), ``auto`` (chosen per
+    subwindow from its predecessor's statistics), or a choice per subwindow.
+    ``n_bat`` above 1 gives the two-buffer batch semantics; ``max_wait`` seconds close a batch too.
+    ``result``: ``pairs``, ``count`` per probe, ``ranges`` (a record per probe, subwindow and band:
+    places [id_start, id_end) of the sorted run, of which tuples with ranks in [rank_from, rank_to)
+    are in the window), or ``profile`` (a row of work per subwindow).
     ``extra`` names further columns that a Theta's condition or the caller needs.
+    ``engine``: ``worker`` (one exchange, a subwindow in a task) or ``relational`` (equi join on
+    side, subwindow and partition, or window functions; no Python).
     """
     layout = layout or Layout()
-    prepared = prepare(ranked, layout.n_sub, n_bat)
+    prepared = prepare(ranked, layout.n_sub, n_bat, max_wait)
+    if engine == "relational":
+        return _relational(prepared, pred, window, layout, index, result, extra)
+    if engine != "worker" or result not in ("pairs", "count", "ranges", "profile"):
+        raise ValueError(f"{engine}, {result}")
+    if isinstance(index, str) and index not in (*KINDS, "auto"):
+        raise ValueError(index)
+    if result in ("count", "ranges"):
+        index = "sorted"
+    elif index == "auto" and (isinstance(pred, Inequality | NotEqual) or n_bat >= LARGE_BATCH):
+        index = "sorted"
+    choose = index if isinstance(index, str) or callable(index) else _Listed(dict(index))
+    found = worker.run(prepared, pred, window, layout, choose, result, extra, n_bat, adjust)
+    if result == "count":
+        return found.groupBy("probe_side", "probe_key").agg(F.sum("n").cast("bigint").alias("matches"))
+    return bucket.theta_filter_pairs(found, pred) if result == "pairs" else found
+
+
+class _Listed:
+    """Structure by subwindow number, the splitter table where none is named."""
+
+    def __init__(self, kinds: dict[int, str]):
+        self.kinds = kinds
+
+    def __call__(self, sub_id: int) -> str:
+        return self.kinds.get(sub_id, "splitter")
+
+
+def _relational(prepared: DataFrame, pred: Predicate, window: win.Window, layout: Layout, index: str, result: str, extra: tuple[str, ...]) -> DataFrame:
     if result == "ranges":
         return rank.range_records(prepared, pred, window, layout)
     if result == "count":
         return rank.counts_per_probe(prepared, pred, window, layout)
-    if result != "pairs":
-        raise ValueError(result)
-    if not isinstance(index, str):
-        return _mixed(prepared, pred, window, layout, index, extra)
-    if index == "auto":
-        from windowjoin.operators.advisor import choose_plan
-
-        index = choose_plan(pred, n_bat)
-    if index == "sorted":
-        return rank.join(prepared, pred, window, layout, extra)
-    if index not in KINDS:
-        raise ValueError(index)
-    return bucket.join(prepared, pred, window, layout, index, extra)
-
-
-def _mixed(prepared: DataFrame, pred: Predicate, window: win.Window, layout: Layout, index: Mapping[int, str] | Callable[[int], str], extra: tuple[str, ...]) -> DataFrame:
-    """A structure of its own for each subwindow: one branch a kind, branches united."""
-    rows = win.with_subwindows(prepared, window, layout)
-    choose = index if callable(index) else lambda sub: index.get(sub, "splitter")
-    subs = [r.sub_id for r in rows.select("sub_id").distinct().collect()]  # one row a subwindow
-    held, asked = win.stored(rows, extra), win.route(win.probes(rows, extra), window, layout)
-    out = None
-    for kind in KINDS:
-        own = [s for s in subs if choose(s) == kind]
-        if own:
-            table = bucket.subwindow_splitters(rows, layout.partitions, kind).filter(F.col("sub_id").isin(own))
-            part = bucket.theta_filter(bucket.search(held.filter(F.col("sub_id").isin(own)), asked.filter(F.col("sub_id").isin(own)), table, pred, window), pred, extra)
-            out = part if out is None else out.unionByName(part)
-    return out
+    if result != "pairs" or index not in KINDS:
+        raise ValueError(f"{index}, {result}")
+    return rank.join(prepared, pred, window, layout, extra) if index == "sorted" else bucket.join(prepared, pred, window, layout, index, extra)
 
 
 def outer_join(ranked: DataFrame, pred: Predicate, window: win.Window, how: str, layout: Layout | None = None, index: str = "splitter") -> DataFrame:

@@ -13,7 +13,7 @@ from collections.abc import Sequence
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-#: above every arrival number; closes the last, partial batches
+#: above every arrival number
 END = 1 << 60
 
 
@@ -49,9 +49,15 @@ def assign_subwindows(ranked: DataFrame, n_sub: int) -> DataFrame:
     return ranked.withColumn("sub_id", F.expr(f"(rank - 1) div {n_sub}"))
 
 
+def time_slot(micros: str, seconds: int) -> Column:
+    """Number of the time slot, equally long ones before and after 1970."""
+    n = seconds * 1_000_000
+    return F.expr(f"({micros} - pmod({micros}, {n}L)) div {n}L")
+
+
 def assign_time_subwindows(ranked: DataFrame, seconds: int) -> DataFrame:
     """Adds sub_id by time stamp."""
-    return ranked.withColumn("sub_id", F.expr(f"unix_micros(cast(ts as timestamp)) div {seconds * 1_000_000}"))
+    return ranked.withColumn("sub_id", time_slot("unix_micros(cast(ts as timestamp))", seconds))
 
 
 def place(sub_id: Column | str, slots: int) -> Column:
@@ -64,30 +70,34 @@ def collect_batches(ranked: DataFrame, n_bat: int) -> DataFrame:
     return ranked.withColumn("batch_id", F.expr(f"(rank - 1) div {n_bat}"))
 
 
-def timed_batches(ranked: DataFrame, max_count: int, max_wait: float) -> DataFrame:
-    """Batches closed by count or by waiting: a time slot of ``max_wait`` seconds ends a batch too."""
-    slot = F.expr(f"unix_micros(cast(ts as timestamp)) div {int(max_wait * 1_000_000)}")
-    w = Window.partitionBy("side", "slot").orderBy("seq")
-    return ranked.withColumn("slot", slot).withColumn("part", F.expr(f"(row_number() over (partition by side, slot order by seq) - 1) div {max_count}")).withColumn("batch_start", F.min("seq").over(w.partitionBy("side", "slot", "part"))).drop("slot", "part")
-
-
-def prepare(ranked: DataFrame, n_sub: int, n_bat: int = 1) -> DataFrame:
+def prepare(ranked: DataFrame, n_sub: int, n_bat: int = 1, max_wait: float | None = None) -> DataFrame:
     """Adds sub_id, batch_id, done (when the tuple's batch is worked on) and opp (how many
-    tuples of the other stream are in its window structure by then)."""
-    rows = collect_batches(assign_subwindows(ranked, n_sub), n_bat)
+    tuples of the other stream are in its window structure by then).
+
+    A batch closes at ``n_bat`` tuples or, with ``max_wait``, at the next tick of a clock of so
+    many seconds, whichever comes first; at a tick both streams' buffers close, S before R.
+    """
+    rows = assign_subwindows(ranked, n_sub)
     if n_bat == 1:
-        return rows.withColumns({"done": F.col("seq"), "opp": F.when(F.col("side") == "S", F.col("seen_r")).otherwise(F.col("seen_s"))})
-    batches = rows.groupBy("side", "batch_id").agg(F.count("*").alias("n"), F.max("seq").alias("last"), F.max("seen_s").alias("s"), F.max("seen_r").alias("r"))
-    totals = ranked.agg(F.coalesce(F.max("seen_s"), F.lit(0)).alias("tot_s"), F.coalesce(F.max("seen_r"), F.lit(0)).alias("tot_r"))
-    whole = lambda c: F.expr(f"({c} div {n_bat}) * {n_bat}")
-    full, s_side = F.col("n") == n_bat, F.col("side") == "S"
-    closed = batches.crossJoin(F.broadcast(totals)).select(  # totals is one row
-        "side",
-        "batch_id",
-        F.when(full, F.col("last")).when(s_side, F.lit(END)).otherwise(F.lit(END + 1)).alias("done"),
-        F.when(full & s_side, whole("r")).when(full, whole("s")).when(s_side, whole("tot_r")).otherwise(F.col("tot_s")).alias("opp"),
-    )
-    return rows.join(closed, ["side", "batch_id"])
+        return collect_batches(rows, 1).withColumns({"done": F.col("seq"), "opp": F.when(F.col("side") == "S", F.col("seen_r")).otherwise(F.col("seen_s"))})
+    tick = F.lit(0).cast("bigint") if max_wait is None else F.expr(f"(unix_micros(cast(ts as timestamp)) - pmod(unix_micros(cast(ts as timestamp)), {int(max_wait * 1_000_000)}L)) div {int(max_wait * 1_000_000)}L")
+    rows = rows.withColumn("tick", tick)
+    # what both sides had by the end of each tick, and so by its beginning: a row a tick
+    ticks = rows.groupBy("tick").agg(F.max("seen_s").alias("tot_s"), F.max("seen_r").alias("tot_r"), F.max("seq").alias("end_seq"), F.min("seq").alias("first_seq"), F.sum(F.when(F.col("side") == "S", 1).otherwise(0)).alias("n_s"), F.sum(F.when(F.col("side") == "R", 1).otherwise(0)).alias("n_r"))
+    ticks = ticks.select("tick", "tot_s", "tot_r", "end_seq", (F.col("tot_s") - F.col("n_s")).alias("base_s"), (F.col("tot_r") - F.col("n_r")).alias("base_r"))
+    s_side = F.col("side") == "S"
+    base = F.when(s_side, F.col("base_s")).otherwise(F.col("base_r"))
+    rows = rows.join(ticks, "tick").withColumn("batch_in", F.floor((F.col("rank") - 1 - base) / n_bat))
+    batches = rows.groupBy("tick", "side", "batch_in").agg(F.count("*").alias("n"), F.max("seq").alias("last"), F.max("seen_s").alias("s"), F.max("seen_r").alias("r"), F.first("base_s").alias("bs"), F.first("base_r").alias("br"), F.first("tot_s").alias("ts_"), F.first("tot_r").alias("tr"), F.first("end_seq").alias("end"))
+    whole = lambda c, b: F.expr(f"{b} + (({c} - {b}) div {n_bat}) * {n_bat}")
+    full = F.col("n") == n_bat
+    closed = batches.select(
+        "tick", "side", "batch_in",
+        F.when(full, 4 * F.col("last")).when(s_side, 4 * F.col("end") + 1).otherwise(4 * F.col("end") + 2).alias("done"),
+        F.when(full & s_side, whole("r", "br")).when(full, whole("s", "bs")).when(s_side, whole("tr", "br")).otherwise(F.col("ts_")).alias("opp"),
+    )
+    first = F.floor((F.col("rank") - 1) / n_bat) if max_wait is None else F.floor(base / 1) + F.col("batch_in")
+    return rows.withColumn("batch_id", first.cast("bigint")).join(closed, ["tick", "side", "batch_in"]).drop("tick", "batch_in", "tot_s", "tot_r", "base_s", "base_r", "end_seq")
 
 
 def sort_batch(prepared: DataFrame) -> DataFrame:

@@ -4,7 +4,8 @@ A stored tuple has one partition. A probe asks each partition between those of i
 and upper bound, in each live subwindow. Only the two border partitions need the value
 test; tuples of the partitions between are taken as they are. Catalyst sees an equi join
 with a residual condition, so AQE can split skewed partitions and nothing is a nested
-loop. Splitters come per subwindow from one aggregate.
+loop. Splitters come per subwindow from one aggregate. They are compared one by one in the
+JVM, which is meant for few partitions; the worker plan searches them.
 """
 
 from __future__ import annotations
@@ -18,6 +19,8 @@ from windowjoin.plans import window as win
 from windowjoin.predicates import Interval, Predicate, Theta
 
 KEYS = ["side", "sub_id"]
+#: partitions for which comparing all splitters of a row is still cheap
+MOST = 256
 
 
 def asked_intervals(pred: Predicate, value: Column, probe_is_s: Column) -> list[tuple[Column | None, Column | None, Interval, Interval]]:
@@ -59,14 +62,19 @@ def search(stored: DataFrame, asked: DataFrame, table: DataFrame, pred: Predicat
     return found
 
 
-def theta_filter(found: DataFrame, pred: Predicate, extra: tuple[str, ...]) -> DataFrame:
+def theta_filter_pairs(out: DataFrame, pred: Predicate) -> DataFrame:
     """Pairs that also satisfy a Theta's own condition."""
-    out = win.pairs(found, extra)
     return out.filter(F.expr(pred.expr)) if isinstance(pred, Theta) else out
 
 
+def theta_filter(found: DataFrame, pred: Predicate, extra: tuple[str, ...]) -> DataFrame:
+    return theta_filter_pairs(win.pairs(found, extra), pred)
+
+
 def join(prepared: DataFrame, pred: Predicate, window: win.Window, layout: Layout, kind: str = "splitter", extra: tuple[str, ...] = (), table: DataFrame | None = None) -> DataFrame:
     """Pairs of the window join."""
+    if layout.partitions > MOST:
+        raise ValueError(f"more than {MOST} partitions: use the worker plan")
     rows = win.with_subwindows(prepared, window, layout)
     table = subwindow_splitters(rows, layout.partitions, kind) if table is None else table
     asked = win.route(win.probes(rows, extra), window, layout)

@@ -1,4 +1,4 @@
-"""Merge-rank plan: range records instead of pairs.
+"""Merge-rank plan: range records instead of pairs, by window functions alone.
 
 Stored tuples of a (side, subwindow, partition) and the bounds of the probes that fall
 there are put in one order; the running count of stored tuples at a bound, plus the
@@ -79,18 +79,29 @@ def range_records(prepared: DataFrame, pred: Predicate, window: win.Window, layo
     placed = place(win.stored(rows), table)
     asked = win.route(win.probes(rows), window, layout)
     if whole_only:
-        asked = asked.filter(whole_subwindow(window, layout))
+        asked = with_facts(asked, win.stored(rows), window).filter(whole_subwindow(window))
     records = merge_rank(placed, asked, table, fences(placed, table), pred)
     return records.select(F.when(F.col("side") == "R", "S").otherwise("R").alias("probe_side"), F.col("pr_key").alias("probe_key"), "sub_id", "band", "id_start", "id_end", "negated")
 
 
-def whole_subwindow(window: win.Window, layout: Layout) -> Column:
-    """Is the routed subwindow full and wholly inside the probe's window?"""
-    n = layout.n_sub
-    full = (F.col("sub_id") + 1) * n <= F.col("pr_opp")
+def with_facts(asked: DataFrame, held: DataFrame, window: win.Window) -> DataFrame:
+    """Routed probes with their subwindow's first rank, last arrival, oldest and newest time (a row a subwindow)."""
+    facts = [F.min("st_rank").alias("first_rank"), F.max("st_done").alias("last_done")]
+    if isinstance(window, TimeWindow):
+        us = F.unix_micros(F.col("st_ts").cast("timestamp"))
+        facts += [F.min(us).alias("oldest"), F.max(us).alias("newest")]
+    return asked.join(held.groupBy(*KEYS).agg(*facts), KEYS)
+
+
+def whole_subwindow(window: win.Window) -> Column:
+    """Is every tuple of the routed subwindow in the probe's window? From the subwindow's facts."""
+    inside = F.col("pr_done") > F.col("last_done")
     if isinstance(window, CountWindow) and window.exact:
-        full = full & (F.col("sub_id") * n + 1 > F.col("pr_opp") - window.size)
-    return full
+        inside = inside & (F.col("pr_opp") - F.col("first_rank") < window.size)
+    if isinstance(window, TimeWindow) and window.exact:
+        us, reach = F.unix_micros(F.col("pr_ts").cast("timestamp")), window.seconds * 1_000_000
+        inside = inside & (us - F.col("oldest") <= reach) & (F.col("newest") - us <= reach)
+    return inside
 
 
 def expand(records: DataFrame, run: DataFrame) -> DataFrame:
@@ -106,15 +117,13 @@ def join(prepared: DataFrame, pred: Predicate, window: win.Window, layout: Layou
     rows = win.with_subwindows(prepared, window, layout)
     table = subwindow_splitters(rows, layout.partitions, "sorted")
     held = win.stored(rows, extra)
-    asked = win.route(win.probes(rows, extra), window, layout)
-    if isinstance(window, TimeWindow):
-        return bucket.theta_filter(bucket.search(held, asked, table, pred, window), pred, extra)
-    inside = whole_subwindow(window, layout)
+    asked = with_facts(win.route(win.probes(rows, extra), window, layout), held, window)
+    inside = whole_subwindow(window)
     placed = place(held, table)
     fence = fences(placed, table)
     records = merge_rank(placed, asked.filter(inside), table, fence, pred)
     # a whole subwindow below the probe's count was worked on before the probe
-    wide = expand(records.drop("band"), mirror(placed, fence)).join(win.probes(rows, extra).drop("pr_opp", "pr_done"), ["side", "pr_key"])
+    wide = expand(records.drop("band"), mirror(placed, fence)).join(win.probes(rows, extra).drop("pr_opp", "pr_done", "pr_ts"), ["side", "pr_key"])
     border = bucket.search(held, asked.filter(~inside), table, pred, window)
     return bucket.theta_filter(wide, pred, extra).unionByName(bucket.theta_filter(border, pred, extra))
 
@@ -125,8 +134,8 @@ def counts_per_probe(prepared: DataFrame, pred: Predicate, window: win.Window, l
     table = subwindow_splitters(rows, layout.partitions, "sorted")
     held = win.stored(rows)
     placed = place(held, table)
-    asked = win.route(win.probes(rows), window, layout)
-    inside = whole_subwindow(window, layout)
+    asked = with_facts(win.route(win.probes(rows), window, layout), held, window)
+    inside = whole_subwindow(window)
     fence = fences(placed, table)
     records = merge_rank(placed, asked.filter(inside), table, fence, pred).join(fence.groupBy(*KEYS).agg(F.sum("cnt").alias("size")), KEYS)
     width = F.col("id_end") - F.col("id_start")

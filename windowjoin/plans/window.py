@@ -10,7 +10,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from windowjoin.config import CountWindow, Layout, TimeWindow
-from windowjoin.operators.sequence import assign_time_subwindows
+from windowjoin.operators.sequence import assign_time_subwindows, time_slot
 
 Window = CountWindow | TimeWindow | None
 OTHER = {"S": "R", "R": "S"}
@@ -36,15 +36,15 @@ def probes(prepared: DataFrame, extra: tuple[str, ...] = ()) -> DataFrame:
     return prepared.filter("value is not null").select(target, F.col("done").alias("pr_done"), F.col("opp").alias("pr_opp"), F.col("key").alias("pr_key"), F.col("value").alias("pr_value"), *(F.col(c).alias(f"pr_{c}") for c in (*keep, *extra)))
 
 
-def live_range(window: Window, layout: Layout) -> tuple[Column, Column]:
+def live_range(window: Window, layout: Layout, opp: str = "pr_opp", micros: str = "unix_micros(cast(pr_ts as timestamp))") -> tuple[Column, Column]:
     """First and last subwindow that a probe meets; none if first > last."""
     n = layout.n_sub
     if isinstance(window, TimeWindow):
-        micros = "unix_micros(cast(pr_ts as timestamp))"
-        return F.expr(f"({micros} - {window.seconds * 1_000_000}L) div {n * 1_000_000}L"), F.expr(f"{micros} div {n * 1_000_000}L")
+        ahead = min(window.seconds, window.disorder) * 1_000_000
+        return time_slot(f"({micros} - {window.seconds * 1_000_000}L)", n), time_slot(f"({micros} + {ahead}L)", n)
     if window is None:
-        return F.lit(0).cast("bigint"), F.expr(f"(pr_opp + {n - 1}) div {n} - 1")
-    return F.expr(f"greatest(0L, pr_opp - {window.size}) div {n}"), F.expr(f"(pr_opp + {n - 1}) div {n} - 1")
+        return F.lit(0).cast("bigint"), F.expr(f"({opp} + {n - 1}) div {n} - 1")
+    return F.expr(f"greatest(0L, {opp} - {window.size}) div {n}"), F.expr(f"({opp} + {n - 1}) div {n} - 1")
 
 
 def route(asked: DataFrame, window: Window, layout: Layout) -> DataFrame:
@@ -59,7 +59,7 @@ def in_window(window: Window) -> Column:
     if window is None:
         return earlier
     if isinstance(window, TimeWindow):
-        apart = F.expr("unix_micros(cast(pr_ts as timestamp)) - unix_micros(cast(st_ts as timestamp))")
+        apart = F.abs(F.expr("unix_micros(cast(pr_ts as timestamp)) - unix_micros(cast(st_ts as timestamp))"))
         return earlier & (apart <= window.seconds * 1_000_000) if window.exact else earlier
     if not window.exact:  # whole subwindows: what routing let through
         return earlier

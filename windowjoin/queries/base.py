@@ -62,3 +62,18 @@ SELECT {PAIR} FROM sb AS s JOIN rb AS r ON {condition}
 
 def band(eps: int) -> str:
     return f"r.value BETWEEN s.value - {eps} AND s.value + {eps}"
+
+
+def wait_sql(condition: str, w: int, n: int, seconds: int) -> str:
+    """The same where a clock of so many seconds closes batches too, S before R."""
+    return f"""{events_sql()},
+k AS (SELECT *, us // {seconds}000000 AS tick FROM x),
+t AS (SELECT tick, max(seen_s) AS ts_, max(seen_r) AS tr, max(seq) AS e, max(seen_s) - count(*) FILTER (WHERE side = 'S') AS bs, max(seen_r) - count(*) FILTER (WHERE side = 'R') AS br FROM k GROUP BY tick),
+z AS (SELECT k.*, ts_, tr, e, bs, br, (rank - 1 - CASE side WHEN 'S' THEN bs ELSE br END) // {n} AS bid FROM k JOIN t ON k.tick = t.tick),
+c AS (SELECT tick AS ct, side AS cs, bid AS cb,
+  CASE WHEN count(*) = {n} THEN 4 * max(seq) WHEN side = 'S' THEN 4 * max(e) + 1 ELSE 4 * max(e) + 2 END AS done,
+  CASE WHEN count(*) = {n} AND side = 'S' THEN max(br) + (max(seen_r) - max(br)) // {n} * {n} WHEN count(*) = {n} THEN max(bs) + (max(seen_s) - max(bs)) // {n} * {n} WHEN side = 'S' THEN max(br) + (max(tr) - max(br)) // {n} * {n} ELSE max(ts_) END AS opp FROM z GROUP BY tick, side, bid),
+y AS (SELECT z.*, c.done, c.opp FROM z JOIN c ON z.tick = c.ct AND z.side = c.cs AND z.bid = c.cb),
+sb AS (SELECT * FROM y WHERE side = 'S'), rb AS (SELECT * FROM y WHERE side = 'R')
+SELECT {PAIR} FROM sb AS s JOIN rb AS r ON {condition}
+ AND ((s.done > r.done AND s.opp - r.rank < {w}) OR (r.done > s.done AND r.opp - s.rank < {w}))"""

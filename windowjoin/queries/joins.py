@@ -9,12 +9,12 @@ from windowjoin.config import CountWindow, Layout, TimeWindow
 from windowjoin.operators import baselines, sequence
 from windowjoin.operators.join import outer_join, theta_pairs, top_matches, window_join
 from windowjoin.predicates import Band, Equi, Inequality, MultiBand, NotEqual, Theta
-from windowjoin.queries.base import CENTS, EVENTS, PAIR, band, batch_sql, clicks_views, count_window_sql, events_sql, table
+from windowjoin.queries.base import CENTS, EVENTS, PAIR, band, batch_sql, clicks_views, count_window_sql, events_sql, table, wait_sql
 from windowjoin.streaming import replay
 
 QUERIES: dict = {}
 SQL: dict[str, str] = {}
-W, NEAR, LAYOUT = CountWindow(500), Band(-50, 50), Layout(500, 16)
+W, NEAR, LAYOUT = CountWindow(500), Band(-50, 50), Layout(64, 16)
 DAY = 86_400
 
 
@@ -36,7 +36,17 @@ def _plain(f):
 EXACT = count_window_sql(band(50))
 for kind in ("splitter", "wideleaf", "sorted", "auto"):
     query(f"band_count_window_{kind}", EXACT)(_plain(lambda ev, kind=kind: window_join(ev, NEAR, W, LAYOUT, kind)))
-query("band_count_window_mixed", EXACT)(_plain(lambda ev: window_join(ev, NEAR, W, Layout(250, 16), lambda sub: ("splitter", "wideleaf", "sorted")[sub % 3])))
+query("band_count_window_mixed", EXACT)(_plain(lambda ev: window_join(ev, NEAR, W, LAYOUT, lambda sub: ("splitter", "wideleaf", "sorted")[sub % 3])))
+query("band_count_window_shares", EXACT)(_plain(lambda ev: window_join(ev, NEAR, W, Layout(64, 16, shares=3), "sorted")))
+for p in (256, 4096):  # more partitions than tuples, too
+    query(f"band_count_window_splitter_{p}", EXACT)(_plain(lambda ev, p=p: window_join(ev, NEAR, W, Layout(64, p), "splitter")))
+for kind in ("wideleaf", "sorted"):
+    query(f"band_count_window_relational_{kind}", EXACT)(_plain(lambda ev, kind=kind: window_join(ev, NEAR, W, LAYOUT, kind, engine="relational")))
+WIDE = count_window_sql(band(50), 2000)
+for kind in ("splitter", "wideleaf", "sorted"):
+    query(f"band_count_window_2000_{kind}", WIDE)(_plain(lambda ev, kind=kind: window_join(ev, NEAR, CountWindow(2000), Layout(256, 64), kind)))
+query("band_count_window_2000_nested", WIDE)(_plain(lambda ev: baselines.nested_loop(ev, NEAR, CountWindow(2000))))
+query("band_count_window_2000_split_replicate", WIDE)(_plain(lambda ev: baselines.split_replicate(ev, NEAR, CountWindow(2000))))
 query("band_count_window_nested", EXACT)(_plain(lambda ev: baselines.nested_loop(ev, NEAR, W)))
 query("band_count_window_split_replicate", EXACT)(_plain(lambda ev: baselines.split_replicate(ev, NEAR, W)))
 query("band_count_window_chained_tree", EXACT)(_plain(lambda ev: baselines.chained_tree(ev, NEAR, W)))
@@ -50,7 +60,30 @@ SELECT {PAIR} FROM s JOIN r ON {band(50)}
  AND ((s.seq > r.seq AND (r.rank - 1) // 200 >= greatest(0, s.seen_r - 500) // 200) OR (r.seq > s.seq AND (s.rank - 1) // 200 >= greatest(0, r.seen_s - 500) // 200))""")(
     _plain(lambda ev: window_join(ev, NEAR, CountWindow(500, exact=False), Layout(200, 16), "wideleaf"))
 )
-query("band_time_window", f"{events_sql()} SELECT {PAIR} FROM s JOIN r ON {band(50)} AND abs(s.us - r.us) <= {DAY}000000")(_plain(lambda ev: window_join(ev, NEAR, TimeWindow(DAY), Layout(DAY, 16), "wideleaf")))
+for kind in ("splitter", "sorted"):
+    query(f"band_time_window_{kind}", f"{events_sql()} SELECT {PAIR} FROM s JOIN r ON {band(50)} AND abs(s.us - r.us) <= {DAY}000000")(_plain(lambda ev, kind=kind: window_join(ev, NEAR, TimeWindow(DAY), Layout(DAY // 8, 16), kind)))
+TIMED = f"""{events_sql()},
+p AS (SELECT s.key AS k, 'S' AS side FROM s JOIN r ON {band(50)} AND s.seq > r.seq AND s.us - r.us <= {DAY}000000
+UNION ALL SELECT r.key, 'R' FROM s JOIN r ON {band(50)} AND r.seq > s.seq AND r.us - s.us <= {DAY}000000)
+SELECT side AS probe_side, k AS probe_key, count(*) AS matches FROM p GROUP BY ALL"""
+query("time_window_counts", TIMED)(_plain(lambda ev: window_join(ev, NEAR, TimeWindow(DAY), Layout(DAY // 8, 16), result="count")))
+query("time_window_counts_relational", TIMED)(_plain(lambda ev: window_join(ev, NEAR, TimeWindow(DAY), Layout(DAY // 8, 16), result="count", engine="relational")))
+#: times before 1970 and two arrivals a second: slot numbers are negative and small against arrival numbers
+query("time_window_counts_1969", TIMED)(_plain(lambda ev: window_join(ev.withColumn("ts", F.col("ts") - F.expr("INTERVAL 55 YEARS")), NEAR, TimeWindow(DAY), Layout(DAY // 8, 16), result="count")))
+RANGED = f"""{{events}}, m AS (SELECT *, {{sub}} AS sub_id, row_number() OVER (PARTITION BY side, {{sub}} ORDER BY value, key) - 1 AS pos FROM x),
+a AS (SELECT p.side AS probe_side, p.key AS probe_key, m.sub_id, count(*) FILTER (WHERE m.value < p.value - 50) AS id_start, count(*) FILTER (WHERE m.value <= p.value + 50) AS id_end
+ FROM x p JOIN m ON m.side <> p.side AND {{live}} GROUP BY ALL)
+SELECT probe_side, probe_key, sub_id, id_start, id_end FROM a WHERE id_end > id_start"""
+
+
+def _records(ev: DataFrame, window, layout: Layout) -> DataFrame:
+    return window_join(ev, NEAR, window, layout, result="ranges").filter("id_end > id_start").select("probe_side", "probe_key", "sub_id", "id_start", "id_end")
+
+
+query("count_window_ranges", RANGED.format(events=events_sql(), sub="(rank - 1) // 64", live="m.sub_id BETWEEN greatest(0, (CASE p.side WHEN 'S' THEN p.seen_r ELSE p.seen_s END) - 500) // 64 AND ((CASE p.side WHEN 'S' THEN p.seen_r ELSE p.seen_s END) + 63) // 64 - 1"))(_plain(lambda ev: _records(ev, W, LAYOUT)))
+query("time_window_ranges", RANGED.format(events=events_sql(), sub=f"us // {DAY // 4}000000", live=f"m.sub_id BETWEEN (p.us - {DAY}000000) // {DAY // 4}000000 AND p.us // {DAY // 4}000000"))(_plain(lambda ev: _records(ev, TimeWindow(DAY), Layout(DAY // 4, 16))))
+query("batch_or_wait_window", wait_sql(band(50), 500, 32, 21_600))(_plain(lambda ev: window_join(ev, NEAR, W, LAYOUT, "sorted", n_bat=32, max_wait=21_600)))
+query("band_time_window", f"{events_sql()} SELECT {PAIR} FROM s JOIN r ON {band(50)} AND abs(s.us - r.us) <= {DAY}000000")(_plain(lambda ev: window_join(ev, NEAR, TimeWindow(DAY), Layout(DAY // 8, 16), "wideleaf")))
 for sign, name in (("<", "lt"), ("<=", "le"), (">", "gt"), (">=", "ge")):
     query(f"inequality_window_{name}", f"""{events_sql()},
 p AS (SELECT s.key AS k, 'S' AS side FROM s JOIN r ON s.value {sign} r.value AND s.seq > r.seq AND s.seen_r - r.rank < 500
@@ -67,7 +100,7 @@ SELECT side AS probe_side, k AS probe_key, count(*) AS matches FROM p GROUP BY A
 TWO = "(r.value BETWEEN s.value - 5 AND s.value + 5 OR r.value BETWEEN s.value + 20 AND s.value + 35)"
 query("multi_band_window", count_window_sql(TWO))(_plain(lambda ev: window_join(ev, MultiBand(((-5, 5), (20, 35))), W, LAYOUT, "wideleaf")))
 query("multi_band_window_sorted", count_window_sql(TWO))(_plain(lambda ev: window_join(ev, MultiBand(((-5, 5), (20, 35))), W, LAYOUT, "sorted")))
-query("not_equal_pairs_small", count_window_sql("s.value <> r.value", 20))(_plain(lambda ev: window_join(ev, NotEqual(), CountWindow(20), Layout(40, 4), "sorted")))
+query("not_equal_pairs_small", count_window_sql("s.value <> r.value", 20))(_plain(lambda ev: window_join(ev, NotEqual(), CountWindow(20), Layout(4, 4), "sorted")))
 
 
 @query("theta_extra_field_window", count_window_sql(band(200) + " AND s.user_id % 2 = r.user_id % 2"))
@@ -78,7 +111,7 @@ def _theta(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("equi_time_window", f"{events_sql('user_id')} SELECT {PAIR} FROM s JOIN r ON s.value = r.value AND abs(s.us - r.us) <= 21600000000")
 def _equi_time(spark, sf_dir):
-    return window_join(clicks_views(spark, sf_dir, "user_id"), Equi(), TimeWindow(21_600), Layout(21_600, 16), "wideleaf")
+    return window_join(clicks_views(spark, sf_dir, "user_id"), Equi(), TimeWindow(21_600), Layout(2_700, 16), "wideleaf")
 
 
 query("equi_hash_window", count_window_sql("s.value = r.value", value="user_id"))(lambda spark, d: baselines.symmetric_hash(clicks_views(spark, d, "user_id"), W))
@@ -163,7 +196,7 @@ SELECT {PAIR} FROM s JOIN r ON s.value = r.value AND ((s.seq > r.seq AND s.seen_
 def _json(spark, d):
     e = table(spark, d, "events").filter(F.col("event_type").isin("click", "view"))
     rows = e.select(F.when(F.col("event_type") == "click", "S").otherwise("R").alias("side"), F.col("event_id").alias("key"), F.get_json_object("props", "$.k").cast("bigint").alias("value"), "ts")
-    return window_join(sequence.sequence(rows, ["ts", "key"], F.date_trunc("hour", "ts")), Equi(), CountWindow(200), Layout(200, 8), "wideleaf")
+    return window_join(sequence.sequence(rows, ["ts", "key"], F.date_trunc("hour", "ts")), Equi(), CountWindow(200), Layout(25, 8), "wideleaf")
 
 
 @query("increasing_values_wideleaf", "WITH s AS (SELECT o_orderkey AS k FROM orders WHERE o_orderkey % 2 = 0), r AS (SELECT o_orderkey AS k FROM orders WHERE o_orderkey % 2 = 1) SELECT s.k AS s_key, r.k AS r_key FROM s JOIN r ON r.k BETWEEN s.k - 5 AND s.k + 5")

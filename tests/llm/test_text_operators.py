@@ -10,6 +10,8 @@ import pyarrow as pa
 import pytest
 import xxhash
 
+from pyspark.sql import functions as F
+
 from tests.llm import edge
 from windowjoin.llm import common, gif_media, multiset_hash, quality, simhash, suffix_dedup, url_templates
 from windowjoin.llm.queries import URL_RULES
@@ -306,6 +308,31 @@ def test_repeats_of_edited_copies(spark, monkeypatch):
     assert sorted(map(tuple, got)) == sorted(wants(list(enumerate(rows)), 60))
 
 
+def test_repeats_and_passages(spark):
+    rng = random.Random(12)
+    base = edge.words(rng, 400)
+    rows = [None, "", base, base, "one more " + base[:350], base[100:500], base[-200:] + "x" + base[-200:]]
+    for i in range(20):
+        x = list(base)
+        for _ in range(rng.randrange(5)):
+            at = rng.randrange(len(x))
+            x[at : at + rng.randrange(3)] = rng.choice(["", "Q", "qq"])
+        rows.append("".join(x))
+    docs = edge.table(spark, rows)
+    pairs = [(r.doc_id, r.text) for r in docs.collect()]
+    got = suffix_dedup.repeats_and_passages(docs, 400).collect()
+    assert sorted((tuple(r)[:5] for r in got), key=repr) == sorted(wants(pairs, 400), key=repr)
+    left = suffix_dedup.remove_repeats(docs, span=101, q=7, words=51, enough=400).select("doc_id", F.coalesce("text", F.lit("")).alias("text")).collect()
+    assert sorted(((r.doc_id, r.text) for r in got), key=repr) == sorted(map(tuple, left), key=repr)
+
+
+@pytest.mark.parametrize("make", MAKES)
+def test_repeats_and_passages_on_edges(spark, make):
+    docs = make(spark)
+    got = suffix_dedup.repeats_and_passages(docs, 400).select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256").collect()
+    assert sorted(map(tuple, got), key=repr) == sorted(wants([(r.doc_id, r.text) for r in docs.collect()], 400), key=repr)
+
+
 @pytest.mark.parametrize("q", [3, 5, 7, 13, 17])
 def test_difference_cover(q):
     v, d = suffix_dedup.difference_cover(q)
@@ -351,9 +378,30 @@ def test_url_rules(spark, n):
 def test_templates_merge_alike_and_reject_impure(spark):
     rows = []
     for k in range(200):
-        rows += [("h.net", f"/a{k % 5}/item/{k}", None), ("h.net", f"/bad/x{k}-y-z-w/{k}.html", "block"), ("h.net", f"/good/{k}", "allow"), ("k.net", f"/bad/{k}", None)]
+        branch = ("ann", "ben", "cat", "dan", "eve")[k % 5]
+        rows += [("h.net", f"/{branch}/item/{k}", None), ("h.net", f"/bad/x{k}-y-z-w/{k}.html", "block"), ("h.net", f"/good/{k}", "allow"), ("k.net", f"/bad/{k}", None)]
     found = url_templates.learn(spark.createDataFrame(rows, "host string, path string, label string"))
     by = {(r.host, r.typed): r for r in found.collect()}
-    assert {by[("h.net", f"a{k}/item/<n>")].template for k in range(5)} == {"*/item/<n>"}
+    assert {by[("h.net", f"{b}/item/<n>")].template for b in ("ann", "ben", "cat", "dan", "eve")} == {"*/item/<n>"}
     assert by[("h.net", "bad/<s>/<n>.html")].verdict == "block" and by[("h.net", "good/<n>")].verdict == "allow"
-    assert by[("h.net", "a1/item/<n>")].verdict == "allow" and by[("k.net", "bad/<n>")].verdict == "allow"
+    assert by[("h.net", "ann/item/<n>")].verdict == "allow" and by[("k.net", "bad/<n>")].verdict == "allow"
+
+
+def test_templates_learn_held_out_labels(spark):
+    """Every third label of each branch is hidden; the tree has to give it back."""
+    rows = []
+    for k in range(300):
+        rows += [("a.com", f"/de/{k}/x{k % 7}", "block"), ("a.com", f"/fr/{k}/x{k % 7}", "allow"), ("b.com", f"/de/list/{k}", "block")]
+    hidden = [(h, p, None if i // 3 % 3 == 0 else v) for i, (h, p, v) in enumerate(rows)]
+    typed = spark.createDataFrame(rows, "host string, path string, label string").withColumn("typed", F.array_join(url_templates.typed_segments(), "/"))
+    found = url_templates.learn(spark.createDataFrame(hidden, "host string, path string, label string"))
+    held = typed.join(found, ["host", "typed"])
+    assert held.count() == len(rows) and held.filter("label <> verdict").isEmpty()
+    assert held.filter("verdict = 'block'").count() == 600
+
+
+def test_deep_paths_stay_apart(spark):
+    deep = "/a/b/c/d/e/f/g/h/"
+    rows = [("h.net", f"{deep}{end}", label) for end, label in (("spam/one", "block"), ("fine/one", "allow")) for _ in range(40)]
+    found = url_templates.learn(spark.createDataFrame(rows, "host string, path string, label string")).collect()
+    assert {(r.typed, r.verdict) for r in found} == {("a/b/c/d/e/f/g/h/spam/one", "block"), ("a/b/c/d/e/f/g/h/fine/one", "allow")}

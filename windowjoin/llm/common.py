@@ -18,9 +18,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from windowjoin.runtime import drop_path, new_path, ship, shared_root, shuffle_width, written
+from windowjoin.runtime import drop_path, forget, new_path, ship, shared_root, shuffle_width, written
 
-__all__ = ["cut", "drop_path", "new_path", "offsets", "ranges", "read_documents", "shared_root", "ship", "shuffle_width", "task_partition", "texts", "utf8", "written"]
+__all__ = ["cut", "drop_path", "forget", "new_path", "offsets", "ranges", "read_documents", "shared_root", "ship", "shuffle_width", "task_partition", "texts", "utf8", "written"]
 
 def texts(docs: DataFrame, *keep: str, text: str = "text") -> DataFrame:
     """The needed columns only; a null text becomes empty."""

@@ -71,7 +71,7 @@ def op7_simhash_components(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_suffix_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return suffix_dedup.repeat_digests(common.read_documents(spark, sf_dir), span=400)
+    return suffix_dedup.repeats_and_passages(common.read_documents(spark, sf_dir), span=400)
 
 
 def op9_harmonic_packing(spark: SparkSession, sf_dir: str) -> DataFrame:

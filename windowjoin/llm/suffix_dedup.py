@@ -349,7 +349,8 @@ class Plan:
         return common.written(self._to_parts(self._in_buckets(names).mapInArrow(local, BLOCK_SCHEMA)).mapInArrow(settle, BLOCK_SCHEMA).drop("part"), "repeats")
 
     def spans_removed(self, schema: str, row) -> DataFrame:
-        """``row(digest, text bytes, run starts, run stops)`` of every distinct text."""
+        """``row(digest, text bytes, run starts, run stops, length of the longest run of repeated
+        bytes, copies)`` of every distinct text."""
         span, q, words, enough = self.span, self.q, self.words, self.enough
         names = self.sampled_names()
         repeats = self.refined(names)
@@ -364,7 +365,7 @@ class Plan:
                 keys, masks = _masks(told, sampler.v)
                 out, size = [], 0
                 for digest, copies, text in texts:
-                    out.append(row(digest, text, *_runs(sampler, text, copies, keys, masks, hot_names, hot_spans, words, enough)))
+                    out.append(row(digest, text, *_runs(sampler, text, copies, keys, masks, hot_names, hot_spans, words, enough), copies))
                     size += len(text)
                     if size > 4 << 20:
                         yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True), kinds, strict=True)], names=columns)
@@ -373,7 +374,9 @@ class Plan:
                     yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True), kinds, strict=True)], names=columns)
 
         told = repeats.unionByName(names)
-        return self._in_buckets(told).mapInArrow(local, schema)
+        out = common.written(self._in_buckets(told).mapInArrow(local, schema), "removed")
+        common.forget(names, repeats)
+        return out
 
 
 def _partners(batches, hot: int):
@@ -469,14 +472,15 @@ def _starts_near(sampler: Sampler, p: np.ndarray) -> np.ndarray:
     return starts[(starts >= 0) & (starts + sampler.span <= sampler.n)]
 
 
-def _runs(sampler: Sampler, text: bytes, copies: int, keys: np.ndarray, masks: np.ndarray, hot_names: np.ndarray, hot_spans: np.ndarray, words: int = 0, enough: int = 400) -> tuple[np.ndarray, np.ndarray]:
-    """Maximal removed runs of a text; with ``words`` only of passages of so many words or ``enough`` bytes."""
+def _runs(sampler: Sampler, text: bytes, copies: int, keys: np.ndarray, masks: np.ndarray, hot_names: np.ndarray, hot_spans: np.ndarray, words: int = 0, enough: int = 400) -> tuple[np.ndarray, np.ndarray, int]:
+    """Maximal removed runs of a text, with ``words`` only of passages of so many words or ``enough``
+    bytes; and the length of its longest run of repeated bytes, whatever its words."""
     none = np.zeros(0, np.int64)
     if len(text) < sampler.span or not (copies > 1 or len(keys) or len(hot_spans)):
-        return none, none
+        return none, none, 0
     if copies > 1:
         whole = not words or len(text) >= enough or whole_words(text, 0, len(text)) >= words
-        return (np.array([0]), np.array([len(text)])) if whole else (none, none)
+        return (np.array([0]), np.array([len(text)]), len(text)) if whole else (none, none, len(text))
     sampler.read(text)
     p = sampler.samples()
     repeated = np.zeros(len(text), bool)
@@ -493,14 +497,17 @@ def _runs(sampler: Sampler, text: bytes, copies: int, keys: np.ndarray, masks: n
         near = _starts_near(sampler, p[np.isin(own, hot_names)])
         repeated[near[np.isin(sampler.name(near, near + sampler.span), hot_spans)]] = True
     starts = np.flatnonzero(repeated)
-    if words and len(starts):
-        passages = np.split(starts, np.flatnonzero(np.diff(starts) > 1) + 1)  # a repeated passage starts spans without a gap
+    if not len(starts):
+        return none, none, 0
+    passages = np.split(starts, np.flatnonzero(np.diff(starts) > 1) + 1)  # a repeated passage starts spans without a gap
+    longest = max(map(len, passages)) - 1 + sampler.span
+    if words:
         stay = [p for p in passages if p[-1] + sampler.span - p[0] >= enough or whole_words(text, int(p[0]), int(p[-1]) + sampler.span) >= words]
         starts = np.concatenate([none, *stay])
-    if not len(starts):
-        return none, none
+        if not len(starts):
+            return none, none, longest
     apart = np.flatnonzero(np.diff(starts) > sampler.span)
-    return starts[np.concatenate(([0], apart + 1))], starts[np.concatenate((apart, [len(starts) - 1]))] + sampler.span
+    return starts[np.concatenate(([0], apart + 1))], starts[np.concatenate((apart, [len(starts) - 1]))] + sampler.span, longest
 
 
 def whole_words(text: bytes, start: int, stop: int) -> int:
@@ -518,11 +525,46 @@ def kept_bytes(text: bytes, starts: np.ndarray, stops: np.ndarray) -> bytes:
 def repeat_digests(docs: DataFrame, span: int = 400, **options) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans and the digest of the kept bytes of every document."""
 
-    def row(digest, text, starts, stops):
+    def row(digest, text, starts, stops, longest, copies):
         return digest, len(text), int((stops - starts).sum()), len(starts), hashlib.sha256(kept_bytes(text, starts, stops)).hexdigest()
 
     found = Plan(docs, span, **options).spans_removed("digest string, n_bytes long, n_removed long, n_spans long, kept_sha256 string", row)
-    return _with_digest(docs, "doc_id").join(common.written(found, "removed"), "digest").drop("digest")
+    return _with_digest(docs, "doc_id").join(found, "digest").drop("digest")
+
+
+#: the least bytes that 51 words can have, and the cover that fits
+PASSAGE_SPAN, PASSAGE_Q, PASSAGE_WORDS = 101, 7, 51
+
+
+def repeats_and_passages(docs: DataFrame, span: int = 400, words: int = PASSAGE_WORDS, **options) -> DataFrame:
+    """The columns of ``repeat_digests`` and ``text``: what is left without repeated passages of
+    ``words`` words or more, or ``span`` bytes.
+
+    The passages are looked for first, at the least length that so many words can have. Every
+    start of a repeated string of ``span`` bytes lies in a run of repeated starts of the short
+    length, so only texts with such a run of ``span`` bytes are looked through again.
+    """
+    if span < PASSAGE_SPAN:
+        raise ValueError(f"a span of {PASSAGE_SPAN} bytes or more")
+    options = {"q": 13} | options
+
+    def passages(digest, text, starts, stops, longest, copies):
+        left = kept_bytes(text, starts, stops).decode("utf-8", "ignore") if len(starts) else None
+        again = text.decode() if longest >= span else None
+        return digest, left, again, min(copies, 2)
+
+    def spans(digest, text, starts, stops, longest, copies):
+        return digest, int((stops - starts).sum()), len(starts), hashlib.sha256(kept_bytes(text, starts, stops)).hexdigest()
+
+    short = Plan(docs, PASSAGE_SPAN, PASSAGE_Q, words=words, enough=span, hot_buckets=options.get("hot_buckets", 256))
+    first = short.spans_removed("digest string, left__text string, again__text string, copies long", passages)
+    again = first.filter("again__text is not null").select(F.explode(F.array_repeat("again__text", F.col("copies").cast("int"))).alias("text"))
+    second = Plan(again, span, **options).spans_removed("digest string, n_removed long, n_spans long, kept_sha256 string", spans)
+    changed = first.filter("left__text is not null").select("digest", "left__text").join(second.filter("n_spans > 0"), "digest", "full")
+    body = F.coalesce("text", F.lit(""))
+    own = docs.select("doc_id", body.alias("text"), F.md5(body.cast("binary")).alias("digest")).join(changed, "digest", "left")
+    nothing = lambda c: F.coalesce(c, F.lit(0)).cast("long").alias(c)
+    return own.select("doc_id", F.octet_length("text").cast("long").alias("n_bytes"), nothing("n_removed"), nothing("n_spans"), F.coalesce("kept_sha256", F.sha2(F.col("text").cast("binary"), 256)).alias("kept_sha256"), F.coalesce("left__text", "text").alias("text"))
 
 
 def _with_digest(docs: DataFrame, *keep: str) -> DataFrame:
@@ -536,11 +578,11 @@ def remove_repeats(docs: DataFrame, span: int = 400, **options) -> DataFrame:
     A text that loses nothing, a null one included, stays as it is.
     """
 
-    def row(digest, text, starts, stops):
+    def row(digest, text, starts, stops, longest, copies):
         return digest, len(starts), kept_bytes(text, starts, stops).decode("utf-8", "ignore") if len(starts) else None
 
     found = Plan(docs, span, **options).spans_removed("digest__own string, spans__own long, kept__own string", row)
-    changed = common.written(found.filter("spans__own > 0"), "changed")
+    changed = found.filter("spans__own > 0")
     own = F.md5(F.coalesce("text", F.lit("")).cast("binary"))
     joined = docs.join(changed, own == F.col("digest__own"), "left")
     text = F.when(F.col("spans__own") > 0, F.col("kept__own")).otherwise(F.col("text"))

@@ -6,17 +6,18 @@ that fits. ``learn`` builds the templates, all with DataFrame operations:
 * segments are typed: runs of digits, long hexadecimal strings, UUIDs and long slugs
   become ``<n>``, ``<h>``, ``<u>`` and ``<s>``;
 * urls are counted per host and typed path, with the counts of allowed and blocked labels;
-* level by level, from the root, a branch is compared with all branches of its parent
-  taken together: it is merged into ``*`` if what follows it is distributed like what
-  follows its parent's branches (overlap of the two distributions, with an allowance that
-  shrinks with the root of its count), or if it is one rare branch of very many, and if
-  the blocked share of its labels does not differ significantly; a lone branch stays;
+* level by level, from the root, the branches of a parent that are most often followed by
+  the same segment are compared with all of them taken together: a branch is merged into
+  ``*`` if what follows it is distributed like what follows them (overlap of the two
+  distributions, with an allowance that shrinks with the root of its count), or if it is
+  one rare branch of very many, and if the blocked share of its labels does not differ
+  significantly; a lone branch stays;
 * a template's purity is its blocked share, drawn towards its host's, which is drawn
   towards ``prior``; a template of at least ``reject`` purity is rejected.
 
 Branches meet their parent's sums only as counts per (host, prefix, segment), so a host
-with most of the urls is one row per distinct typed branch. Paths deeper than ``levels``
-keep ``<deep>`` for the rest.
+with most of the urls is one row per distinct typed branch. What lies deeper than ``levels``
+counts as one segment, typed and whole.
 
 Defined cases: a null url, or one without ``://``, has empty host and path, matches no
 rule and is judged by the template of the empty host; empty paths are templates too;
@@ -67,7 +68,8 @@ def typed_segments(path: str = "path", levels: int = 8) -> Column:
         return F.regexp_replace(F.regexp_replace(s, slug, "<s>"), r"[0-9]+", "<n>")
 
     typed = F.transform(parts, kind)
-    return F.when(F.size(typed) > levels, F.concat(F.slice(typed, 1, levels - 1), F.array(F.lit("<deep>")))).otherwise(typed)
+    rest = F.array_join(F.slice(typed, levels, 1 << 20), "/")
+    return F.when(F.size(typed) > levels, F.concat(F.slice(typed, 1, levels - 1), F.array(rest))).otherwise(typed)
 
 
 def learn(urls: DataFrame, tolerance: float = 0.05, z: float = 2.5, fan: int = 64, levels: int = 8, weight: float = 5.0, prior: float = 0.1, reject: float = 0.8) -> DataFrame:
@@ -91,22 +93,23 @@ def learn(urls: DataFrame, tolerance: float = 0.05, z: float = 2.5, fan: int = 6
 def _merged(tree: DataFrame, tolerance: float, z: float, fan: int) -> DataFrame:
     """The tree with one more level of segments decided."""
     open_ = tree.filter(F.size("rest") > 0).withColumns({"seg": F.col("rest")[0], "next": F.coalesce(F.get("rest", F.lit(1)), F.lit("<end>"))})
-    here = ["host", "prefix"]
+    here, group = ["host", "prefix"], ["host", "prefix", "led"]
     add = lambda *names: [F.sum(c).alias(c) for c in names]
     by_next = open_.groupBy(*here, "seg", "next").agg(*add("n", "a", "b"))
-    child = by_next.groupBy(*here, "seg").agg(*add("n", "a", "b"))
-    pool = by_next.groupBy(*here, "next").agg(F.sum("n").alias("pool_n"))
-    parent = child.groupBy(*here).agg(F.sum("n").alias("all_n"), F.sum("a").alias("all_a"), F.sum("b").alias("all_b"), F.count("*").alias("kids"))
-    shares = by_next.select(*here, "seg", "next", F.col("n").alias("n_next")).join(pool, [*here, "next"]).join(child, [*here, "seg"]).join(parent, here)
+    child = by_next.groupBy(*here, "seg").agg(*add("n", "a", "b"), F.max_by("next", F.struct("n", "next")).alias("led"))
+    led = by_next.select(*here, "seg", "next", F.col("n").alias("n_next")).join(child, [*here, "seg"])
+    pool = led.groupBy(*group, "next").agg(F.sum("n_next").alias("pool_n"))
+    parent = child.groupBy(*group).agg(F.sum("n").alias("all_n"), F.sum("a").alias("all_a"), F.sum("b").alias("all_b"), F.count("*").alias("kids"))
+    shares = led.join(pool, [*group, "next"]).join(parent, group)
     overlap = F.sum(F.least(F.col("n_next") / F.col("n"), F.col("pool_n") / F.col("all_n"))).alias("overlap")
-    facts = shares.groupBy(*here, "seg", "n", "a", "b", "all_n", "all_a", "all_b", "kids").agg(overlap)
+    facts = shares.groupBy(*group, "seg", "n", "a", "b", "all_n", "all_a", "all_b", "kids").agg(overlap)
     labelled = F.col("a") + F.col("b")
     q = (F.col("all_b") + 1) / (F.col("all_a") + F.col("all_b") + 2)
     alike = (labelled == 0) | (F.abs(F.col("b") / labelled - q) <= z * F.sqrt(q * (1 - q) / labelled))
     shaped = (1 - F.col("overlap") <= tolerance + 1 / F.sqrt("n")) | ((F.col("kids") > fan) & (F.col("n") * fan < F.col("all_n")))
-    wants = facts.select(*here, "seg", F.coalesce(alike & shaped, F.lit(False)).alias("wants"))
-    enough = wants.groupBy(*here).agg(F.sum(F.col("wants").cast("int")).alias("merging"))
-    choice = wants.join(enough, here).select(*here, "seg", F.when(F.col("wants") & (F.col("merging") > 1), "*").otherwise(F.col("seg")).alias("chosen"))
+    wants = facts.select(*group, "seg", F.coalesce(alike & shaped, F.lit(False)).alias("wants"))
+    enough = wants.groupBy(*group).agg(F.sum(F.col("wants").cast("int")).alias("merging"))
+    choice = wants.join(enough, group).select(*here, "seg", F.when(F.col("wants") & (F.col("merging") > 1), "*").otherwise(F.col("seg")).alias("chosen"))
     decided = open_.join(choice, [*here, "seg"])
     decided = decided.select("host", "typed", F.concat("prefix", F.lit("/"), "chosen").alias("prefix"), F.expr("slice(rest, 2, greatest(size(rest) - 1, 0))").alias("rest"), "n", "a", "b")
     return decided.unionByName(tree.filter(F.size("rest") == 0))

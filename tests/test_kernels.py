@@ -3,6 +3,7 @@ import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
+from windowjoin.kernels import structures
 from windowjoin.kernels.chained_slots import ChainedSlots
 from windowjoin.kernels.search import balanced_merge_cuts, binary_search, gallop_search, merge_parts
 from windowjoin.kernels.splitter_table import SplitterTable, interpolate
@@ -99,13 +100,40 @@ def test_structures_give_the_same_matches(seed):
 def test_wide_leaves_cost_less_and_keep_values_together():
     v = np.random.default_rng(1).integers(0, 50, 3000)
     tree, plain = WideLeafTree(256), WideLeafTree(256, sorted_leaves=True)
-    tree.insert_batch(v)
-    plain.insert_batch(v)
+    for i, x in enumerate(v.tolist()):  # in arrival order, one by one
+        tree.insert(x, i)
+        plain.insert(x, i)
     assert tree.moves < plain.moves
     owners = {}
-    for i, leaf in enumerate(tree.leaves()):
-        for x in set(leaf.values):
+    bounds = [upper for _, upper in tree.leaves()]
+    assert bounds[:-1] == sorted(set(bounds[:-1])) and bounds[-1] is None
+    for i, (leaf, upper) in enumerate(tree.leaves()):
+        held = tree.slots.scan(leaf.pid)[0]
+        assert len(held) == leaf.n and (upper is None or max(held) <= upper)
+        for x in set(held.tolist()):
             assert owners.setdefault(x, i) == i
+    assert sorted(zip(*map(np.ndarray.tolist, tree.scan()))) == sorted(zip(v.tolist(), range(3000)))
+
+
+def test_equal_values_go_on_in_chained_slots():
+    tree = WideLeafTree(16)
+    tree.insert_batch(np.concatenate((np.full(100, 7), np.arange(40))))
+    leaf = next(x for x, upper in tree.leaves() if upper is None or upper >= 7)
+    assert leaf.n >= 100 and len(list(tree.slots.chain(leaf.pid))) > 5
+
+
+def test_path_reuse_descends_less():
+    v = np.random.default_rng(2).integers(0, 10_000, 4000)
+    batch, single = WideLeafTree(32, 4), WideLeafTree(32, 4)
+    batch.insert_batch(v)
+    for i, x in enumerate(v.tolist()):
+        single.insert(x, i)
+    lo = np.arange(0, 10_000, 3)
+    before = batch.descents
+    found = batch.probe_batch(lo, lo + 5)
+    assert batch.descents - before + batch.climbed < 2 * len(lo) * 5
+    assert [sorted(f.tolist()) for f in found] == [np.flatnonzero((v >= a) & (v <= a + 5)).tolist() for a in lo]
+    assert sorted(zip(*map(np.ndarray.tolist, single.scan()))) == sorted(zip(v.tolist(), range(4000)))
 
 
 def test_staged_run_buffer_and_bypass():
@@ -116,7 +144,14 @@ def test_staged_run_buffer_and_bypass():
     assert big.moved < small.moved / 50 and (big.main == small.main).all()
     b = StagedSortedRun(100)
     b.insert_batch(np.arange(100))
-    assert b.merges == 1 and not b.staged
+    assert b.merges == 1 and not len(b.staged)
+    c = StagedSortedRun(100, threads=3)
+    c.insert_batch(np.arange(50, 90))
+    c.insert_batch(np.arange(101), np.arange(1000, 1101))  # larger than the buffer: past it, what is staged first
+    assert c.merges == 2 and not len(c.staged) and (c.main == np.sort(np.concatenate((np.arange(50, 90), np.arange(101))))).all()
+    plain = StagedSortedRun(100, fences=False, copy_equal=False)
+    plain.insert_batch(np.arange(100))
+    assert plain.probe_ranges(np.array([7, 5, 5]), np.array([9, 9, 9])).tolist() == [[7, 10], [5, 10], [5, 10]] and not plain.copied_results and plain.search_comparisons > 0
     same = b.probe_ranges(np.array([5, 5, 7]), np.array([9, 9, 9]))
     assert same.tolist() == [[5, 10], [5, 10], [7, 10]] and b.copied_results == 1
 
@@ -127,3 +162,32 @@ def test_pipeline_counts_units():
     p.insert(np.arange(50, 150))
     assert len(p.run) == 200 and max(p.work["merger"]) - min(p.work["merger"]) <= 2
     assert p.probe(np.array([10, 60]), -5, 5).tolist() == [[5, 16], [60, 82]]
+    assert 0 < sum(p.work["prober"]) <= 4 * 5
+
+
+@given(values, st.integers(2, 40), st.integers(1, 30))
+@settings(max_examples=60, deadline=None)
+def test_leaf_bounds_cut_no_value(vals, width, chunk):
+    v = np.array(vals, np.int64)
+    b = structures.leaf_bounds(v, width, chunk)
+    assert (np.diff(b) > 0).all()
+    sizes = np.bincount(np.searchsorted(b, v, side="left"), minlength=len(b) + 1)
+    pid = np.searchsorted(b, v, side="left")
+    assert all(n <= width or len(set(v[pid == i].tolist())) == 1 for i, n in enumerate(sizes))
+
+
+@given(st.permutations(list(range(40))), st.integers(0, 41), st.integers(0, 40), st.integers(0, 40))
+@settings(max_examples=80, deadline=None)
+def test_arrival_counts(order, c, a, b):
+    a, b = min(a, b), max(a, b)
+    counts = structures.ArrivalCounts(np.array(order))
+    assert counts.before(np.array([a]), np.array([b]), np.array([c]))[0] == sum(x < c for x in order[a:b])
+
+
+def test_adjustment_forms_agree():
+    v = (np.random.default_rng(5).exponential(3000, 5000)).astype(np.int64)
+    b = structures.equal_widths(v, 200)
+    table = SplitterTable(b.tolist(), 5000)
+    table.insert_batch(v)
+    got = structures.adjusted(v, b)
+    assert np.abs(got - np.array(table.next_splitters())).max() <= 1

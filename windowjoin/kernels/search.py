@@ -68,3 +68,15 @@ def merge_parts(main: np.ndarray, batch: np.ndarray, parts: int) -> np.ndarray:
     """The merge, each part on its own."""
     cuts = balanced_merge_cuts(main, batch, parts)
     return np.concatenate([np.sort(np.concatenate((main[a:c], batch[b:d])), kind="stable") for (a, b), (c, d) in zip(cuts, cuts[1:], strict=False)])
+
+
+def merge_with_keys(main: np.ndarray, main_keys: np.ndarray, batch: np.ndarray, keys: np.ndarray, parts: int) -> tuple[np.ndarray, np.ndarray]:
+    """The merge of sorted values with their keys, each part on its own; equal values keep the run's first."""
+    values, ids = [], []
+    cuts = balanced_merge_cuts(main, batch, parts)
+    for (a, b), (c, d) in zip(cuts, cuts[1:], strict=False):
+        v = np.concatenate((main[a:c], batch[b:d]))
+        order = np.argsort(v, kind="stable")
+        values.append(v[order])
+        ids.append(np.concatenate((main_keys[a:c], keys[b:d]))[order])
+    return np.concatenate(values), np.concatenate(ids)

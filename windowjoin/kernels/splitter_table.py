@@ -42,34 +42,49 @@ class SplitterTable:
         return pids
 
     def insert_batch(self, values: np.ndarray, keys: np.ndarray | None = None) -> None:
+        """A batch in value order: tuples of one partition are stored together, its counts updated once."""
+        if not len(values):
+            return
         order = np.argsort(values, kind="stable")
         keys = np.arange(len(values)) if keys is None else keys
-        for pid, v, k in zip(self._locate(values[order]), values[order], keys[order], strict=True):
-            self.slots.insert(int(pid), int(v), int(k))
-            self.count[pid] += 1
-            self.least[pid] = v if self.least[pid] is None else min(v, self.least[pid])
-            self.greatest[pid] = v if self.greatest[pid] is None else max(v, self.greatest[pid])
+        v, k = values[order], keys[order]
+        pids = self._locate(v)
+        at = np.append(np.flatnonzero(np.concatenate(([True], pids[1:] != pids[:-1]))), len(pids))
+        for a, b in zip(at[:-1].tolist(), at[1:].tolist(), strict=True):
+            pid = int(pids[a])
+            self.slots.insert_many(pid, v[a:b], k[a:b])
+            self.count[pid] += b - a
+            self.least[pid] = v[a] if self.least[pid] is None else min(v[a], self.least[pid])
+            self.greatest[pid] = v[b - 1] if self.greatest[pid] is None else max(v[b - 1], self.greatest[pid])
 
     def probe_batch(self, lo: np.ndarray, hi: np.ndarray) -> list[np.ndarray]:
-        """Keys with lo <= value <= hi for each probe: border partitions tested, inner ones copied."""
-        order = np.argsort(lo, kind="stable")
-        first = np.empty(len(lo), np.int64)
-        first[order] = self._locate(lo[order])
-        by_hi = np.argsort(hi, kind="stable")
-        last = np.empty(len(hi), np.int64)
-        last[by_hi] = self._locate(hi[by_hi])
-        out = []
-        for a, b, x, y in zip(first, last, lo, hi, strict=True):
-            parts = []
-            for pid in range(int(a), int(b) + 1):
-                values, keys = self.slots.scan(pid)
-                if a < pid < b:
-                    self.copied += len(keys)
-                    parts.append(keys)
-                else:
-                    self.scan_comparisons += len(keys)
-                    parts.append(keys[(values >= x) & (values <= y)])
-            out.append(np.concatenate(parts) if parts else np.zeros(0, np.int64))
+        """Keys with lo <= value <= hi for each probe. First all targets, then the partitions one
+        by one: a partition's tuples outside, its probes inside; partitions between are copied."""
+        first, last = (self._targets(x) for x in (lo, hi))
+        out: list[list[np.ndarray]] = [[] for _ in lo]
+        for pid in range(self.p):
+            asking = np.flatnonzero((first <= pid) & (pid <= last))
+            if not len(asking):
+                continue
+            values, keys = self.slots.scan(pid)
+            if not len(keys):
+                continue
+            between = (first[asking] < pid) & (pid < last[asking])
+            for i in asking[between]:
+                self.copied += len(keys)
+                out[i].append(keys)
+            tested = asking[~between]
+            self.scan_comparisons += len(keys) * len(tested)
+            hit = (values[:, None] >= lo[tested]) & (values[:, None] <= hi[tested])
+            for column, i in enumerate(tested):
+                if hit[:, column].any():
+                    out[i].append(keys[hit[:, column]])
+        return [np.concatenate(parts) if parts else np.zeros(0, np.int64) for parts in out]
+
+    def _targets(self, bounds: np.ndarray) -> np.ndarray:
+        order = np.argsort(bounds, kind="stable")
+        out = np.empty(len(bounds), np.int64)
+        out[order] = self._locate(bounds[order])
         return out
 
     def expire(self, pid: int, n: int = 1) -> int:

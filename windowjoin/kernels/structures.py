@@ -50,7 +50,7 @@ class SortedRun:
         self.step = max(1, -(-len(values) // max(1, partitions)))
         self.fences = values[:: self.step]
         self.sizes = np.diff(np.append(np.arange(0, len(values), self.step), len(values)))
-        self.touched = self.copied = 0
+        self.touched = self.copied = 0  # a sorted run tests and copies none
 
     def ranges(self, lo, hi, lo_closed: np.ndarray, hi_closed: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """[start, end) of each probe; ascending bounds walk through the run once."""

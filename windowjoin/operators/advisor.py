@@ -2,13 +2,9 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass
-
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from windowjoin.predicates import Inequality, NotEqual, Predicate
-
 # Batch and selectivity from which the sorted structure is reported best.
 LARGE_BATCH, LARGE_SELECTIVITY = 1 << 16, 1 << 10
 DRIFT_LIMIT = 0.5
@@ -21,17 +17,6 @@ def choose_index(n_bat: int, selectivity: float, drift: float, monotone: bool) -
     return "wideleaf" if monotone or drift > DRIFT_LIMIT else "splitter"
 
 
-def choose_plan(pred: Predicate, n_bat: int) -> str:
-    """Without statistics: wide results as ranges, else value buckets of the own subwindow."""
-    return "sorted" if isinstance(pred, Inequality | NotEqual) or n_bat >= LARGE_BATCH else "wideleaf"
-
-
-@dataclass(frozen=True)
-class ColumnFacts:
-    monotone_share: float
-    drift: float
-
-
 def column_facts(df: DataFrame, value: str, order: str, n_sub: int) -> DataFrame:
     """One row: tuples, rising neighbours, and tuples outside the range of the subwindow before.
 
@@ -55,17 +40,3 @@ def advise(facts: DataFrame, n_bat: int, selectivity: int) -> DataFrame:
     drifting = F.col("outside") * 2 > F.col("with_before")
     big = F.lit(n_bat >= LARGE_BATCH or selectivity >= LARGE_SELECTIVITY)
     return facts.withColumn("choice", F.when(big, "sorted").when(monotone | drifting, "wideleaf").otherwise("splitter"))
-
-
-def advise_batch(df: DataFrame, value: str, order: str, n_sub: int, n_bat: int, selectivity: int) -> str:
-    """The advice for one column, from one aggregate."""
-    return advise(column_facts(df, value, order, n_sub), n_bat, selectivity).first().choice
-
-
-def plan_cost(stored: int, probes: int, live: int, span: float, comparisons: int, bands: int = 1) -> dict[str, float]:
-    """Rows moved and touched by either plan; the nested loop for comparison."""
-    return {
-        "bucket": stored + probes * live * span + comparisons,
-        "rank": stored + 2 * probes * live * bands,
-        "nested": float(stored) * probes,
-    }

@@ -7,7 +7,7 @@ from collections.abc import Callable, Mapping
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from windowjoin.config import CountWindow, Layout, TimeWindow
+from windowjoin.config import BatchPolicy, CountWindow, Layout, TimeWindow
 from windowjoin.operators.advisor import LARGE_BATCH
 from windowjoin.operators.sequence import prepare
 from windowjoin.plans import bucket, rank, worker
@@ -23,11 +23,10 @@ def window_join(
     window: win.Window,
     layout: Layout | None = None,
     index: str | Mapping[int, str] | Callable[[int], str] = "auto",
-    n_bat: int = 1,
+    n_bat: int | BatchPolicy = 1,
     result: str = "pairs",
     extra: tuple[str, ...] = (),
     engine: str = "worker",
-    max_wait: float | None = None,
     adjust: bool = True,
 ) -> DataFrame:
     """Join the two sides of ``ranked`` (from ``sequence``) over a sliding window.
@@ -35,7 +34,7 @@ def window_join(
     ``index``: ``splitter`` (boundaries inherited from the subwindow before and adjusted),
     ``wideleaf`` (leaves cut as tuples come), ``sorted`` (range records), ``auto`` (chosen per
     subwindow from its predecessor's statistics), or a choice per subwindow.
-    ``n_bat`` above 1 gives the two-buffer batch semantics; ``max_wait`` seconds close a batch too.
+    ``n_bat`` above 1 gives the two-buffer batch semantics; a ``BatchPolicy`` also closes by waiting.
     ``result``: ``pairs``, ``count`` per probe, ``ranges`` (a record per probe, subwindow and band:
     places [id_start, id_end) of the sorted run, of which tuples with ranks in [rank_from, rank_to)
     are in the window), or ``profile`` (a row of work per subwindow).
@@ -44,7 +43,9 @@ def window_join(
     side, subwindow and partition, or window functions; no Python).
     """
     layout = layout or Layout()
-    prepared = prepare(ranked, layout.n_sub, n_bat, max_wait)
+    policy = n_bat if isinstance(n_bat, BatchPolicy) else BatchPolicy(n_bat)
+    n_bat = policy.max_count
+    prepared = prepare(ranked, layout.n_sub, policy)
     if engine == "relational":
         return _relational(prepared, pred, window, layout, index, result, extra)
     if engine != "worker" or result not in ("pairs", "count", "ranges", "profile"):

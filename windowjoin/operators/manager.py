@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from windowjoin.operators.sequence import place
@@ -21,6 +21,14 @@ def status(prepared: DataFrame, n_sub: int, slots: int) -> DataFrame:
     return subs.groupBy("slot", "side").agg(F.sum("cnt").alias("cnt"), F.count("*").alias("subs"), newest["is_full"].alias("newest_full"))
 
 
+def observed(rows: DataFrame, name: str) -> tuple[DataFrame, Observation]:
+    """The same rows and an observation that an action on them fills in: tuples, tuples a side and
+    the newest arrival. It rides on that action; nothing is computed twice or collected."""
+    seen = Observation(name)
+    count = lambda side: F.sum(F.when(F.col("side") == side, 1).otherwise(0)).alias(f"n_{side.lower()}")
+    return rows.observe(seen, F.count("*").alias("n"), count("S"), count("R"), F.max("seq").alias("last_seq")), seen
+
+
 def plan_commands(prepared: DataFrame, n_sub: int, slots: int, window: int) -> DataFrame:
     """Commands a batch sends: create, insert, expire and probe, by slot.
 

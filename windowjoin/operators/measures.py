@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+import functools
 import math
 import time
 from collections.abc import Callable
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -27,6 +29,13 @@ def speedup(a: float, b: float) -> float:
     return a / b
 
 
+def rates(run: Callable[[], DataFrame], inserts: Callable[[], DataFrame], tuples: int) -> dict[str, float]:
+    """Tuples a second of the whole join, of the insertion part (no probe is sent) and of the
+    rest, the probing."""
+    whole, insertion = tuples / throughput(run, tuples), tuples / throughput(inserts, tuples)
+    return {"system": tuples / whole, "insertion": tuples / insertion, "probing": tuples / max(1e-9, whole - insertion)}
+
+
 def noop_ratio(join_rate: float, noop_rate: float) -> float:
     return join_rate / noop_rate
 
@@ -41,10 +50,10 @@ def selectivity(found: DataFrame, probes: int, live: int) -> DataFrame:
     return found.agg(F.count("*").alias("matches")).withColumn("selectivity", F.round(F.col("matches") / (probes * live), 6))
 
 
-def comparisons(prepared: DataFrame, pred: Predicate, window: win.Window, layout: Layout, table: DataFrame | None = None, kind: str = "wideleaf") -> DataFrame:
+def comparisons(prepared: DataFrame, pred: Predicate, window: win.Window, layout: Layout, table: DataFrame | None = None) -> DataFrame:
     """One row: probes asked, partitions touched, tuples touched, tuples of a full scan."""
     rows = win.with_subwindows(prepared, window, layout)
-    table = subwindow_splitters(rows, layout.partitions, kind) if table is None else table
+    table = subwindow_splitters(rows, layout.partitions) if table is None else table
     held = win.stored(rows).join(table, bucket.KEYS).withColumn("pid", splitters_below(F.col("splitters"), F.col("st_value")).cast("int"))
     hist = held.groupBy(*bucket.KEYS, "pid").agg(F.count("*").alias("cnt"))
     sizes = hist.groupBy(*bucket.KEYS).agg(F.sum("cnt").alias("size"))
@@ -118,7 +127,7 @@ def message_cost(prepared: DataFrame, window: CountWindow, layout: Layout) -> Da
 
 def expired_probe_share(prepared: DataFrame, pred: Predicate, window: CountWindow, layout: Layout) -> DataFrame:
     """One row: matches in the live subwindows, and those of them that the exact window drops."""
-    loose = bucket.search(win.stored(r := win.with_subwindows(prepared, window, layout)), win.route(win.probes(r), window, layout), subwindow_splitters(r, layout.partitions, "wideleaf"), pred, CountWindow(window.size, exact=False))
+    loose = bucket.search(win.stored(r := win.with_subwindows(prepared, window, layout)), win.route(win.probes(r), window, layout), subwindow_splitters(r, layout.partitions), pred, CountWindow(window.size, exact=False))
     gone = F.when(F.col("pr_opp") - F.col("st_rank") >= window.size, 1).otherwise(0)
     return loose.agg(F.count("*").alias("coarse_matches"), F.coalesce(F.sum(gone), F.lit(0)).cast("bigint").alias("expired_matches"))
 
@@ -136,21 +145,74 @@ def same_pairs(a: DataFrame, b: DataFrame) -> bool:
 
 
 def epsilon_for(prepared: DataFrame, wanted: int, layout: Layout, window: CountWindow, highest: int = 1 << 31) -> int:
-    """Least band half-width with ``wanted`` matches or more (``highest`` if none has): doubling,
-    then bisection, over counts of range records."""
-    from windowjoin.plans import rank
-    from windowjoin.predicates import Band
+    """Least band half-width with ``wanted`` matches or more (``highest`` if none has).
 
-    def matches(eps: int) -> int:
-        return rank.counts_per_probe(prepared, Band(-eps, eps), window, layout).agg(F.coalesce(F.sum("matches"), F.lit(0))).first()[0]
+    Quantiles of both sides, from one sketch, say where to begin; exact counts, which make no
+    pairs, then close in on it from there in doubling steps and by bisection.
+    """
+    from windowjoin.plans import worker
+    from windowjoin.predicates import Band
 
-    lo, hi = 0, 1
-    while hi < highest and matches(hi) < wanted:
-        lo, hi = hi + 1, min(highest, 2 * hi)
-    while lo < hi:
+    grid = [k / 256 for k in range(1, 256)]
+    sides = {r.side: np.array(r.q or [0], np.float64) for r in prepared.groupBy("side").agg(F.percentile_approx("value", grid, 10_000).alias("q"), F.count("*").alias("n")).collect()}
+    if len(sides) < 2:
+        return highest
+    n = prepared.filter("value is not null").agg(F.sum(F.least(F.col("opp"), F.lit(window.size)))).first()[0] or 0
+    gaps = np.sort(np.abs(sides["S"][:, None] - sides["R"][None, :]).ravel())
+    share = min(1.0, wanted / n) if n else 1.0
+    guess = int(gaps[min(len(gaps) - 1, int(share * len(gaps)))])
+
+    @functools.cache
+    def enough(eps: int) -> bool:
+        found = worker.run(prepared, Band(-eps, eps), window, layout, "sorted", "count")
+        return (found.agg(F.sum("n")).first()[0] or 0) >= wanted
+
+    step = max(1, guess // 16)
+    if enough(min(guess, highest)):
+        hi = min(guess, highest)
+        lo = max(-1, hi - step)
+        while lo >= 0 and enough(lo):
+            step *= 2
+            hi, lo = lo, max(-1, lo - step)
+    else:
+        lo = min(guess, highest)
+        hi = min(highest, lo + step)
+        while hi < highest and not enough(hi):
+            step *= 2
+            lo, hi = hi, min(highest, hi + step)
+    while hi - lo > 1:  # not enough at lo, enough at hi (or it is the highest)
         mid = (lo + hi) // 2
-        if matches(mid) >= wanted:
-            hi = mid
-        else:
-            lo = mid + 1
-    return lo
+        lo, hi = (lo, mid) if enough(mid) else (mid, hi)
+    return hi
+
+
+def transfer(df: DataFrame) -> dict[str, int]:
+    """What the exchanges of a result move while it is computed once: bytes written, nanoseconds
+    of writing, milliseconds of waiting for blocks, and rows."""
+    plan = df._jdf.queryExecution()
+    plan.toRdd().count()
+    found = {"shuffleBytesWritten": 0, "shuffleWriteTime": 0, "fetchWaitTime": 0, "shuffleRecordsWritten": 0}
+    todo = [plan.executedPlan()]
+    while todo:
+        node = todo.pop()
+        metrics = node.metrics()
+        for name in found:
+            if metrics.contains(name):
+                found[name] += metrics.apply(name).value()
+        kind = node.getClass().getSimpleName()
+        if kind == "AdaptiveSparkPlanExec":
+            todo.append(node.executedPlan())
+        elif kind.endswith("QueryStageExec"):
+            todo.append(node.plan())
+        children = node.children()
+        todo += [children.apply(i) for i in range(children.size())]
+    return found
+
+
+def result_bytes(found: DataFrame) -> DataFrame:
+    """Pairs against range records, one row: from ``ranges`` of whole or border subwindows, how many
+    there are and the bytes that keys and values (four numbers a pair), or a probe's key, subwindow
+    and four places (six a record) take."""
+    width = F.col("id_end") - F.col("id_start")
+    rows = found.filter("id_end > id_start").agg(F.count("*").alias("records"), F.coalesce(F.sum(width), F.lit(0)).cast("bigint").alias("pairs"))
+    return rows.select("records", "pairs", (F.col("records") * 48).alias("record_bytes"), (F.col("pairs") * 32).alias("pair_bytes"))

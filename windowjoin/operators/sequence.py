@@ -13,6 +13,8 @@ from collections.abc import Sequence
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from windowjoin.config import BatchPolicy
+
 #: above every arrival number
 END = 1 << 60
 
@@ -22,6 +24,12 @@ def cents(x: str | Column) -> Column:
     return F.round((F.col(x) if isinstance(x, str) else x) * 100).cast("bigint")
 
 
+def prefilter(raw: DataFrame, where: Column | str, side: Column, key: Column, value: Column, *keep: str) -> DataFrame:
+    """What a node ahead of the manager does: only wanted rows and join fields go on; filter and
+    columns reach the scan."""
+    return raw.filter(where).select(side.alias("side"), key.alias("key"), value.alias("value"), *keep)
+
+
 def union_sides(s: DataFrame, r: DataFrame) -> DataFrame:
     """One table of both streams; columns key, value (and ts, payload of both alike)."""
     return s.withColumn("side", F.lit("S")).unionByName(r.withColumn("side", F.lit("R")))
@@ -70,13 +78,15 @@ def collect_batches(ranked: DataFrame, n_bat: int) -> DataFrame:
     return ranked.withColumn("batch_id", F.expr(f"(rank - 1) div {n_bat}"))
 
 
-def prepare(ranked: DataFrame, n_sub: int, n_bat: int = 1, max_wait: float | None = None) -> DataFrame:
+def prepare(ranked: DataFrame, n_sub: int, n_bat: int | BatchPolicy = 1, max_wait: float | None = None) -> DataFrame:
     """Adds sub_id, batch_id, done (when the tuple's batch is worked on) and opp (how many
     tuples of the other stream are in its window structure by then).
 
     A batch closes at ``n_bat`` tuples or, with ``max_wait``, at the next tick of a clock of so
     many seconds, whichever comes first; at a tick both streams' buffers close, S before R.
     """
+    if isinstance(n_bat, BatchPolicy):
+        n_bat, max_wait = n_bat.max_count, n_bat.max_wait
     rows = assign_subwindows(ranked, n_sub)
     if n_bat == 1:
         return collect_batches(rows, 1).withColumns({"done": F.col("seq"), "opp": F.when(F.col("side") == "S", F.col("seen_r")).otherwise(F.col("seen_s"))})

@@ -87,26 +87,29 @@ def adapt_splitters(df: DataFrame, p: int, rounds: int, start: Sequence[int] | N
     return out
 
 
-def chained_splitters(prepared: DataFrame, p: int, start: Sequence[int], side: str, value: str = "value") -> dict[int, list[int]]:
-    """Each subwindow's splitters come from its predecessor's histogram; one aggregate a subwindow."""
-    own = prepared.filter(F.col("side") == side)
-    subs = [r.sub_id for r in own.select("sub_id").distinct().orderBy("sub_id").collect()]
-    out, now = {}, list(start)
-    for sub in subs:
-        out[sub] = now
-        now = as_list(adjust_splitters(partition_histogram(assign_pid(own.filter(F.col("sub_id") == sub), now, value), value=value), p)) or now
-    return out
+def nearest_ranks(df: DataFrame, p: int, cells: int = 1024) -> DataFrame:
+    """(j, splitter): the least value with j/P of all at or below it. Values are counted, the counts
+    added up per cell of the value range, and ranks found inside the cells: no window spans the
+    table, no row is copied but once for each splitter that it is."""
+    per = df.filter("value is not null").groupBy("value").agg(F.count("*").alias("c"))
+    cuts = df.agg(F.percentile_approx("value", [k / cells for k in range(1, cells)], 10 * cells)).first()[0] or []
+    marks = F.array(*map(F.lit, sorted(set(cuts)))) if cuts else F.array().cast("array<bigint>")
+    per = per.withColumn("cell", splitters_below(marks, F.col("value")))
+    sums = per.groupBy("cell").agg(F.sum("c").alias("cc"))
+    before = Window.orderBy("cell").rowsBetween(Window.unboundedPreceding, -1)  # over the cells, a bounded number
+    bases = sums.select("cell", F.coalesce(F.sum("cc").over(before), F.lit(0)).alias("base"), F.sum("cc").over(Window.partitionBy(F.lit(0))).alias("n"))
+    inside = Window.partitionBy("cell").orderBy("value").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    rows = per.join(F.broadcast(bases), "cell").withColumn("upto", F.col("base") + F.sum("c").over(inside))
+    first = F.expr(f"(upto - c) * {p} div n + 1")
+    last = F.least(F.expr(f"upto * {p} div n"), F.lit(p - 1))
+    picked = rows.withColumns({"first": first, "last": last}).filter("first <= last")
+    return picked.select(F.explode(F.sequence(F.col("first").cast("int"), F.col("last").cast("int"))).alias("j"), F.col("value").alias("splitter"))
 
 
 def quantile_splitters(df: DataFrame, p: int, how: str = "approx", value: str = "value") -> list[int]:
     """Parallel alternatives to the chain: exact nearest-rank, approximate, KLL sketch, or a hash sample."""
     if how == "exact":
-        n = df.count()
-        marks = F.array(*[F.lit(-(-n * j // p)).cast("bigint") for j in range(1, p)])
-        rows = df.filter(F.col(value).isNotNull()).groupBy(value).agg(F.count("*").alias("c"))
-        cum = F.sum("c").over(Window.orderBy(value).rowsBetween(Window.unboundedPreceding, Window.currentRow))
-        hit = rows.select(value, cum.alias("cum"), "c").withColumn("j", F.explode(F.sequence(F.lit(1), F.lit(p - 1)))).withColumn("mark", F.element_at(marks, F.col("j")))
-        return [r[value] for r in hit.filter("mark <= cum and mark > cum - c").orderBy("j").collect()]
+        return [r.splitter for r in nearest_ranks(df.select(F.col(value).alias("value")), p).orderBy("j").collect()]
     if how == "approx":
         return df.agg(F.percentile_approx(value, [j / p for j in range(1, p)], 100 * p)).first()[0] or []
     if how == "kll":
@@ -118,21 +121,13 @@ def quantile_splitters(df: DataFrame, p: int, how: str = "approx", value: str =
     raise ValueError(how)
 
 
-def subwindow_splitters(prepared: DataFrame, p: int, kind: str, accuracy: int = 10_000) -> DataFrame:
-    """(side, sub_id, splitters) for every subwindow, in one aggregate.
-
-    ``splitter``: quantiles of the subwindow before (the first one: equal widths of its
-    own range); ``wideleaf`` and ``sorted``: its own quantiles, equal ones once, so that
-    no value lies in two partitions.
-    """
+def subwindow_splitters(prepared: DataFrame, p: int, accuracy: int = 10_000) -> DataFrame:
+    """(side, sub_id, splitters) of every subwindow from its own quantiles, in one aggregate; equal
+    ones once, so that no value lies in two partitions. Inherited ones: ``plans.worker``."""
     asked = [j / p for j in range(1, p)]
-    own = prepared.filter("value is not null").groupBy("side", "sub_id").agg(F.percentile_approx("value", asked, accuracy).alias("q"), F.min("value").alias("lo"), F.max("value").alias("hi"))
     if p == 1:
-        return own.select("side", "sub_id", F.array().cast("array<bigint>").alias("splitters"))
-    if kind == "splitter":
-        equal = F.transform(F.sequence(F.lit(1), F.lit(p - 1)), lambda j: F.col("lo") + F.floor((F.col("hi") - F.col("lo")) * j / p))
-        before = F.lag("q").over(Window.partitionBy("side").orderBy("sub_id"))
-        return own.select("side", "sub_id", F.coalesce(before, equal).cast("array<bigint>").alias("splitters"))
+        return prepared.filter("value is not null").select("side", "sub_id").distinct().withColumn("splitters", F.array().cast("array<bigint>"))
+    own = prepared.filter("value is not null").groupBy("side", "sub_id").agg(F.percentile_approx("value", asked, accuracy).alias("q"))
     return own.select("side", "sub_id", F.array_distinct("q").cast("array<bigint>").alias("splitters"))
 
 

@@ -16,6 +16,7 @@ from pyspark.sql import functions as F
 from windowjoin.config import Layout
 from windowjoin.operators.splitters import splitters_below, subwindow_splitters
 from windowjoin.plans import window as win
+from windowjoin.plans import worker
 from windowjoin.predicates import Interval, Predicate, Theta
 
 KEYS = ["side", "sub_id"]
@@ -76,7 +77,8 @@ def join(prepared: DataFrame, pred: Predicate, window: win.Window, layout: Layou
     if layout.partitions > MOST:
         raise ValueError(f"more than {MOST} partitions: use the worker plan")
     rows = win.with_subwindows(prepared, window, layout)
-    table = subwindow_splitters(rows, layout.partitions, kind) if table is None else table
+    if table is None:
+        table = worker.chained_splitters(rows, layout) if kind == "splitter" else subwindow_splitters(rows, layout.partitions)
     asked = win.route(win.probes(rows, extra), window, layout)
     found = search(win.stored(rows, extra), asked, table, pred, window)
     return theta_filter(found, pred, extra)

@@ -45,8 +45,16 @@ def _intervals(pred: Predicate, value: Column) -> tuple[list[Interval], list[Int
     return pred.bounds(value), pred.mirrored().bounds(value)
 
 
-def merge_rank(placed: DataFrame, asked: DataFrame, table: DataFrame, fence: DataFrame, pred: Predicate) -> DataFrame:
-    """(side, sub_id, pr_key, band, id_start, id_end, negated) for routed probes."""
+def _ranked(placed: DataFrame, marks: DataFrame) -> DataFrame:
+    """Distinct marks (keys, pid, at, kind) with the number of stored tuples before each in its partition."""
+    line = placed.select(*KEYS, "pid", F.col("st_value").alias("at"), F.lit(1).alias("kind"))
+    order = Window.partitionBy(*KEYS, "pid").orderBy("at", "kind").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    return line.unionByName(marks).withColumn("local", F.sum(F.when(F.col("kind") == 1, 1).otherwise(0)).over(order)).filter("kind <> 1")
+
+
+def merge_rank(placed: DataFrame, asked: DataFrame, table: DataFrame, fence: DataFrame, pred: Predicate, dedupe_probes: bool = False) -> DataFrame:
+    """(side, sub_id, pr_key, band, id_start, id_end, negated) for routed probes. With
+    ``dedupe_probes`` equal bounds are placed once and the place is copied to all who ask for it."""
     from_s, from_r = _intervals(pred, F.col("pr_value"))
     routed = asked.join(table, KEYS)
     marks = []
@@ -65,6 +73,9 @@ def merge_rank(placed: DataFrame, asked: DataFrame, table: DataFrame, fence: Dat
     line = placed.select(*KEYS, "pid", F.col("st_value").alias("at"), F.lit(1).alias("kind"), nothing(dict(known.dtypes)["pr_key"]).alias("pr_key"), nothing("int").alias("band"), nothing("string").alias("end"))
     order = Window.partitionBy(*KEYS, "pid").orderBy("at", "kind").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     ranked = line.unionByName(known.select(*line.columns)).withColumn("local", F.sum(F.when(F.col("kind") == 1, 1).otherwise(0)).over(order)).filter("kind <> 1")
+    if dedupe_probes:
+        once = _ranked(placed, known.select(*KEYS, "pid", "at", F.col("kind")).distinct())
+        ranked = known.join(once, [*KEYS, "pid", "at", "kind"])
     placed_marks = ranked.join(fence.select(*KEYS, "pid", "base"), [*KEYS, "pid"]).select(*KEYS, "pr_key", "band", "end", (F.col("base") + F.col("local")).alias("pos"))
     open_ends = bounds.filter("at is null").join(fence.groupBy(*KEYS).agg(F.sum("cnt").alias("size")), KEYS).select(*KEYS, "pr_key", "band", "end", F.when(F.col("end") == "lo", 0).otherwise(F.col("size")).cast("bigint").alias("pos"))
     both = placed_marks.unionByName(open_ends) if any(getattr(i, e) is None for i in (*from_s, *from_r) for e in ("lo", "hi")) else placed_marks
@@ -72,15 +83,15 @@ def merge_rank(placed: DataFrame, asked: DataFrame, table: DataFrame, fence: Dat
     return both.groupBy(*KEYS, "pr_key", "band").agg(at("lo").alias("id_start"), at("hi").alias("id_end")).withColumn("negated", F.lit(pred.negated))
 
 
-def range_records(prepared: DataFrame, pred: Predicate, window: win.Window, layout: Layout, kind: str = "sorted", whole_only: bool = False) -> DataFrame:
+def range_records(prepared: DataFrame, pred: Predicate, window: win.Window, layout: Layout, whole_only: bool = False, dedupe_probes: bool = False) -> DataFrame:
     """Range records of every probe in every live subwindow (whole subwindows, unfiltered)."""
     rows = win.with_subwindows(prepared, window, layout)
-    table = subwindow_splitters(rows, layout.partitions, kind)
+    table = subwindow_splitters(rows, layout.partitions)
     placed = place(win.stored(rows), table)
     asked = win.route(win.probes(rows), window, layout)
     if whole_only:
         asked = with_facts(asked, win.stored(rows), window).filter(whole_subwindow(window))
-    records = merge_rank(placed, asked, table, fences(placed, table), pred)
+    records = merge_rank(placed, asked, table, fences(placed, table), pred, dedupe_probes)
     return records.select(F.when(F.col("side") == "R", "S").otherwise("R").alias("probe_side"), F.col("pr_key").alias("probe_key"), "sub_id", "band", "id_start", "id_end", "negated")
 
 
@@ -115,7 +126,7 @@ def expand(records: DataFrame, run: DataFrame) -> DataFrame:
 def join(prepared: DataFrame, pred: Predicate, window: win.Window, layout: Layout, extra: tuple[str, ...] = ()) -> DataFrame:
     """Pairs: range records expanded for the subwindows inside the window, the bucket plan for the border ones."""
     rows = win.with_subwindows(prepared, window, layout)
-    table = subwindow_splitters(rows, layout.partitions, "sorted")
+    table = subwindow_splitters(rows, layout.partitions)
     held = win.stored(rows, extra)
     asked = with_facts(win.route(win.probes(rows, extra), window, layout), held, window)
     inside = whole_subwindow(window)
@@ -131,7 +142,7 @@ def join(prepared: DataFrame, pred: Predicate, window: win.Window, layout: Layou
 def counts_per_probe(prepared: DataFrame, pred: Predicate, window: win.Window, layout: Layout) -> DataFrame:
     """(probe_side, probe_key, matches) without making pairs, but for border subwindows."""
     rows = win.with_subwindows(prepared, window, layout)
-    table = subwindow_splitters(rows, layout.partitions, "sorted")
+    table = subwindow_splitters(rows, layout.partitions)
     held = win.stored(rows)
     placed = place(held, table)
     asked = with_facts(win.route(win.probes(rows), window, layout), held, window)

@@ -32,7 +32,7 @@ from windowjoin.plans import window as win
 from windowjoin.predicates import NotEqual, Predicate
 from windowjoin.runtime import ship
 
-WARM, INSERT, PROBE = -1, 0, 1
+WARM, INSERT, PROBE, EXPIRE = -1, 0, 1, 2
 #: candidates that a task expands at once
 AT_ONCE = 1 << 20
 ADDRESSES = "array<struct<side:string,segment:bigint,share:bigint,sub_id:bigint,op:int>>"
@@ -41,30 +41,49 @@ RANGES = "probe_side string, probe_key bigint, sub_id bigint, band int, id_start
 PROFILE = "side string, sub_id bigint, kind string, tuples bigint, probes bigint, whole bigint, touched bigint, copied bigint, late_touched bigint, matches bigint, partitions int, largest bigint, mae double"
 
 
-def commands(prepared: DataFrame, window: win.Window, layout: Layout, extra: tuple[str, ...] = (), chained: bool = True) -> DataFrame:
-    """Insert, probe and warm-up rows: (side, segment, share, sub_id, op, value, key, rank, done, opp[, us, late], extra)."""
-    rows = win.with_subwindows(prepared, window, layout).filter("value is not null")
+def commands(prepared: DataFrame, window: win.Window, layout: Layout, extra: tuple[str, ...] = (), chained: bool = True, expiry: bool = False) -> DataFrame:
+    """Insert, probe and warm-up rows: (side, segment, share, sub_id, op, value, key, rank, done, opp[, us, late], extra).
+
+    A column ``asks`` says which tuples probe, if not all do. With ``expiry`` the tuple with which a
+    subwindow has left the count window for good also sends that subwindow an expire row.
+    """
+    rows = win.with_subwindows(prepared, window, layout)
     timed = isinstance(window, TimeWindow)
     if timed:
         rows = rows.withColumn("us", F.unix_micros(F.col("ts").cast("timestamp")))
     first, last = win.live_range(window, layout, "opp", "us")
-    long = lambda c: c.cast("bigint")
     segment, share, whole = layout.segment if chained else 1, layout.shares, F.lit(0).cast("bigint")
+    long = lambda c: c.cast("bigint")
     address = lambda side, sub, op, seg, sh: F.struct(side.alias("side"), long(seg).alias("segment"), long(sh).alias("share"), long(sub).alias("sub_id"), F.lit(op).alias("op"))
-    other = F.when(F.col("side") == "S", "R").otherwise("S")
-    in_segment = lambda sub: F.floor(sub / segment) if segment > 1 else sub
-    own = F.transform(F.sequence(whole, F.lit(share - 1).cast("bigint")), lambda k: address(F.col("side"), F.col("sub_id"), INSERT, in_segment(F.col("sub_id")), k))
+    side, sub = F.col("side"), F.col("sub_id")
+    other = F.when(side == "S", "R").otherwise("S")
+    in_segment = lambda x: F.floor(x / segment) if segment > 1 else x
+    all_shares = F.sequence(whole, F.lit(share - 1).cast("bigint"))
     mine = F.expr(f"pmod(xxhash64(rank div {max(1, layout.n_sub)}), {share})") if share > 1 else whole
-    asked = F.when(first <= last, F.transform(F.sequence(first, last), lambda s: address(other, s, PROBE, in_segment(s), mine))).otherwise(F.array().cast(ADDRESSES))
-    sent = [own, asked]
+    nobody = F.array().cast(ADDRESSES)
+    known, asks = F.col("value").isNotNull(), F.col("asks") if "asks" in rows.columns else F.lit(True)
+    sent = [
+        F.when(known, F.transform(all_shares, lambda k: address(side, sub, INSERT, in_segment(sub), k))).otherwise(nobody),
+        F.when(known & asks & (first <= last), F.transform(F.sequence(first, last), lambda x: address(other, x, PROBE, in_segment(x), mine))).otherwise(nobody),
+    ]
     if segment > 1:  # the last subwindows of a segment also warm the next one up
-        near_end = F.pmod("sub_id", F.lit(segment)) >= segment - layout.warm
-        early = F.transform(F.sequence(whole, F.lit(share - 1).cast("bigint")), lambda k: address(F.col("side"), F.col("sub_id"), WARM, in_segment(F.col("sub_id")) + 1, k))
-        sent.append(F.when(near_end, early).otherwise(F.array().cast(ADDRESSES)))
+        near_end = F.pmod(sub, F.lit(segment)) >= segment - layout.warm
+        sent.append(F.when(known & near_end, F.transform(all_shares, lambda k: address(side, sub, WARM, in_segment(sub) + 1, k))).otherwise(nobody))
+    if expiry and isinstance(window, CountWindow):
+        out = F.col("rank") - window.size
+        sent.append(F.when((out > 0) & (out % layout.n_sub == 0), F.array(address(side, F.expr(f"(rank - {window.size}) div {layout.n_sub} - 1"), EXPIRE, F.expr(f"(rank - {window.size}) div {layout.n_sub} - 1"), whole))).otherwise(nobody))
     keep = ["value", "key", "rank", "done", "opp", *(["us"] if timed else []), *(["late"] if "late" in rows.columns else []), *extra]
     return rows.select(F.explode(F.concat(*sent)).alias("to"), *keep).select("to.*", *keep)
 
 
+def place(sent: DataFrame, layout: Layout) -> DataFrame:
+    """The exchange: round robin over ``slots`` workers a side, else by hash."""
+    if not layout.slots:
+        return sent.repartition("side", "segment", "share")
+    turn = F.pmod(F.col("segment") + F.col("share"), F.lit(layout.slots)) + F.when(F.col("side") == "R", layout.slots).otherwise(0)
+    return sent.repartitionById(2 * layout.slots, turn.cast("int"))
+
+
 @dataclass(frozen=True)
 class Plan:
     """What a task is told."""
@@ -110,7 +129,7 @@ def run(prepared: DataFrame, pred: Predicate, window: win.Window, layout: Layout
     chained = name in (None, "splitter", "auto")
     sent = commands(prepared, window, layout, extra, chained)
     order = ["value"] if name == "sorted" else ["done", "rank"]
-    placed = sent.repartition("side", "segment", "share").sortWithinPartitions("side", "segment", "share", "sub_id", "op", *order)
+    placed = place(sent, layout).sortWithinPartitions("side", "segment", "share", "sub_id", "op", *order)
     rows, closed = bounded(placed, pred)
     plan = Plan(window, layout, (lambda _, name=name: name) if name else choose, result, pred.negated, len(closed), closed, extra, n_bat, chained, adjust)
     if result == "pairs":
@@ -125,6 +144,43 @@ def run(prepared: DataFrame, pred: Predicate, window: win.Window, layout: Layout
     return rows.mapInArrow(lambda batches: _work(batches, plan, names), schema)
 
 
+def chained_splitters(prepared: DataFrame, layout: Layout) -> DataFrame:
+    """(side, sub_id, splitters) of every subwindow, each from its predecessor's counts, least and
+    greatest values; a task carries on a segment, after ``warm`` subwindows before it."""
+    ship(prepared.sparkSession)
+    rows = prepared.filter("value is not null")
+    segment = F.floor(F.col("sub_id") / layout.segment)
+    own = F.struct(segment.alias("segment"), F.lit(INSERT).alias("op"))
+    early = F.when(F.pmod("sub_id", F.lit(layout.segment)) >= layout.segment - layout.warm, F.array(F.struct((segment + 1).alias("segment"), F.lit(WARM).alias("op")))).otherwise(F.array().cast("array<struct<segment:bigint,op:int>>"))
+    sent = rows.select("side", "sub_id", "value", F.explode(F.concat(F.array(own), early)).alias("to")).select("side", "to.segment", F.lit(0).cast("bigint").alias("share"), "sub_id", "to.op", "value")
+    plan = Plan(None, layout, None, "splitters", False, 0, (), (), 1, True)
+
+    def work(batches):
+        chain, before = None, None
+        for where, op, values in _subwindows(batches):
+            if where[:2] != before:
+                chain, before = Chain(plan), where[:2]
+            if op == INSERT:
+                bounds = pa.array([chain.inherited(values).astype(np.int64)], pa.list_(pa.int64()))
+                yield pa.RecordBatch.from_arrays([pa.array([where[0]]), pa.array([int(where[3])], pa.int64()), bounds], names=["side", "sub_id", "splitters"])
+            chain.adjust(values)
+
+    return sent.repartition("side", "segment").sortWithinPartitions("side", "segment", "sub_id").mapInArrow(work, "side string, sub_id bigint, splitters array<bigint>")
+
+
+def _subwindows(batches):
+    """(address, op, all values) of one subwindow after the other."""
+    now, held = None, []
+    for where, op, rows in _pieces(batches):
+        if (where, op) != now:
+            if held:
+                yield *now, np.concatenate(held)
+            now, held = (where, op), []
+        held.append(rows.column("value").to_numpy())
+    if held:
+        yield *now, np.concatenate(held)
+
+
 # -- in a task ---------------------------------------------------------------------------------
 
 

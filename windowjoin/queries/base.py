@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from windowjoin.operators.sequence import cents, sequence
+from windowjoin.operators.sequence import cents, prefilter, sequence
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -14,10 +14,9 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 def clicks_views(spark: SparkSession, sf_dir: str, value: str = "cents", extra: tuple[str, ...] = ()) -> DataFrame:
     """S: clicks, R: views, in event order; value in cents or a column."""
-    e = table(spark, sf_dir, "events").filter(F.col("event_type").isin("click", "view"))
     side = F.when(F.col("event_type") == "click", "S").otherwise("R")
     v = cents("value") if value == "cents" else F.col(value).cast("bigint")
-    rows = e.select(side.alias("side"), F.col("event_id").alias("key"), v.alias("value"), "ts", *extra)
+    rows = prefilter(table(spark, sf_dir, "events"), F.col("event_type").isin("click", "view"), side, F.col("event_id"), v, "ts", *extra)
     return sequence(rows, ["ts", "key"], F.date_trunc("hour", "ts"))
 
 

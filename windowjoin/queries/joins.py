@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from windowjoin.config import CountWindow, Layout, TimeWindow
+from windowjoin.config import BatchPolicy, CountWindow, Layout, TimeWindow
 from windowjoin.operators import baselines, sequence
 from windowjoin.operators.join import outer_join, theta_pairs, top_matches, window_join
 from windowjoin.predicates import Band, Equi, Inequality, MultiBand, NotEqual, Theta
@@ -82,7 +82,7 @@ def _records(ev: DataFrame, window, layout: Layout) -> DataFrame:
 
 query("count_window_ranges", RANGED.format(events=events_sql(), sub="(rank - 1) // 64", live="m.sub_id BETWEEN greatest(0, (CASE p.side WHEN 'S' THEN p.seen_r ELSE p.seen_s END) - 500) // 64 AND ((CASE p.side WHEN 'S' THEN p.seen_r ELSE p.seen_s END) + 63) // 64 - 1"))(_plain(lambda ev: _records(ev, W, LAYOUT)))
 query("time_window_ranges", RANGED.format(events=events_sql(), sub=f"us // {DAY // 4}000000", live=f"m.sub_id BETWEEN (p.us - {DAY}000000) // {DAY // 4}000000 AND p.us // {DAY // 4}000000"))(_plain(lambda ev: _records(ev, TimeWindow(DAY), Layout(DAY // 4, 16))))
-query("batch_or_wait_window", wait_sql(band(50), 500, 32, 21_600))(_plain(lambda ev: window_join(ev, NEAR, W, LAYOUT, "sorted", n_bat=32, max_wait=21_600)))
+query("batch_or_wait_window", wait_sql(band(50), 500, 32, 21_600))(_plain(lambda ev: window_join(ev, NEAR, W, LAYOUT, "sorted", n_bat=BatchPolicy(32, 21_600))))
 query("band_time_window", f"{events_sql()} SELECT {PAIR} FROM s JOIN r ON {band(50)} AND abs(s.us - r.us) <= {DAY}000000")(_plain(lambda ev: window_join(ev, NEAR, TimeWindow(DAY), Layout(DAY // 8, 16), "wideleaf")))
 for sign, name in (("<", "lt"), ("<=", "le"), (">", "gt"), (">=", "ge")):
     query(f"inequality_window_{name}", f"""{events_sql()},
@@ -227,8 +227,13 @@ query("spark_native_theta", f"SELECT s_key, r_key FROM ({EXACT.replace('500', '1
 # -- streams ------------------------------------------------------------------------------------
 
 query("stream_native_band", SQL["band_time_window"])(_plain(lambda ev: replay.native_band(ev, 50, DAY)))
-query("stream_stateful_band", EXACT)(_plain(lambda ev: replay.stateful_band(ev, -50, 50, W, 250)))
-query("stream_microbatch_band", EXACT)(_plain(lambda ev: replay.microbatch_band(sequence.prepare(ev, 500), NEAR, W, LAYOUT)))
+query("stream_stateful_band", EXACT)(_plain(lambda ev: replay.stateful_join(ev, NEAR, W, Layout(250))[0]))
+query("stream_stateful_time_band", SQL["band_time_window"])(_plain(lambda ev: replay.stateful_join(ev, NEAR, TimeWindow(DAY), Layout(DAY))[0]))
+query("stream_microbatch_band", EXACT)(_plain(lambda ev: replay.microbatch_join(ev, NEAR, W, LAYOUT)[0]))
+query("stream_overlapped_band", EXACT)(_plain(lambda ev: replay.microbatch_join(ev, NEAR, W, LAYOUT, overlap=True)[0]))
+LIVE = f"{events_sql()}, n AS (SELECT side, max(rank) AS top FROM x GROUP BY side) SELECT x.side, (x.rank - 1) // {{n}} AS sub_id FROM x JOIN n ON x.side = n.side WHERE (x.rank - 1) // {{n}} >= greatest(0, n.top - 500) // {{n}} GROUP BY ALL"
+query("stream_live_subwindows", LIVE.format(n=250))(_plain(lambda ev: replay.live_subwindows(ev.sparkSession, replay.stateful_join(ev, NEAR, W, Layout(250))[1])))
+query("stream_live_folders", LIVE.format(n=64))(_plain(lambda ev: replay.stored_subwindows(ev.sparkSession, replay.microbatch_join(ev, NEAR, W, LAYOUT)[1])))
 query("stream_hash_equi", SQL["equi_time_window"])(lambda spark, d: replay.native_equi(clicks_views(spark, d, "user_id"), 21_600))
 query("stream_noop_counts", f"{events_sql()} SELECT side, count(*) AS n FROM x GROUP BY side")(_plain(replay.counted))
 
@@ -241,14 +246,25 @@ a AS (SELECT * FROM m WHERE top IS NULL OR us >= top - 43200000000)
 
 @query("band_out_of_order", LATE + f"SELECT {PAIR} FROM a s JOIN a r ON s.side = 'S' AND r.side = 'R' AND {band(50)} AND abs(s.us - r.us) <= {DAY}000000")
 def _late(spark, d):
+    """Admitted tuples in order of arrival; those that come after the next subwindow has begun go to
+    their subwindow's side buffer."""
+    e = table(spark, d, "events").filter(F.col("event_type").isin("click", "view"))
+    rows = e.select(F.when(F.col("event_type") == "click", "S").otherwise("R").alias("side"), F.col("event_id").alias("key"), sequence.cents("value").alias("value"), "ts", F.expr("event_id + (event_id * 37) % 40").alias("arrival"))
+    length = DAY // 4
+    taken = replay.admitted(rows, "arrival", 43_200).filter("not dropped")
+    taken = taken.withColumn("late", F.coalesce(sequence.time_slot("us", length) < sequence.time_slot("top", length), F.lit(False)))
+    ranked = sequence.sequence(taken.select("side", "key", "value", "ts", "arrival", "late"), ["arrival", "key"], F.expr("arrival div 256"))
+    return window_join(ranked, NEAR, TimeWindow(DAY, disorder=43_200), Layout(length, 16), "sorted")
+
+
+@query("out_of_order_counts", LATE + f""", p AS (SELECT s.side, s.key, s.value, s.us, s.arrival FROM a s)
+SELECT p.side AS probe_side, p.key AS probe_key, count(*) AS matches FROM p JOIN a r ON p.side <> r.side AND abs(p.value - r.value) <= 50 AND abs(p.us - r.us) <= {DAY}000000 AND (p.arrival, p.key) > (r.arrival, r.key) GROUP BY ALL""")
+def _late_pairs(spark, d):
     e = table(spark, d, "events").filter(F.col("event_type").isin("click", "view"))
     rows = e.select(F.when(F.col("event_type") == "click", "S").otherwise("R").alias("side"), F.col("event_id").alias("key"), sequence.cents("value").alias("value"), "ts", F.expr("event_id + (event_id * 37) % 40").alias("arrival"))
     taken = replay.admitted(rows, "arrival", 43_200).filter("not dropped")
     ranked = sequence.sequence(taken.select("side", "key", "value", "ts", "arrival"), ["arrival", "key"], F.expr("arrival div 256"))
-    # the later arrival probes, whatever its time: a window to both sides of its time stamp
-    s = ranked.filter("side = 'S'").select("key", "value", F.expr("unix_micros(cast(ts as timestamp))").alias("us"))
-    r = ranked.filter("side = 'R'").select("key", "value", F.expr("unix_micros(cast(ts as timestamp))").alias("us"))
-    return theta_pairs(s, r, NEAR, 128, f"abs(s_us - r_us) <= {DAY}000000").select(*JOINED.split(", "))
+    return window_join(ranked, NEAR, TimeWindow(DAY, disorder=43_200), Layout(DAY // 4, 16), result="count")
 
 
 @query("late_tuples", LATE + "SELECT CAST(sum(CASE WHEN us < top - 43200000000 THEN 1 ELSE 0 END) AS BIGINT) AS dropped, CAST(sum(CASE WHEN us < top AND us >= top - 43200000000 THEN 1 ELSE 0 END) AS BIGINT) AS late FROM m")

@@ -258,7 +258,7 @@ query("result_size_forms", f"{RUN} SELECT count(*) AS range_records, CAST(sum(id
 
 def _run(ev: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame]:
     rows = win.with_subwindows(_static(ev), None, LAYOUT)
-    marks = splitters.subwindow_splitters(rows, 16, "sorted")
+    marks = splitters.subwindow_splitters(rows, 16)
     placed = rank.place(win.stored(rows), marks)
     fence = rank.fences(placed, marks)
     return rows, marks, placed, fence

@@ -91,6 +91,11 @@ def forget(*tables: DataFrame) -> None:
             drop_path(t.sparkSession, path)
 
 
+def make_path(spark: SparkSession, path: str) -> None:
+    target = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).mkdirs(target)
+
+
 def drop_path(spark: SparkSession, path: str) -> None:
     """Delete a folder that an operator wrote and no later plan reads."""
     target = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)

@@ -8,9 +8,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql.streaming import DataStreamWriter
 
 
-def subwindow_store(rows: DataFrame, path: str, mode: str = "append") -> None:
-    """Subwindows as folders, so that expiry drops folders and probes prune them."""
-    rows.write.mode(mode).partitionBy("side", "sub_id").parquet(path)
+def subwindow_store(rows: DataFrame, path: str) -> None:
+    """Subwindows as folders, so that expiry drops folders and probes prune them; the batch that
+    wrote a part is a folder below, which the same batch overwrites when it runs again."""
+    rows.write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("side", "sub_id", "batch").parquet(path)
 
 
 def sorted_run(rows: DataFrame, path: str, partitions: int) -> None:

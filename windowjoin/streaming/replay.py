@@ -1,8 +1,8 @@
 """Structured Streaming forms of the window join; each replays what is there and ends.
 
 ``native``: a stream-stream join on value buckets with watermarks, for time windows.
-``stateful``: subwindows in keyed state by slot, probes sent to every slot, for exact
-count windows. ``microbatch``: subwindow folders and the relational plan per batch.
+``stateful``: a subwindow's tuples in keyed state that expires by count or watermark.
+``microbatch``: folders of subwindows, of which the live ones are read and dead ones dropped.
 """
 
 from __future__ import annotations
@@ -11,23 +11,25 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from windowjoin.config import CountWindow, Layout
-from windowjoin.plans import bucket
-from windowjoin.plans import window as win
-from windowjoin.predicates import Band
-from windowjoin.runtime import new_path, ship, written
+from windowjoin.config import CountWindow, Layout, TimeWindow
+from windowjoin.operators.sequence import prepare
+from windowjoin.plans import bucket, worker
+from windowjoin.predicates import Predicate
+from windowjoin.runtime import drop_path, make_path, new_path, ship, written
+from windowjoin.sources import sinks
 from windowjoin.sources.sinks import each_batch, files
 
 PAIR = "s_key bigint, r_key bigint, s_value bigint, r_value bigint"
 
 
 def as_stream(rows: DataFrame, files_: int = 3, order: str = "seq") -> DataFrame:
-    """The rows as a stream of files, one a micro-batch: written one after the other, because
-    the source takes files by their time stamps."""
+    """The rows as a stream of files, one a micro-batch, to replay them: written one after the other,
+    because the source takes files by their time stamps. A harness: a file is one task's."""
     spark = rows.sparkSession
     path = new_path(spark, "stream")
     at = F.unix_micros(F.col(order).cast("timestamp")) if dict(rows.dtypes)[order].startswith("timestamp") else F.col(order)
@@ -67,72 +69,116 @@ def native_equi(tuples: DataFrame, seconds: int) -> DataFrame:
     return _ended(s.join(r, near).select("s_key", "r_key", "s_value", "r_value"), spark)
 
 
-def stateful_band(ranked: DataFrame, lo: int, hi: int, window: CountWindow, n_sub: int, slots: int = 4) -> DataFrame:
-    """Exact count window in state: a slot keeps its subwindows' tuples as packed arrays.
+def stateful_join(ranked: DataFrame, pred: Predicate, window: CountWindow | TimeWindow, layout: Layout, delay: str = "0 seconds") -> tuple[DataFrame, str]:
+    """The window join with a subwindow's tuples in keyed state; also the place of its progress, so
+    that the state that is left can be read.
 
-    Inserts go to the slot of their subwindow, probes to every slot, so slots never talk
-    to each other. Tuples are taken in arrival order inside a slot; whole subwindows
-    leave when no later probe can see them.
+    Each micro-batch sends a state its inserts, probes and expiry: by count, the tuple with which the
+    subwindow has left the window sends it an expire row; by time, the state's timer goes off when the
+    watermark has passed the last moment at which a probe can want it.
     """
     spark = ranked.sparkSession
     ship(spark)
-    stream = as_stream(ranked.select("side", "seq", "rank", "key", "value", "seen_s", "seen_r").filter("value is not null"))
-    target = F.explode(F.array_union(F.array(*[F.struct(F.lit(k).alias("slot"), F.lit(False).alias("insert")) for k in range(slots)]), F.array(F.struct(F.pmod(F.expr(f"(rank - 1) div {n_sub}"), F.lit(slots)).cast("int").alias("slot"), F.lit(True).alias("insert")))))
-    sent = stream.withColumn("to", target).select(F.col("to.slot").alias("slot"), F.col("to.insert").alias("insert"), "side", "seq", "rank", "key", "value", "seen_s", "seen_r")
-    w = window.size
-
-    def work(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        rows = pd.concat(list(batches)).sort_values(["seq", "insert"], kind="stable")
-        held = {}
-        for side, packed in zip("SR", state.get if state.exists else (b"", b""), strict=True):
-            held[side] = [np.frombuffer(bytes(packed), np.int64).reshape(-1, 3)]
-        out = []
-        for insert, side, rank, k, value, seen_s, seen_r in zip(rows["insert"], rows["side"], rows["rank"], rows["key"], rows["value"], rows["seen_s"], rows["seen_r"], strict=True):
-            if insert:
-                held[side].append(np.array([[rank, k, value]], np.int64))
-                continue
-            other, seen = ("R", seen_r) if side == "S" else ("S", seen_s)
-            table = held[other] = [np.concatenate(held[other])]
-            t = table[0]
-            a, b = (value + lo, value + hi) if side == "S" else (value - hi, value - lo)
-            hit = t[(seen - t[:, 0] < w) & (t[:, 2] >= a) & (t[:, 2] <= b)]
-            for _, k2, v2 in hit.tolist():
-                out.append((k, k2, value, v2) if side == "S" else (k2, k, v2, value))
-        last = rows.iloc[-1]
-        for side, seen in (("S", last["seen_s"]), ("R", last["seen_r"])):
-            t = np.concatenate(held[side])
-            held[side] = t[((t[:, 0] - 1) // n_sub + 1) * n_sub > seen - w]  # whole subwindows leave
-        state.update((held["S"].tobytes(), held["R"].tobytes()))
-        if out:
-            yield pd.DataFrame(out, columns=["s_key", "r_key", "s_value", "r_value"])
-
-    found = sent.groupBy("slot").applyInPandasWithState(work, PAIR, "s binary, r binary", "append", GroupStateTimeout.NoTimeout)
-    return _ended(found, spark)
-
-
-def microbatch_band(prepared: DataFrame, pred: Band, window: CountWindow, layout: Layout) -> DataFrame:
-    """The manager as a micro-batch: append the batch to the store of subwindow folders, join
-    it as probes with the live ones by the relational plan, write the batch's result folder.
+    timed = isinstance(window, TimeWindow)
+    prepared = prepare(ranked, layout.n_sub).select("side", "key", "value", "rank", "done", "opp", *(["ts"] if timed else []))
+    stream = as_stream(prepared, order="done")
+    sent = worker.commands(stream, window, layout, ("ts",) if timed else (), chained=False, expiry=True)
+    if timed:
+        sent = sent.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", delay)
+    rows, closed = worker.bounded(sent.drop("segment", "share"), pred)
+    plan = worker.Plan(window, layout, _sorted, "pairs", pred.negated, len(closed), closed, (), 1, False)
+    names = [c.split()[0] for c in PAIR.split(", ")]
+    fields = ["value", "key", "rank", "done", "opp", *(["us"] if timed else [])]
+
+    def work(address: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            state.remove()
+            return
+        rows = pd.concat(list(batches))
+        held = [np.frombuffer(bytes(state.get[0]), np.int64).reshape(-1, len(fields))] if state.exists else []
+        held.append(rows.loc[rows["op"] == worker.INSERT, fields].to_numpy(np.int64))
+        stored = np.concatenate(held)
+        asked = rows[rows["op"] == worker.PROBE]
+        if len(stored) and len(asked):
+            table = pa.RecordBatch.from_arrays([pa.array(stored[:, i]) for i in range(len(fields))], names=fields)
+            where = (address[0], 0, 0, address[1])
+            sub = worker.Subwindow(where, [table], worker.Chain(plan), plan)
+            probes = pa.RecordBatch.from_pandas(asked[[c for c in asked.columns if c in fields or c[:2] in ("lo", "hi")]], preserve_index=False)
+            for found in sub.answer(probes, names):
+                yield found.to_pandas()
+        if (rows["op"] == worker.EXPIRE).any():
+            if state.exists:
+                state.remove()
+        elif len(stored) > len(held[0]) or not state.exists:
+            state.update((stored.tobytes(),))
+        if timed and state.exists:
+            last = (int(address[1]) + 1) * layout.n_sub + window.seconds + window.disorder
+            state.setTimeoutTimestamp(max(last * 1000, state.getCurrentWatermarkMs() + 1))
+
+    timeout = GroupStateTimeout.EventTimeTimeout if timed else GroupStateTimeout.NoTimeout
+    found = rows.groupBy("side", "sub_id").applyInPandasWithState(work, PAIR, "tuples binary", "append", timeout)
+    out, progress = new_path(spark, "result"), new_path(spark, "progress")
+    files(found, out, progress).start().awaitTermination()
+    return spark.read.schema(found.schema).parquet(out), progress
+
+
+def _sorted(_: int) -> str:
+    return "sorted"
+
+
+def live_subwindows(spark: SparkSession, progress: str) -> DataFrame:
+    """(side, sub_id) of the subwindows that a stateful join still holds."""
+    return spark.read.format("statestore").load(progress).select("key.side", "key.sub_id")
+
+
+def microbatch_join(ranked: DataFrame, pred: Predicate, window: CountWindow, layout: Layout, overlap: bool = False) -> tuple[DataFrame, str]:
+    """The manager as a micro-batch: append the batch to the folders of its subwindows, join it as
+    probes with the live ones, write the batch's result folder, drop the folders of subwindows that
+    no later probe can want. Returns the result and the store.
 
     A batch that runs again overwrites its own folders, so results are neither lost nor doubled.
+    With ``overlap`` the narrow rows are written by a query of their own while this one works on
+    what is there.
     """
-    spark = prepared.sparkSession
-    rows = win.with_subwindows(prepared, window, layout)
-    stream = as_stream(rows)
-    store, out, checkpoint = (new_path(spark, x) for x in ("subwindows", "result", "progress"))
+    spark = ranked.sparkSession
+    prepared = prepare(ranked, layout.n_sub).select("side", "sub_id", "key", "value", "rank", "done", "opp")
+    store, out, progress = (new_path(spark, x) for x in ("subwindows", "result", "progress"))
+    dropped = {"S": 0, "R": 0}
 
     def work(batch: DataFrame, batch_id: int) -> None:
-        batch.write.mode("overwrite").parquet(f"{store}/batch={batch_id}")
-        seen = spark.read.schema(rows.schema).option("basePath", store).parquet(*[f"{store}/batch={k}" for k in range(batch_id + 1)])
-        oldest = batch.agg(F.min(F.col("opp"))).first()[0] or 0
-        live = seen.filter((F.col("sub_id") + 1) * layout.n_sub > oldest - window.size)
-        table = bucket.subwindow_splitters(live, layout.partitions, "wideleaf")
-        asked = win.route(win.probes(batch), window, layout)
-        found = bucket.search(win.stored(live), asked, table, pred, window)
-        bucket.theta_filter(found, pred, ()).write.mode("overwrite").parquet(f"{out}/batch={batch_id}")
-
-    each_batch(stream, work, checkpoint).start().awaitTermination()
-    return spark.read.schema(PAIR).option("recursiveFileLookup", "true").parquet(out)
+        sinks.subwindow_store(batch.withColumn("batch", F.lit(batch_id)), store)
+        newest = {r.side: (r.top, r.opp) for r in batch.groupBy("side").agg(F.max("rank").alias("top"), F.min("opp").alias("opp")).collect()}
+        wanted = {"R": newest.get("S", (0, 0))[1], "S": newest.get("R", (0, 0))[1]}  # the least that the batch's probes see of a side
+        seen = spark.read.schema("key bigint, value bigint, rank bigint, done bigint, opp bigint, side string, sub_id bigint, batch int").option("basePath", store).parquet(store)
+        live = seen.filter(F.col("batch") < batch_id).filter(F.col("sub_id") >= F.when(F.col("side") == "S", max(0, (wanted["S"] or 0) - window.size) // layout.n_sub).otherwise(max(0, (wanted["R"] or 0) - window.size) // layout.n_sub))
+        both = live.drop("batch").withColumn("asks", F.lit(False)).unionByName(batch.withColumn("asks", F.lit(True)))
+        found = worker.run(both, pred, window, layout, "sorted")
+        bucket.theta_filter_pairs(found, pred).write.mode("overwrite").parquet(f"{out}/batch={batch_id}")
+        for side, (top, _) in newest.items():
+            gone = max(0, top - window.size) // layout.n_sub
+            for sub_id in range(dropped[side], gone):
+                drop_path(spark, f"{store}/side={side}/sub_id={sub_id}")
+            dropped[side] = max(dropped[side], gone)
+
+    raw = as_stream(prepared, order="done")
+    if not overlap:
+        each_batch(raw, work, progress).start().awaitTermination()
+    else:
+        narrow, ahead = new_path(spark, "narrow"), new_path(spark, "progress")
+        make_path(spark, narrow)
+        preparing = files(raw, narrow, ahead).start()
+        going = True
+        while going:
+            going = preparing.isActive
+            arrived = spark.readStream.schema(prepared.schema).option("maxFilesPerTrigger", 1).parquet(narrow)
+            each_batch(arrived, work, progress).start().awaitTermination()
+        preparing.awaitTermination()
+    return spark.read.schema(PAIR).option("recursiveFileLookup", "true").parquet(out), store
+
+
+def stored_subwindows(spark: SparkSession, store: str) -> DataFrame:
+    """(side, sub_id) of the subwindow folders that are left."""
+    return spark.read.option("basePath", store).parquet(store).select("side", F.col("sub_id").cast("bigint").alias("sub_id")).distinct()
 
 
 def counted(tuples: DataFrame) -> DataFrame:
@@ -153,8 +199,8 @@ def counted(tuples: DataFrame) -> DataFrame:
 
 def admitted(tuples: DataFrame, arrival: str, delay_seconds: int) -> DataFrame:
     """Out-of-order replay: a tuple is late if its time is below the watermark, the greatest
-    time that arrived before it less the delay. Adds ``late`` (admitted, but out of order)
-    and ``dropped``. The running maximum goes over blocks of arrivals, then inside them."""
+    time that arrived before it less the delay. Adds ``late`` (admitted, but out of order),
+    ``dropped`` and ``top``, that greatest time in microseconds. The running maximum goes over blocks of arrivals, then inside them."""
     from pyspark.sql import Window
 
     rows = tuples.withColumns({"us": F.expr("unix_micros(cast(ts as timestamp))"), "block": F.expr(f"{arrival} div 4096")})
@@ -163,4 +209,4 @@ def admitted(tuples: DataFrame, arrival: str, delay_seconds: int) -> DataFrame:
     inside = Window.partitionBy("block").orderBy(arrival, "key").rowsBetween(Window.unboundedPreceding, -1)
     known = rows.join(before, "block").withColumn("top", F.greatest(F.max("us").over(inside), F.col("carried")))
     mark = F.col("top") - delay_seconds * 1_000_000
-    return known.withColumns({"dropped": F.coalesce(F.col("us") < mark, F.lit(False)), "late": F.coalesce((F.col("us") < F.col("top")) & (F.col("us") >= mark), F.lit(False))}).drop("block", "top")
+    return known.withColumns({"dropped": F.coalesce(F.col("us") < mark, F.lit(False)), "late": F.coalesce((F.col("us") < F.col("top")) & (F.col("us") >= mark), F.lit(False))}).drop("block")

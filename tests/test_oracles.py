@@ -3,11 +3,11 @@
 import duckdb
 import pytest
 
-from windowjoin.queries import joins, measures
+from windowjoin.queries import experiments, joins, measures
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-ALL = joins.QUERIES | measures.QUERIES
-SQL = joins.SQL | measures.SQL
+ALL = joins.QUERIES | measures.QUERIES | experiments.QUERIES
+SQL = joins.SQL | measures.SQL | experiments.SQL
 
 
 @pytest.fixture(scope="module")

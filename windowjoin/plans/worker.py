@@ -1,13 +1,13 @@
 """Worker plan: one exchange brings a subwindow's tuples and its probes to one task.
 
-The manager's commands become rows: a tuple is an insert for its own subwindow and a probe
-for each live subwindow of the other side (those without tuples answer nothing). Rows are
+The manager's commands become blocks: a tuple is an insert for its own subwindow and a probe
+for each live subwindow of the other side (those without tuples answer nothing). Blocks are
 placed by (side, segment of subwindows, share) and sorted by subwindow, inserts first, so a
-task reads them as a stream: it builds one subwindow's structure, answers the probes batch
-by batch and forgets it at the next one. What a task holds is one subwindow (``n_sub`` is
+task reads them as a stream: it builds one subwindow's structure, answers the probes block
+by block and forgets it at the next one. What a task holds is one subwindow (``n_sub`` is
 the bound) and a bounded slice of candidates, however many probes come.
 
-Structures: ``sorted`` (rows arrive in value order; answers are ranges of places, counts
+Structures: ``sorted`` (answers are ranges of places, counts
 never make pairs), ``splitter`` (boundaries inherited from the subwindow before, adjusted
 from its counts, least and greatest values), ``wideleaf`` (leaves cut at their middle).
 A segment starts ``warm`` subwindows early, on inserts only: adjustment settles within
@@ -101,9 +101,8 @@ class Plan:
     adjust: bool = True
 
 
-def bounded(sent: DataFrame, pred: Predicate) -> tuple[DataFrame, tuple]:
+def bounded(rows: DataFrame, pred: Predicate, probe_is_s: Column, asks: Column) -> tuple[DataFrame, tuple]:
     """The rows with each band's bounds for probes (null: open), and which ends belong to it."""
-    probe_is_s = F.col("side") == "R"
     value = F.col("value")
     if isinstance(pred, NotEqual):
         from_s, from_r = [pred.equal_range(value)], [pred.equal_range(value)]
@@ -116,32 +115,103 @@ def bounded(sent: DataFrame, pred: Predicate) -> tuple[DataFrame, tuple]:
             x, y = getattr(a, end), getattr(b, end)
             if x is not None or y is not None:
                 nothing = F.lit(None)
-                cols[f"{end}{k}"] = F.when(F.col("op") == PROBE, F.when(probe_is_s, nothing if x is None else x).otherwise(nothing if y is None else y))
+                cols[f"{end}{k}"] = F.when(asks, F.when(probe_is_s, nothing if x is None else x).otherwise(nothing if y is None else y))
         closed.append((a.lo_closed, b.lo_closed, a.hi_closed, b.hi_closed))
-    return sent.withColumns(cols) if cols else sent, tuple(closed)
+    return rows.withColumns(cols) if cols else rows, tuple(closed)
+
+
+PACKED = "side string, op int, first bigint, last bigint, turn bigint, rows binary"
+
+
+def packed(prepared: DataFrame, pred: Predicate, window: win.Window, layout: Layout, extra: tuple[str, ...], chained: bool) -> tuple[DataFrame, tuple]:
+    """The commands with their tuples in blocks: a block of inserts has one subwindow, a block of
+    probes those of one side that meet the same subwindows, in value order. What is sent to each of
+    a window's subwindows is then a few blocks and not a row for every probe."""
+    rows = win.with_subwindows(prepared, window, layout)
+    timed = isinstance(window, TimeWindow)
+    if timed:
+        rows = rows.withColumn("us", F.unix_micros(F.col("ts").cast("timestamp")))
+    first, last = win.live_range(window, layout, "opp", "us")
+    asks = F.col("asks") if "asks" in rows.columns else F.lit(True)
+    rows, closed = bounded(rows, pred, F.col("side") == "S", asks)
+    bounds = [c for c in rows.columns if c[:2] in ("lo", "hi") and c[2:].isdigit()]
+    keep = ["value", "key", "rank", "done", "opp", *(["us"] if timed else []), *(["late"] if "late" in rows.columns else []), *extra, *bounds]
+    # probes of no subwindow have first > last
+    sent = rows.filter("value is not null").select("side", "sub_id", F.when(asks, first).otherwise(1).cast("bigint").alias("first__sub"), F.when(asks, last).otherwise(0).cast("bigint").alias("last__sub"), *keep)
+    n_sub = layout.n_sub
+
+    def pack(batches):
+        for batch in batches:
+            if batch.num_rows:
+                yield from _blocks(batch, keep, bounds, n_sub)
+
+    blocks = sent.mapInArrow(pack, PACKED)
+    segment, shares, whole = layout.segment if chained else 1, layout.shares, F.lit(0).cast("bigint")
+    to = lambda sub, op, seg, share: F.struct(seg.cast("bigint").alias("segment"), share.cast("bigint").alias("share"), sub.cast("bigint").alias("sub_id"), F.lit(op).alias("op"))
+    in_segment = lambda x: F.floor(x / segment) if segment > 1 else x
+    all_shares, inserted = F.sequence(whole, F.lit(shares - 1).cast("bigint")), F.col("first")
+    insert = F.transform(all_shares, lambda k: to(inserted, INSERT, in_segment(inserted), k))
+    if segment > 1:  # the last subwindows of a segment also warm the next one up
+        early = F.transform(all_shares, lambda k: to(inserted, WARM, in_segment(inserted) + 1, k))
+        insert = F.when(F.pmod(inserted, F.lit(segment)) >= segment - layout.warm, F.concat(insert, early)).otherwise(insert)
+    probe = F.transform(F.sequence("first", "last"), lambda x: to(x, PROBE, in_segment(x), F.pmod("turn", F.lit(shares))))
+    return blocks.select("side", F.explode(F.when(F.col("op") == INSERT, insert).otherwise(probe)).alias("to"), "rows").select("side", "to.*", "rows"), closed
+
+
+def _blocks(batch: pa.RecordBatch, keep: list[str], bounds: list[str], n_sub: int):
+    """Blocks of one Arrow batch: inserts by (side, subwindow), probes by (side, first, last subwindow)."""
+    number = lambda c: batch.column(c).to_numpy(zero_copy_only=False)
+    is_s, sub, first, last, rank = number("side") == "S", number("sub_id"), number("first__sub"), number("last__sub"), number("rank")
+    data = batch.select(keep)
+    out: list[list] = [[] for _ in range(6)]
+
+    def add(order: np.ndarray, *keys: np.ndarray, op: int, columns: list[str]) -> None:
+        new = np.zeros(len(order), bool)
+        for k in keys:
+            new[1:] |= k[order][1:] != k[order][:-1]
+        for rows in np.split(order, np.flatnonzero(new)):
+            r = rows[0]
+            side = "S" if is_s[r] == (op == INSERT) else "R"
+            block = data.select(columns).take(pa.array(rows))
+            sink = pa.BufferOutputStream()
+            with pa.ipc.new_stream(sink, block.schema) as w:
+                w.write_batch(block)
+            a, b = (sub[r], sub[r]) if op == INSERT else (first[r], last[r])
+            for col, x in zip(out, (side, op, int(a), int(b), int(rank[rows].min()) // n_sub, sink.getvalue().to_pybytes()), strict=True):
+                col.append(x)
+
+    add(np.lexsort((sub, is_s)), is_s, sub, op=INSERT, columns=[c for c in keep if c not in bounds])
+    asking = np.flatnonzero(first <= last)
+    if len(asking):
+        order = asking[np.lexsort((number("value")[asking], last[asking], first[asking], is_s[asking]))]
+        add(order, is_s, first, last, op=PROBE, columns=keep)
+    kinds = (pa.string(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.binary())
+    yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(out, kinds, strict=True)], names=[c.split()[0] for c in PACKED.split(", ")])
 
 
 def run(prepared: DataFrame, pred: Predicate, window: win.Window, layout: Layout, choose: str | Callable[[int], str], result: str = "pairs", extra: tuple[str, ...] = (), n_bat: int = 1, adjust: bool = True) -> DataFrame:
     """The plan for one result form: pairs, count (per probe and subwindow), ranges or profile."""
-    spark = prepared.sparkSession
-    ship(spark)
+    ship(prepared.sparkSession)
     name = choose if isinstance(choose, str) else None
     chained = name in (None, "splitter", "auto")
-    sent = commands(prepared, window, layout, extra, chained)
-    order = ["value"] if name == "sorted" else ["done", "rank"]
-    placed = place(sent, layout).sortWithinPartitions("side", "segment", "share", "sub_id", "op", *order)
-    rows, closed = bounded(placed, pred)
+    sent, closed = packed(prepared, pred, window, layout, extra, chained)
+    rows = place(sent, layout).sortWithinPartitions("side", "segment", "share", "sub_id", "op")
     plan = Plan(window, layout, (lambda _, name=name: name) if name else choose, result, pred.negated, len(closed), closed, extra, n_bat, chained, adjust)
     if result == "pairs":
-        types = dict((f.name, f.dataType) for f in sent.schema.fields)
+        types = {f.name: f.dataType for f in prepared.schema.fields}
         schema = StructType([StructField(f"{s}_{c}", types[c]) for c in ("key", "value", *extra) for s in "sr"])
+        names = [f.name for f in schema.fields]
     else:
         schema = {"count": COUNTS, "ranges": RANGES, "profile": PROFILE}[result]
-    if not isinstance(schema, str):
-        names = [f.name for f in schema.fields]
-        return rows.mapInArrow(lambda batches: _work(batches, plan, names), schema)
-    names = [c.split()[0] for c in schema.split(", ")]
-    return rows.mapInArrow(lambda batches: _work(batches, plan, names), schema)
+        names = [c.split()[0] for c in schema.split(", ")]
+    return rows.mapInArrow(lambda batches: _work(_unpacked(batches), plan, names), schema)
+
+
+def _unpacked(batches):
+    """((side, segment, share, sub_id), op, tuples) of every block."""
+    for batch in batches:
+        for *where, op, data in zip(*(batch.column(c).to_pylist() for c in ("side", "segment", "share", "sub_id", "op", "rows")), strict=True):
+            yield tuple(where), op, pa.ipc.open_stream(pa.py_buffer(data)).read_next_batch()
 
 
 def chained_splitters(prepared: DataFrame, layout: Layout) -> DataFrame:
@@ -198,13 +268,13 @@ def _pieces(batches: Iterator[pa.RecordBatch]):
             yield tuple(c[a] for c in cols[:4]), int(cols[4][a]), batch.slice(a, b - a)
 
 
-def _work(batches: Iterator[pa.RecordBatch], plan: Plan, names: list[str]) -> Iterator[pa.RecordBatch]:
+def _work(pieces, plan: Plan, names: list[str]) -> Iterator[pa.RecordBatch]:
     chain = Chain(plan)
     now, held, early, sub = None, [], [], None
-    for where, op, rows in _pieces(batches):
+    for where, op, rows in pieces:
         if where != now:
             if early:
-                chain.warm(np.concatenate(early))
+                chain.warm(in_arrival_order(early).column("value").to_numpy())
             if sub is None and held:
                 sub = Subwindow(now, held, chain, plan)
             if sub is not None:
@@ -213,7 +283,7 @@ def _work(batches: Iterator[pa.RecordBatch], plan: Plan, names: list[str]) -> It
                 chain = Chain(plan)
             now, held, early, sub = where, [], [], None
         if op == WARM:
-            early.append(rows.column("value").to_numpy())
+            early.append(rows)
         elif op == INSERT:
             held.append(rows)
         else:
@@ -227,6 +297,15 @@ def _work(batches: Iterator[pa.RecordBatch], plan: Plan, names: list[str]) -> It
         yield from sub.finish(names)
 
 
+def in_arrival_order(held: list[pa.RecordBatch]) -> pa.Table:
+    """One subwindow's tuples from its blocks."""
+    table = pa.Table.from_batches(held).combine_chunks()
+    done, rank = table.column("done").to_numpy(), table.column("rank").to_numpy()
+    if len(held) == 1 and (np.diff(rank) > 0).all() and (np.diff(done) >= 0).all():
+        return table
+    return table.take(pa.array(np.lexsort((rank, done))))
+
+
 class Chain:
     """What a subwindow hands to its successor: boundaries, and facts for the choice of a structure."""
 
@@ -275,7 +354,7 @@ class Subwindow:
 
     def __init__(self, where: tuple, held: list[pa.RecordBatch], chain: Chain, plan: Plan):
         self.side, self.sub_id, self.plan, self.chain = where[0], int(where[3]), plan, chain
-        table = pa.Table.from_batches(held).combine_chunks()
+        table = in_arrival_order(held)
         self.buffer = None
         if "late" in table.column_names:  # late tuples stay beside the structure and are scanned
             late = table.column("late")

@@ -215,15 +215,15 @@ SELECT CAST({eps} AS BIGINT) AS eps, count(*) AS records, CAST(sum(n) AS BIGINT)
     )
 
 
-@query("transfer_by_form", f"{events_sql()}, {ROUTED.format(n=64, w=500)} SELECT (SELECT count(*) FROM x) + probes AS command_rows, true AS ranges_are_less FROM pr")
+@query("transfer_by_form", f"{events_sql()}, {ROUTED.format(n=64, w=500)} SELECT (SELECT count(*) FROM x) + probes AS command_rows, true AS blocks_are_fewer, true AS ranges_are_less FROM pr")
 def _transfer(spark, d):
-    """Rows that the manager's exchange moves, and that wide results cost less as range records."""
-    ev = written(clicks_views(spark, d), "ranked")
-    sent = worker.commands(sequence.prepare(ev, 64), W, LAYOUT, chained=False)
-    pairs = window_join(ev, Band(-5000, 5000), W, LAYOUT, "sorted")
-    n = measures.result_bytes(window_join(ev, Band(-5000, 5000), W, LAYOUT, result="ranges"))
-    moved = measures.transfer(pairs)["shuffleRecordsWritten"]
-    return sent.agg(F.count("*").alias("command_rows")).crossJoin(n.select((F.col("record_bytes") < F.col("pair_bytes")).alias("ranges_are_less"))).filter(F.lit(moved) == F.col("command_rows"))
+    """Commands of the manager, that the exchange moves fewer blocks than commands, and that wide
+    results take less as range records."""
+    prepared = sequence.prepare(written(clicks_views(spark, d), "ranked"), 64)
+    sent = worker.commands(prepared, W, LAYOUT, chained=False).agg(F.count("*").alias("command_rows"))
+    moved = measures.transfer(worker.run(prepared, Band(-5000, 5000), W, LAYOUT, "sorted"))["shuffleRecordsWritten"]
+    n = measures.result_bytes(worker.run(prepared, Band(-5000, 5000), W, LAYOUT, "sorted", "ranges"))
+    return sent.crossJoin(n).select("command_rows", (F.lit(moved) * 4 < F.col("command_rows")).alias("blocks_are_fewer"), (F.col("record_bytes") < F.col("pair_bytes")).alias("ranges_are_less"))
 
 
 @query("observed_feedback", f"{events_sql()} SELECT count(*) AS n, count(*) FILTER (WHERE side = 'S') AS n_s, count(*) FILTER (WHERE side = 'R') AS n_r, max(seq) AS last_seq FROM x")

@@ -85,7 +85,7 @@ def stateful_join(ranked: DataFrame, pred: Predicate, window: CountWindow | Time
     sent = worker.commands(stream, window, layout, ("ts",) if timed else (), chained=False, expiry=True)
     if timed:
         sent = sent.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", delay)
-    rows, closed = worker.bounded(sent.drop("segment", "share"), pred)
+    rows, closed = worker.bounded(sent.drop("segment", "share"), pred, F.col("side") == "R", F.col("op") == worker.PROBE)
     plan = worker.Plan(window, layout, _sorted, "pairs", pred.negated, len(closed), closed, (), 1, False)
     names = [c.split()[0] for c in PAIR.split(", ")]
     fields = ["value", "key", "rank", "done", "opp", *(["us"] if timed else [])]

@@ -191,3 +191,23 @@ def test_adjustment_forms_agree():
     table.insert_batch(v)
     got = structures.adjusted(v, b)
     assert np.abs(got - np.array(table.next_splitters())).max() <= 1
+
+
+@pytest.mark.parametrize("n,probes,width,open_end", [(4000, 300, 400, None), (4000, 300, 9000, None), (300, 40, 30, None), (4000, 300, 400, "lo"), (4000, 300, 400, "hi"), (0, 5, 3, None)])
+@pytest.mark.parametrize("closed", [(True, True), (False, False)])
+def test_partition_matches_are_a_scan(n, probes, width, open_end, closed):
+    rng = np.random.default_rng(n + width)
+    v = rng.integers(0, 10_000, n)
+    held = structures.Partitions(v, np.array([500, 1000, 1000, 4000, 9000]), "splitter")
+    lo = rng.integers(-50, 10_000, probes)
+    hi = lo + width
+    bounds = [(x, np.full(probes, open_end != e)) for x, e in ((lo, "lo"), (hi, "hi"))]
+    got = [set() for _ in lo]
+    for probe, place in held.matches(*bounds, np.full(probes, closed[0]), np.full(probes, closed[1]), most=5000):
+        for i, k in zip(probe.tolist(), held.order[place].tolist()):
+            assert k not in got[i]
+            got[i].add(k)
+    for i, (a, b) in enumerate(zip(lo, hi)):
+        above = np.ones(n, bool) if open_end == "lo" else (v >= a if closed[0] else v > a)
+        below = np.ones(n, bool) if open_end == "hi" else (v <= b if closed[1] else v < b)
+        assert got[i] == set(np.flatnonzero(above & below).tolist())

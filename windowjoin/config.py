@@ -45,7 +45,7 @@ class Layout:
     partitions: int = 16
     slots: int | None = None
     shares: int = 1
-    segment: int = 16
+    segment: int = 8
     warm: int = 3
     lowest: int | None = None
     highest: int | None = None

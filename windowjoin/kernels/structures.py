@@ -77,9 +77,62 @@ class Partitions:
         last = places(self.bounds, hi, np.zeros(len(hi_closed), bool), len(self.bounds))
         return first, last
 
-    def matches(self, lo, hi, lo_closed: np.ndarray, hi_closed: np.ndarray, most: int = 1 << 21):
+    def matches(self, lo, hi, lo_closed: np.ndarray, hi_closed: np.ndarray, most: int = 1 << 20):
         """(probe, place) of the tuples in each probe's interval, a bounded number of candidates at once."""
         first, last = self.candidates(lo, hi, lo_closed, hi_closed)
+        asking = np.flatnonzero(last >= first)
+        if not len(asking):
+            return
+        tested = int(self.sizes[first[asking]].sum())
+        uniform = all(len(x) and (x == x[0]).all() for x in (lo[1], hi[1], lo_closed, hi_closed))
+        if uniform and tested > 512 * len(np.unique(first[asking])):
+            yield from self._copies(first, last, asking, most)
+            yield from self._grids(first, asking, lo, hi, lo_closed[0], hi_closed[0], most)
+            yield from self._grids(last, asking[last[asking] > first[asking]], lo, hi, lo_closed[0], hi_closed[0], most)
+        else:
+            yield from self._lists(first, last, lo, hi, lo_closed, hi_closed, most)
+
+    def _copies(self, first, last, asking, most: int):
+        """All tuples of the partitions between the borders."""
+        wide = asking[last[asking] - first[asking] > 1]
+        start = self.at[first[wide] + 1]
+        n = self.at[last[wide]] - start
+        for a, b in slices(n, most):
+            row, place = spans(start[a:b], n[a:b])
+            self.copied += len(row)
+            yield wide[a + row], place
+
+    def _grids(self, border, rows, lo, hi, lo_closed: bool, hi_closed: bool, most: int):
+        """Each border partition against the probes that ask for it: its tuples on one side of a
+        grid, the probes on the other."""
+        rows = rows[np.argsort(border[rows], kind="stable")]
+        held: list[tuple[np.ndarray, np.ndarray]] = []
+        n = 0
+        for group in np.split(rows, np.flatnonzero(np.diff(border[rows])) + 1) if len(rows) else ():
+            at, to = self.at[border[group[0]]], self.at[border[group[0]] + 1]
+            if at == to:
+                continue
+            v = self.values[at:to]
+            step = max(1, most // len(v))
+            for k in range(0, len(group), step):
+                asked = group[k : k + step]
+                grid = np.ones((len(asked), len(v)), bool)
+                if lo[1][0]:
+                    grid &= v >= lo[0][asked, None] if lo_closed else v > lo[0][asked, None]
+                if hi[1][0]:
+                    grid &= v <= hi[0][asked, None] if hi_closed else v < hi[0][asked, None]
+                self.touched += grid.size
+                r, c = np.nonzero(grid)
+                held.append((asked[r], c + at))
+                n += len(r)
+            if n > 1 << 16:
+                yield tuple(map(np.concatenate, zip(*held, strict=True)))
+                held, n = [], 0
+        if held:
+            yield tuple(map(np.concatenate, zip(*held, strict=True)))
+
+    def _lists(self, first, last, lo, hi, lo_closed, hi_closed, most: int):
+        """The same candidate by candidate, for small partitions that few probes ask for."""
         start, stop = self.at[first], self.at[np.maximum(last, first) + 1]
         n = np.where(last >= first, stop - start, 0)
         for a, b in slices(n, most):

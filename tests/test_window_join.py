@@ -157,3 +157,151 @@ def test_known_adjustment(spark):
     e = spark.read.parquet("/root/testdata/sf0.01/events.parquet").selectExpr("cast(round(value * 100) as bigint) as value")
     sums = [sum(s) for s in splitters.adapt_splitters(e, 16, 4)]
     assert sums == [32212254720, 367515, 70505, 68244, 68080]
+
+
+# -- worker plan ------------------------------------------------------------------------------------
+
+
+def timed(spark, stamps, late=0):
+    """Alternating sides, one arrival after the other, at the given seconds."""
+    rows = [("SR"[i % 2], i, (i * 7) % 23, s, i) for i, s in enumerate(stamps)]
+    t = spark.createDataFrame(rows, "side string, key bigint, value bigint, s bigint, o bigint").withColumn("ts", F.timestamp_seconds("s").cast("timestamp_ntz"))
+    return rows, sequence(t, ["o"], F.expr("o div 64")).drop("s", "o")
+
+
+def brute_time(rows, eps, seconds):
+    out = set()
+    for side, key, value, s, o in rows:
+        for side2, key2, value2, s2, o2 in rows:
+            if o2 < o and side2 != side and abs(value - value2) <= eps and abs(s - s2) <= seconds:
+                out.add((key, key2) if side == "S" else (key2, key))
+    return out
+
+
+@pytest.mark.parametrize("start", [1_700_000_000, 0, -400_000, -200 * 86_400 * 365])
+@pytest.mark.parametrize("n_sub", [3_600, 20_000, 86_400])
+def test_time_windows_before_and_after_1970(spark, start, n_sub):
+    rows, ranked = timed(spark, [start + 3600 * i for i in range(120)])
+    want = brute_time(rows, 3, 86_400)
+    for kind in ("sorted", "splitter"):
+        assert found(window_join(ranked, Band(-3, 3), TimeWindow(86_400), Layout(n_sub, 4), kind)) == want
+    for engine in ("worker", "relational"):
+        n = window_join(ranked, Band(-3, 3), TimeWindow(86_400), Layout(n_sub, 4), result="count", engine=engine)
+        assert n.agg(F.sum("matches")).first()[0] == len(want)
+
+
+@pytest.mark.parametrize("flagged", [False, True])
+def test_out_of_order_and_late_tuples(spark, flagged):
+    rows, ranked = timed(spark, [5000 * i - (i * 37 % 11) * 4000 for i in range(150)])
+    want = brute_time(rows, 4, 30_000)
+    if flagged:  # some lie in the side buffers
+        ranked = ranked.withColumn("late", F.col("key") % 5 == 0)
+    window = TimeWindow(30_000, disorder=60_000)
+    for kind in ("sorted", "wideleaf"):
+        assert found(window_join(ranked, Band(-4, 4), window, Layout(10_000, 4), kind)) == want
+    assert window_join(ranked, Band(-4, 4), window, Layout(10_000, 4), result="count").agg(F.sum("matches")).first()[0] == len(want)
+
+
+def test_ranges_say_what_pairs_say(ev):
+    """Records, expanded by hand with their rank limits, are the pairs."""
+    layout = Layout(16, 4)
+    records = window_join(ev, MultiBand(((-300, -10), (5, 300))), W, layout, result="ranges").collect()
+    assert {r.band for r in records} == {0, 1}
+    runs = {}
+    for r in ev.orderBy("rank").collect():
+        runs.setdefault((r.side, (r["rank"] - 1) // 16), []).append((r.value, r["rank"], r.key))
+    got = set()
+    for r in records:
+        stored = "R" if r.probe_side == "S" else "S"
+        for _, rank, key in sorted(runs[(stored, r.sub_id)], key=lambda x: x[:2])[r.id_start : r.id_end]:
+            if r.rank_from <= rank < r.rank_to:
+                got.add((r.probe_key, key) if stored == "R" else (key, r.probe_key))
+    assert got == brute(as_rows(ev), lambda s, r: -300 <= r - s <= -10 or 5 <= r - s <= 300, 50)
+
+
+@pytest.mark.parametrize("pred,test", [(NotEqual(), lambda s, r: s != r), (Inequality("<"), lambda s, r: s < r), (Inequality(">="), lambda s, r: s >= r), (MultiBand(((-9, 5), (200, 300))), lambda s, r: -9 <= r - s <= 5 or 200 <= r - s <= 300)])
+@pytest.mark.parametrize("n", [1, 16])
+def test_counts_make_no_pairs(ev, pred, test, n):
+    counted = window_join(ev, pred, W, Layout(8, 4), n_bat=n, result="count")
+    assert counted.agg(F.sum("matches")).first()[0] == len(brute(as_rows(ev), test, 50, n))
+    plan = counted._jdf.queryExecution().executedPlan().toString()
+    assert "Cartesian" not in plan and (n > 1 or "NestedLoop" not in plan)  # with batches: the totals, one row
+    work = window_join(ev, pred, W, Layout(8, 4), "sorted", n_bat=n, result="profile").agg(F.sum("touched") + F.sum("copied")).first()[0]
+    assert work == 0
+
+
+@pytest.mark.parametrize("layout", [Layout(8, 4, slots=3), Layout(8, 4, shares=3), Layout(8, 300), Layout(8, 4, segment=2, warm=1), Layout(8, 4, lowest=0, highest=1 << 32)])
+@pytest.mark.parametrize("kind", ["splitter", "sorted", "auto"])
+def test_layouts_give_the_same_pairs(ev, layout, kind):
+    assert found(window_join(ev, Band(-300, 300), W, layout, kind)) == brute(as_rows(ev), lambda s, r: abs(s - r) <= 300, 50)
+
+
+def test_inherited_splitters_balance_and_fixed_ones_do_not(ev):
+    ev = ev.filter("value is not null")
+    mae = lambda **k: window_join(ev, Band(0, 0), W, Layout(100, 4, lowest=0, highest=1 << 32, segment=100), "splitter", result="profile", **k).agg(F.max_by("mae", "sub_id")).first()[0]
+    assert mae() < 0.6 and mae(adjust=False) > 1.4
+
+
+def test_batches_close_by_count_or_wait(spark):
+    """A simulation of two buffers and a clock."""
+    from windowjoin.config import BatchPolicy
+
+    rows, ranked = timed(spark, [i * i % 97 + 60 * (i // 4) for i in sorted(range(90), key=lambda i: i * i % 97 + 60 * (i // 4))])
+    rows = sorted(rows, key=lambda r: r[4])
+    stamps = sorted(r[3] for r in rows)
+    rows = [(*r[:3], s, r[4]) for r, s in zip(rows, stamps)]
+    t = spark.createDataFrame(rows, "side string, key bigint, value bigint, s bigint, o bigint").withColumn("ts", F.timestamp_seconds("s").cast("timestamp_ntz"))
+    ranked = sequence(t, ["o"], F.expr("o div 16"))
+    window, buffer, want = {"S": [], "R": []}, {"S": [], "R": []}, set()
+
+    def work(side):
+        other = "R" if side == "S" else "S"
+        for key, value in buffer[side]:
+            for key2, value2 in window[other][-20:]:
+                if abs(value - value2) <= 4:
+                    want.add((key, key2) if side == "S" else (key2, key))
+        window[side] += buffer[side]
+        buffer[side] = []
+
+    tick = None
+    for side, key, value, s, _ in rows:
+        if tick is not None and s // 120 != tick:
+            work("S")
+            work("R")
+        tick = s // 120
+        buffer[side].append((key, value))
+        if len(buffer[side]) == 5:
+            work(side)
+    work("S")
+    work("R")
+    for kind in ("sorted", "wideleaf"):
+        assert found(window_join(ranked, Band(-4, 4), CountWindow(20), Layout(8, 4), kind, n_bat=BatchPolicy(5, 120))) == want
+
+
+def test_same_pairs_and_late_materialisation(spark, ev):
+    from windowjoin.operators.join import attach
+
+    a = window_join(ev, Band(-300, 300), W, Layout(8, 4), "sorted")
+    assert measures.same_pairs(a, window_join(ev, Band(-300, 300), W, Layout(8, 4), "splitter"))
+    assert not measures.same_pairs(a, window_join(ev, Band(-299, 300), W, Layout(8, 4), "sorted"))
+    payload = lambda side: ev.filter(f"side = '{side}'").select(F.col("key").alias(f"{side.lower()}k"), F.col("ts").alias(f"{side.lower()}_ts"))
+    assert attach(a, payload("S"), payload("R"), "sk", "rk").count() == a.count()
+
+
+def test_transfer_counts_what_moves(ev):
+    moved = measures.transfer(window_join(ev, Band(-300, 300), W, Layout(16, 4), "sorted"))
+    assert moved["shuffleRecordsWritten"] > 0 and moved["shuffleBytesWritten"] > 0
+
+
+def test_cluster_must_name_its_folder(spark):
+    from windowjoin import runtime
+
+    class Cluster:
+        class sparkContext:  # noqa: N801
+            master, applicationId = "spark://there:7077", "x"
+
+        class conf:  # noqa: N801
+            get = staticmethod(lambda name, default=None: default)
+
+    with pytest.raises(RuntimeError):
+        runtime.shared_root(Cluster)

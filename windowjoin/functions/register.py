@@ -13,14 +13,13 @@ from pyspark.sql.functions import udtf
 
 @F.pandas_udf("int")
 def partition_of(value: pd.Series, splitters: pd.Series) -> pd.Series:
-    """1 + number of splitters below the value, one array a row."""
-    return pd.Series([int(np.searchsorted(s, v, side="left")) + 1 for v, s in zip(value, splitters, strict=True)])
-
-
-@F.pandas_udf("struct<n:bigint,lo:bigint,hi:bigint>")
-def histogram_pack(value: pd.Series) -> pd.DataFrame:
-    """Row form of a histogram entry, for tests of the Arrow path."""
-    return pd.DataFrame({"n": [1] * len(value), "lo": value, "hi": value})
+    """1 + number of splitters below the value; rows with the same array are searched together."""
+    out = np.zeros(len(value), np.int64)
+    _, group = np.unique([np.asarray(s).tobytes() for s in splitters], return_inverse=True)
+    for g in range(group.max() + 1 if len(group) else 0):
+        rows = np.flatnonzero(group == g)
+        out[rows] = np.searchsorted(splitters.iloc[rows[0]], value.to_numpy()[rows], side="left") + 1
+    return pd.Series(out)
 
 
 @udtf(returnType="pos bigint")

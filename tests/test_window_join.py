@@ -305,3 +305,11 @@ def test_cluster_must_name_its_folder(spark):
 
     with pytest.raises(RuntimeError):
         runtime.shared_root(Cluster)
+
+
+@pytest.mark.parametrize("kind", ["splitter", "wideleaf", "sorted"])
+def test_generated_streams_against_the_nested_loop(spark, kind):
+    from windowjoin.sources.tables import two_streams
+
+    ranked = two_streams(spark, 600, "zipf")
+    assert found(window_join(ranked, Band(-40, 40), CountWindow(70), Layout(16, 8), kind)) == found(baselines.nested_loop(ranked, Band(-40, 40), CountWindow(70)))

@@ -130,7 +130,3 @@ def theta_pairs(s: DataFrame, r: DataFrame, pred: Predicate, width: int, where:
         part = left.withColumn("cell", F.explode(cells)).join(right, "cell").filter(i.holds(F.col("r_value"))).drop("cell")
         out = part if out is None else out.unionByName(part)
     return out.filter(where) if where else out
-
-
-def window_kind(window: win.Window) -> str:
-    return "count" if isinstance(window, CountWindow) else "time" if isinstance(window, TimeWindow) else "none"

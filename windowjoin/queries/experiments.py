@@ -7,16 +7,16 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from windowjoin.config import CountWindow, Layout, TimeWindow, threads_for
+from windowjoin.config import CountWindow, Layout, threads_for
 from windowjoin.kernels import search
 from windowjoin.kernels.splitter_table import SplitterTable
 from windowjoin.kernels.staged_run import StagedSortedRun, StreamPipeline
 from windowjoin.kernels.wide_leaf import WideLeafTree
-from windowjoin.operators import manager, measures, sequence, splitters
+from windowjoin.operators import baselines, manager, measures, sequence, splitters
 from windowjoin.operators.join import window_join
 from windowjoin.plans import rank, worker
 from windowjoin.predicates import Band, Equi
-from windowjoin.queries.base import CENTS, PAIR, band, batch_sql, clicks_views, count_window_sql, events_sql, table
+from windowjoin.queries.base import PAIR, band, batch_sql, clicks_views, count_window_sql, events_sql, table
 from windowjoin.runtime import ship, written
 from windowjoin.sources import sinks
 
@@ -226,6 +226,50 @@ def _transfer(spark, d):
     return sent.crossJoin(n).select("command_rows", (F.lit(moved) * 4 < F.col("command_rows")).alias("blocks_are_fewer"), (F.col("record_bytes") < F.col("pair_bytes")).alias("ranges_are_less"))
 
 
+@query("noop_joiner", f"{events_sql()} SELECT count(*) AS n FROM x")
+def _noop(spark, d):
+    """Receives, counts on the way and discards: what the join's rate is compared with."""
+    rows, seen = manager.observed(clicks_views(spark, d), "noop")
+    baselines.no_op(rows)
+    return spark.createDataFrame([(int(seen.get["n"]),)], "n bigint")
+
+
+query("sorted_batches", f"{events_sql()} SELECT side, (rank - 1) // 32 AS batch_id, count(*) AS n, true AS ascending FROM x GROUP BY ALL")(_plain(lambda ev: _ascending(ev)))
+
+
+def _ascending(ev: DataFrame) -> DataFrame:
+    """Batches as they are sent: in value order where they lie."""
+    rows = sequence.sort_batch(sequence.prepare(ev, 64, 32).repartition("side", "batch_id")).select("side", "batch_id", "value")
+
+    def work(batches):
+        import pyarrow as pa
+
+        last: dict = {}
+        for b in batches:
+            for side, batch_id, value in zip(*(b.column(c).to_pylist() for c in ("side", "batch_id", "value")), strict=True):
+                n, ok, before = last.get((side, batch_id), (0, True, value))
+                last[(side, batch_id)] = (n + 1, ok and value >= before, value)
+        yield pa.RecordBatch.from_pylist([{"side": s, "batch_id": i, "n": n, "ascending": ok} for (s, i), (n, ok, _) in last.items()], schema=pa.schema([("side", pa.string()), ("batch_id", pa.int64()), ("n", pa.int64()), ("ascending", pa.bool_())]))
+
+    return rows.mapInArrow(work, "side string, batch_id bigint, n bigint, ascending boolean")
+
+
+@query("union_of_sides", "SELECT 'S' AS side, count(*) AS n FROM orders UNION ALL SELECT 'R', count(*) FROM lineitem")
+def _sides(spark, d):
+    s = table(spark, d, "orders").select(F.col("o_orderkey").alias("key"), sequence.cents("o_totalprice").alias("value"))
+    r = table(spark, d, "lineitem").select(F.col("l_orderkey").alias("key"), sequence.cents("l_extendedprice").alias("value"))
+    return sequence.union_sides(s, r).groupBy("side").agg(F.count("*").alias("n"))
+
+
+@query("sql_views", f"SELECT count(*) AS pairs, (SELECT count(*) FROM ({events_sql()} SELECT * FROM x)) AS tuples FROM ({count_window_sql(band(50))})")
+def _views(spark, d):
+    from windowjoin.functions.register import register_views
+
+    ev = clicks_views(spark, d)
+    register_views(ev, window_join(ev, NEAR, W, LAYOUT, "sorted"))
+    return spark.sql("SELECT (SELECT count(*) FROM wj_pairs) AS pairs, (SELECT count(*) FROM wj_tuples) AS tuples")
+
+
 @query("observed_feedback", f"{events_sql()} SELECT count(*) AS n, count(*) FILTER (WHERE side = 'S') AS n_s, count(*) FILTER (WHERE side = 'R') AS n_r, max(seq) AS last_seq FROM x")
 def _feedback(spark, d):
     rows, seen = manager.observed(clicks_views(spark, d), "status")
@@ -241,7 +285,6 @@ def _mirrored(spark, d):
     ev = clicks_views(spark, d)
     layout, path = Layout(64, 16), new_path(spark, "runs")
     records = window_join(ev, Band(-5, 5), None, layout, result="ranges").filter("id_end > id_start and probe_side = 'S'")
-    stored = sequence.assign_subwindows(ev, 64).filter("side = 'R'")
     order = rank.Window.partitionBy("sub_id").orderBy("value", "done", "rank")
     run = sequence.prepare(ev, 64).filter("side = 'R' and value is not null").select("side", "sub_id", (F.row_number().over(order) - 1).cast("bigint").alias("pos"), "key", "value", "rank")
     sinks.sorted_run(run, path, 4)
@@ -249,7 +292,6 @@ def _mirrored(spark, d):
     wide = records.withColumn("pos", F.explode(F.sequence("id_start", F.col("id_end") - 1))).join(run, ["sub_id", "pos"])
     late = wide.filter("rank >= rank_from and rank < rank_to").select(F.col("probe_key").alias("s_key"), F.col("key").alias("r_key"))
     other = window_join(ev, Band(-5, 5), None, layout, "sorted").filter("s_key < r_key").select("s_key", "r_key")  # found by the later R
-    del stored
     return late.unionByName(other)
 
 
@@ -291,7 +333,6 @@ def _inserted(make, n_bat: int, v, k):
     return t
 
 
-SWEEP = [(n_sub, n_bat, buffer) for n_sub in (500, 2000, 8000) for n_bat in (1, 32, 1024) for buffer in (0, 64, 1024)]
 SUBS = "SELECT CAST(count(*) AS BIGINT) AS n, CAST({n} AS BIGINT) AS n_sub FROM x GROUP BY side, (rank - 1) // {n}"
 
 

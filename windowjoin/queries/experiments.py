@@ -74,8 +74,10 @@ for n_bat in (1, 32, 256):
     query(f"structures_by_batch_{n_bat}", f"SELECT k.kind, (SELECT count(*) FROM ({batch_sql(band(50), 500, n_bat) if n_bat > 1 else count_window_sql(band(50))})) AS matches FROM (VALUES ('splitter'), ('wideleaf'), ('sorted')) k(kind)")(
         _plain(lambda ev, n=n_bat: _union(_profile(ev, k, NEAR, W, LAYOUT, n_bat=n) for k in KINDS).select("kind", "matches"))
     )
-query("whole_probes_share", "SELECT true AS four_in_five, true AS no_tuple_tested")(
-    _plain(lambda ev: _profile(ev, "sorted", NEAR, W, Layout(32, 16)).select((F.col("whole") * 5 >= F.col("probes") * 4).alias("four_in_five"), (F.col("touched") + F.col("copied") == 0).alias("no_tuple_tested")))
+query("whole_probes_share", f"""{events_sql()}, q AS (SELECT CASE WHEN side = 'S' THEN 'R' ELSE 'S' END AS side, CASE WHEN side = 'S' THEN seen_r ELSE seen_s END AS opp FROM x),
+u AS (SELECT side, (rank - 1) // 32 AS sub, min(rank) AS lo, max(rank) AS hi FROM x GROUP BY ALL)
+SELECT count(*) AS probes, CAST(sum(CASE WHEN hi <= opp AND opp - lo < 500 THEN 1 ELSE 0 END) AS BIGINT) AS whole, true AS no_tuple_tested FROM q JOIN u ON q.side = u.side AND u.sub BETWEEN greatest(0, opp - 500) // 32 AND (opp + 31) // 32 - 1""")(
+    _plain(lambda ev: _profile(ev, "sorted", NEAR, W, Layout(32, 16)).select("probes", "whole", (F.col("touched") + F.col("copied") == 0).alias("no_tuple_tested")))
 )
 
 # -- slots: workers in turn, and how many of them --------------------------------------------------------

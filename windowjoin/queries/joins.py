@@ -14,7 +14,7 @@ from windowjoin.streaming import replay
 
 QUERIES: dict = {}
 SQL: dict[str, str] = {}
-W, NEAR, LAYOUT = CountWindow(500), Band(-50, 50), Layout(64, 16)
+W, NEAR, LAYOUT = CountWindow(500), Band(-50, 50), Layout(50, 16)
 DAY = 86_400
 
 
@@ -80,7 +80,7 @@ def _records(ev: DataFrame, window, layout: Layout) -> DataFrame:
     return window_join(ev, NEAR, window, layout, result="ranges").filter("id_end > id_start").select("probe_side", "probe_key", "sub_id", "id_start", "id_end")
 
 
-query("count_window_ranges", RANGED.format(events=events_sql(), sub="(rank - 1) // 64", live="m.sub_id BETWEEN greatest(0, (CASE p.side WHEN 'S' THEN p.seen_r ELSE p.seen_s END) - 500) // 64 AND ((CASE p.side WHEN 'S' THEN p.seen_r ELSE p.seen_s END) + 63) // 64 - 1"))(_plain(lambda ev: _records(ev, W, LAYOUT)))
+query("count_window_ranges", RANGED.format(events=events_sql(), sub="(rank - 1) // 50", live="m.sub_id BETWEEN greatest(0, (CASE p.side WHEN 'S' THEN p.seen_r ELSE p.seen_s END) - 500) // 50 AND ((CASE p.side WHEN 'S' THEN p.seen_r ELSE p.seen_s END) + 49) // 50 - 1"))(_plain(lambda ev: _records(ev, W, LAYOUT)))
 query("time_window_ranges", RANGED.format(events=events_sql(), sub=f"us // {DAY // 4}000000", live=f"m.sub_id BETWEEN (p.us - {DAY}000000) // {DAY // 4}000000 AND p.us // {DAY // 4}000000"))(_plain(lambda ev: _records(ev, TimeWindow(DAY), Layout(DAY // 4, 16))))
 query("batch_or_wait_window", wait_sql(band(50), 500, 32, 21_600))(_plain(lambda ev: window_join(ev, NEAR, W, LAYOUT, "sorted", n_bat=BatchPolicy(32, 21_600))))
 query("band_time_window", f"{events_sql()} SELECT {PAIR} FROM s JOIN r ON {band(50)} AND abs(s.us - r.us) <= {DAY}000000")(_plain(lambda ev: window_join(ev, NEAR, TimeWindow(DAY), Layout(DAY // 8, 16), "wideleaf")))
@@ -233,7 +233,7 @@ query("stream_microbatch_band", EXACT)(_plain(lambda ev: replay.microbatch_join(
 query("stream_overlapped_band", EXACT)(_plain(lambda ev: replay.microbatch_join(ev, NEAR, W, LAYOUT, overlap=True)[0]))
 LIVE = f"{events_sql()}, n AS (SELECT side, max(rank) AS top FROM x GROUP BY side) SELECT x.side, (x.rank - 1) // {{n}} AS sub_id FROM x JOIN n ON x.side = n.side WHERE (x.rank - 1) // {{n}} >= greatest(0, n.top - 500) // {{n}} GROUP BY ALL"
 query("stream_live_subwindows", LIVE.format(n=250))(_plain(lambda ev: replay.live_subwindows(ev.sparkSession, replay.stateful_join(ev, NEAR, W, Layout(250))[1])))
-query("stream_live_folders", LIVE.format(n=64))(_plain(lambda ev: replay.stored_subwindows(ev.sparkSession, replay.microbatch_join(ev, NEAR, W, LAYOUT)[1])))
+query("stream_live_folders", LIVE.format(n=50))(_plain(lambda ev: replay.stored_subwindows(ev.sparkSession, replay.microbatch_join(ev, NEAR, W, LAYOUT)[1])))
 query("stream_hash_equi", SQL["equi_time_window"])(lambda spark, d: replay.native_equi(clicks_views(spark, d, "user_id"), 21_600))
 query("stream_noop_counts", f"{events_sql()} SELECT side, count(*) AS n FROM x GROUP BY side")(_plain(replay.counted))
 

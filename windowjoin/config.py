@@ -35,7 +35,7 @@ class Layout:
     """Subwindow size (tuples, or seconds for time windows), value partitions, worker slots.
 
     ``slots``: workers that take each side's subwindows (or segments of them) in turn; without
-    it they go to the session's shuffle partitions by hash;
+    it the session's shuffle partitions do, both sides together;
     ``shares``: tasks among which a subwindow's probes are dealt (its tuples go to each);
     ``segment``: subwindows whose boundaries one task carries on, after ``warm`` before them;
     ``lowest``, ``highest``: range of the first boundaries, else the observed one.

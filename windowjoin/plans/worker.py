@@ -30,7 +30,7 @@ from windowjoin.kernels import structures as st
 from windowjoin.operators.advisor import choose_index
 from windowjoin.plans import window as win
 from windowjoin.predicates import NotEqual, Predicate
-from windowjoin.runtime import ship
+from windowjoin.runtime import ship, shuffle_width
 
 WARM, INSERT, PROBE, EXPIRE = -1, 0, 1, 2
 #: candidates that a task expands at once
@@ -77,9 +77,11 @@ def commands(prepared: DataFrame, window: win.Window, layout: Layout, extra: tup
 
 
 def place(sent: DataFrame, layout: Layout) -> DataFrame:
-    """The exchange: round robin over ``slots`` workers a side, else by hash."""
+    """The exchange: round robin over ``slots`` workers a side, else over the shuffle's partitions."""
     if not layout.slots:
-        return sent.repartition("side", "segment", "share")
+        width = shuffle_width(sent.sparkSession)
+        turn = F.pmod(2 * (F.col("segment") + F.col("share")) + F.when(F.col("side") == "R", 1).otherwise(0), F.lit(width))
+        return sent.repartitionById(width, turn.cast("int"))
     turn = F.pmod(F.col("segment") + F.col("share"), F.lit(layout.slots)) + F.when(F.col("side") == "R", layout.slots).otherwise(0)
     return sent.repartitionById(2 * layout.slots, turn.cast("int"))
 

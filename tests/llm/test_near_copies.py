@@ -5,7 +5,7 @@ import numpy as np
 import pytest
 
 from tests.llm import edge
-from windowjoin.llm import near_copies
+from windowjoin.llm import near_copies, simhash
 
 SF = "/root/testdata/sf0.001"
 
@@ -54,6 +54,26 @@ def test_stage_keeps_one_of_all_texts_at_similarity_of_four_fifths(spark, rows):
     assert sorted(r.doc_id for r in kept.select("doc_id").collect()) == kept_by_brute_force(rows)
 
 
+@pytest.mark.parametrize("keep_one", [near_copies.keep_one, simhash.keep_one])
+def test_repeated_rows_leave_one(spark, keep_one):
+    docs = edge.with_repeats(spark)
+    once = sorted(r.doc_id for r in keep_one(edge.table(spark)).collect())
+    kept = keep_one(docs)
+    assert kept.columns == docs.columns
+    assert sorted(r.doc_id for r in kept.collect() if r.doc_id is not None) == once == sorted(set(once))
+    assert kept.filter("doc_id is null").count() == 1
+    assert keep_one(edge.empty(spark)).count() == 0
+
+
+@pytest.mark.parametrize("keep_one", [near_copies.keep_one, simhash.keep_one])
+def test_one_id_with_different_texts(spark, keep_one):
+    """Row 1 is twice with one text and once with another one; the other one has a copy of lesser id."""
+    mine, other = (" ".join(f"{w}{k}" for k in range(80)) for w in ("ab", "xyz"))
+    rows = [(1, mine), (1, mine), (1, other), (0, other), (2, mine), (3, "something else altogether is here")]
+    kept = keep_one(spark.createDataFrame(rows, "doc_id long, text string"))
+    assert sorted(map(tuple, kept.collect())) == [(0, other), (1, mine), (3, rows[-1][1])]
+
+
 def test_large_components_go_by_blocks(spark, monkeypatch):
     rng = random.Random(3)
     base = [f"word{rng.randrange(10**6)}" for _ in range(300)]

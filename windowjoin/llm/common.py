@@ -20,13 +20,38 @@ from pyspark.sql import functions as F
 
 from windowjoin.runtime import drop_path, forget, new_path, ship, shared_root, shuffle_width, written
 
-__all__ = ["cut", "drop_path", "forget", "new_path", "offsets", "ranges", "read_documents", "shared_root", "ship", "shuffle_width", "task_partition", "texts", "utf8", "written"]
+__all__ = ["cut", "drop_path", "forget", "keep_rows", "new_path", "offsets", "ranges", "read_documents", "shared_root", "ship", "shuffle_width", "task_partition", "text_id", "texts", "utf8", "written"]
 
 def texts(docs: DataFrame, *keep: str, text: str = "text") -> DataFrame:
     """The needed columns only; a null text becomes empty."""
     return docs.select(*keep, F.coalesce(F.col(text), F.lit("")).alias("text"))
 
 
+def text_id(text: str = "text"):
+    """A hash that tells rows of one doc_id with different texts apart."""
+    return F.xxhash64(F.coalesce(F.col(text), F.lit("")))
+
+
+def keep_rows(docs: DataFrame, kept: DataFrame, rows: DataFrame) -> DataFrame:
+    """One row of ``docs`` for each (kept__id, kept__text) of ``kept``; rows with null ids stay.
+
+    ``rows`` has (doc_id, text_id) of every row. Only rows whose id and text are there more
+    than once go through an exchange of whole rows; any one of those stays.
+    """
+    pair = ["kept__id", "kept__text"]
+    kept = written(kept.select(*pair), "kept")
+    often = rows.groupBy("doc_id", "text_id").count().filter("count > 1").select(F.col("doc_id").alias(pair[0]), F.col("text_id").alias(pair[1]))
+    often = written(often.join(kept, pair), "often")
+    match = (F.col("doc_id") == F.col("kept__id")) & (text_id() == F.col("kept__text"))
+    if often.isEmpty():
+        known = docs.join(kept, match, "left_semi")
+    else:
+        known = docs.join(kept.join(often, pair, "left_anti"), match, "left_semi")
+        repeated = docs.join(often, match, "left_semi").withColumn("kept__text", text_id())
+        known = known.unionByName(repeated.dropDuplicates(["doc_id", "kept__text"]).drop("kept__text"))
+    return known.unionByName(docs.filter("doc_id is null"))
+
+
 def read_documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 

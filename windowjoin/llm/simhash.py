@@ -20,7 +20,8 @@ Defined cases: a null or empty text, or one of white space only, has fingerprint
 and is linked like any other; fewer words than a shingle make one shingle of all words;
 equal texts share a fingerprint, hence a component; a component's id is its least
 doc_id, null ids left aside; an empty table gives an empty table; extra columns are
-not read.
+not read. ``keep_one`` keeps one of the rows with one id and one text, and of rows with one
+id and different texts those that are the least of their component.
 """
 
 from __future__ import annotations
@@ -80,8 +81,8 @@ def majority(hashes: np.ndarray, counts: np.ndarray) -> np.ndarray:
     return out
 
 
-def fingerprints(docs: DataFrame, width: int = 4) -> DataFrame:
-    """(doc_id, fp): the 64-bit fingerprint as a signed long."""
+def fingerprints(docs: DataFrame, width: int = 4, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
+    """The columns ``keep``, which are longs, and fp: the 64-bit fingerprint as a signed long."""
     common.ship(docs.sparkSession)
 
     def rows(batches):
@@ -92,9 +93,9 @@ def fingerprints(docs: DataFrame, width: int = 4) -> DataFrame:
                 lists = [shingle_hashes(raw[a:b], width) for a, b in zip(at[:-1], at[1:], strict=True)]
                 counts = np.fromiter(map(len, lists), np.int64, len(lists))
                 flat = np.fromiter((h for x in lists for h in x), np.uint64, int(counts.sum()))
-                yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(majority(flat, counts).view(np.int64))], names=["doc_id", "fp"])
+                yield pa.RecordBatch.from_arrays([*(part.column(c) for c in keep), pa.array(majority(flat, counts).view(np.int64))], names=[*keep, "fp"])
 
-    return common.texts(docs, "doc_id").mapInArrow(rows, "doc_id long, fp long")
+    return common.texts(docs, *keep).mapInArrow(rows, ", ".join(f"{c} long" for c in (*keep, "fp")))
 
 
 # -- the index ---------------------------------------------------------------------------
@@ -297,16 +298,21 @@ def _flatten(into: DataFrame) -> DataFrame:
             return out
 
 
-def near_duplicates(docs: DataFrame, width: int = 4, most: int = 4) -> DataFrame:
-    """doc_id, fp and component_id, the least doc_id that is reachable over links."""
-    table = common.written(fingerprints(docs, width), "fingerprints")
+def grouped(docs: DataFrame, width: int, most: int, keep: tuple[str, ...]) -> DataFrame:
+    """``keep``, fp, root (a fingerprint of the component) and component_id of every row."""
+    table = common.written(fingerprints(docs, width, keep), "fingerprints")
     distinct = common.written(table.groupBy("fp").agg(F.min("doc_id").alias("first")), "distinct")
     roots = components(links(distinct, most))
     joined = distinct.join(roots.select(F.col("node").alias("fp"), "root"), "fp", "left").select("fp", "first", F.coalesce("root", "fp").alias("root"))
     rooted = common.written(joined, "rooted")
     least = common.written(rooted.groupBy("root").agg(F.min("first").alias("component_id")), "least")
-    labels = common.written(rooted.join(least, "root").select("fp", "component_id"), "labels")
-    return table.join(labels, "fp").select("doc_id", "fp", "component_id")
+    labels = common.written(rooted.join(least, "root").select("fp", "root", "component_id"), "labels")
+    return table.join(labels, "fp").select(*keep, "fp", "root", "component_id")
+
+
+def near_duplicates(docs: DataFrame, width: int = 4, most: int = 4) -> DataFrame:
+    """doc_id, fp and component_id, the least doc_id that is reachable over links."""
+    return grouped(docs, width, most, ("doc_id",)).select("doc_id", "fp", "component_id")
 
 
 def digest(found: DataFrame) -> DataFrame:
@@ -315,7 +321,7 @@ def digest(found: DataFrame) -> DataFrame:
 
 
 def keep_one(docs: DataFrame, width: int = 4, most: int = 4) -> DataFrame:
-    """The rows of ``docs`` with the least doc_id of their component; null ids stay."""
-    kept = near_duplicates(docs, width, most).filter("doc_id = component_id").select(F.col("doc_id").alias("kept__id")).distinct()
-    known = docs.join(common.written(kept, "kept"), F.col("doc_id") == F.col("kept__id"), "left_semi")
-    return known.unionByName(docs.filter("doc_id is null"))
+    """One row of ``docs``, that of the least doc_id, of each component; null ids stay."""
+    found = common.written(grouped(docs.withColumn("text_id", common.text_id()), width, most, ("doc_id", "text_id")), "grouped")
+    kept = found.filter("doc_id = component_id").groupBy("root").agg(F.first("doc_id").alias("kept__id"), F.min("text_id").alias("kept__text"))
+    return common.keep_rows(docs, kept, found.select("doc_id", "text_id"))

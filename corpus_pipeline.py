@@ -16,7 +16,8 @@ def stage_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 def stage_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document, the least doc_id, of each component of similar texts.
 
-    Shingles of five words with a Jaccard similarity of 0.8 or more, verified exactly.
+    Shingles of five words with a Jaccard similarity of 0.8 or more, verified exactly; candidates
+    are the components of SimHash fingerprints and those of a wider index for what these miss.
     """
     return near_copies.keep_one(docs, width=5, at_least=0.8)
 

@@ -91,3 +91,21 @@ def test_similar_is_exact_at_the_bound():
     assert near_copies.similar(np.arange(5), np.arange(4), 0.8)
     assert not near_copies.similar(np.arange(10), np.arange(7), 0.8)
     assert near_copies.similar(np.arange(0), np.arange(0), 0.8) and not near_copies.similar(np.arange(0), np.arange(3), 0.8)
+
+
+def test_candidates_come_from_the_simhash_index_too(spark, monkeypatch):
+    """With no candidate from the minwise index the SimHash components still find what they link, and only that is kept as copies which is similar."""
+    rng = random.Random(11)
+    base = [f"w{rng.randrange(10**6)}" for _ in range(4000)]
+    near = [*base[:-1], "other"]
+    rows = [" ".join(base), " ".join(near), " ".join(f"x{k}" for k in range(300))]
+    prints = simhash.fingerprints(edge.table(spark, rows), 5).orderBy("doc_id").collect()
+    assert bin((prints[0].fp ^ prints[1].fp) & (2**64 - 1)).count("1") <= near_copies.MOST
+    monkeypatch.setattr(near_copies, "candidates", lambda distinct: distinct.selectExpr("node as a", "node as b").filter("false"))
+    assert sorted(r.doc_id for r in near_copies.keep_one(edge.table(spark, rows)).collect()) == [0, 2]
+
+
+def test_a_simhash_link_alone_is_no_copy(spark, monkeypatch):
+    monkeypatch.setattr(near_copies, "by_fingerprints", lambda prints: prints.crossJoin(prints.selectExpr("node as b")).selectExpr("node as a", "b"))
+    rows = [f"text {k} has words of its own like {k * k} and {k + 7}" for k in range(6)]
+    assert near_copies.keep_one(edge.table(spark, rows)).count() == 6

@@ -1,6 +1,9 @@
-"""Near copies by the Jaccard similarity of word shingles: minwise positional bytes, then exact sets.
+"""Near copies by the Jaccard similarity of word shingles: SimHash, minwise positional bytes, then exact sets.
 
-The shingles are those of ``simhash``. A text's fingerprint is one byte at each of
+The shingles are those of ``simhash``, and so is the first source of candidates: texts whose
+64-bit fingerprints link at ``MOST`` differing bits, found by its index of positional bytes, its
+count filter, its verification and its components. Similar texts lie further apart than that
+as a rule, so a second index follows. Its fingerprint of a text is one byte at each of
 ``BANDS * ROWS`` positions, taken from the shingle that is least under the position's own
 order; two texts agree at a position with the probability of their similarity. The index
 lists the distinct shingle sets by the ``ROWS`` least shingles of each band (64-bit keys).
@@ -8,8 +11,8 @@ In a list the shared positional bytes of a pair are counted, and pairs with ``LE
 more are candidates. At a similarity of 0.8 a pair is in no common list with a probability
 of (1 - 0.8**4)**20 = 2.7e-5, and falls at the count with less than 1e-5.
 
-Candidates are joined into components, the texts of a component are brought together once,
-and only there shingle sets are compared, exactly: the count filter never decides a link.
+Candidates of both are joined into components, the texts of a component are brought together
+once, and only there shingle sets are compared, exactly: no fingerprint ever decides a link.
 As in ``simhash`` lists and components are searched breadth first, so that g members give
 g-1 edges at most, and long ones block by block in tasks of their own.
 
@@ -27,11 +30,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from windowjoin.llm import common
+from windowjoin.llm import common, simhash
 from windowjoin.llm.multiset_hash import mixed
-from windowjoin.llm.simhash import BLOCK, EDGE_SCHEMA, _edge_batch, components, runs, shingle_hashes
+from windowjoin.llm.simhash import BLOCK, EDGE_SCHEMA, _edge_batch, components, majority, runs, shingle_hashes
 
 BANDS, ROWS, LEAST = 20, 4, 46
+#: differing bits of linked SimHash fingerprints
+MOST = 4
 #: an odd factor and an offset for each position
 _RANDOM = np.random.default_rng(80)
 FACTOR = _RANDOM.integers(1, 2**63, BANDS * ROWS, np.uint64) * np.uint64(2) + np.uint64(1)
@@ -117,21 +122,23 @@ def similar(one: np.ndarray, other: np.ndarray, at_least: float) -> bool:
 
 
 def signatures(docs: DataFrame, width: int) -> DataFrame:
-    """(doc_id, text_id, node, band keys, marks) of every row."""
+    """(doc_id, text_id, node, SimHash fingerprint, band keys, marks) of every row."""
     common.ship(docs.sparkSession)
-    names = ["doc_id", "text_id", "node", *KEYS, *MARKS]
+    names = ["doc_id", "text_id", "node", "fp", *KEYS, *MARKS]
 
     def rows(batches):
         for batch in batches:
             for part in common.cut(batch, most=4 << 20):
                 data, ends = common.utf8(part.column("text"))
                 raw, at = data.tobytes(), ends.tolist()
-                sets = [shingle_set(raw[a:b], width) for a, b in zip(at[:-1], at[1:], strict=True)]
+                lists = [np.array(shingle_hashes(raw[a:b], width), np.uint64) for a, b in zip(at[:-1], at[1:], strict=True)]
+                fp = majority(np.concatenate(lists), np.fromiter(map(len, lists), np.int64, len(lists)))
+                sets = [np.unique(x) for x in lists]
                 counts = np.fromiter(map(len, sets), np.int64, len(sets))
                 least = least_hashes(np.concatenate(sets), counts)
                 nodes = pa.array([node_of(s) for s in sets], pa.int64())
                 cols = [pa.array(np.ascontiguousarray(c)) for m in (band_keys(least), marks_of(least)) for c in m.T]
-                yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("text_id"), nodes, *cols], names=names)
+                yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("text_id"), nodes, pa.array(fp.view(np.int64)), *cols], names=names)
 
     known = common.texts(docs, "doc_id").withColumn("text_id", common.text_id())
     return known.mapInArrow(rows, ", ".join(f"{n} long" for n in names))
@@ -205,9 +212,18 @@ def candidates(distinct: DataFrame) -> DataFrame:
     return edges.distinct()
 
 
-def links(docs: DataFrame, distinct: DataFrame, width: int, at_least: float) -> DataFrame:
+def by_fingerprints(prints: DataFrame) -> DataFrame:
+    """Edges (a, b) that connect the nodes with one SimHash fingerprint or linked ones; ``prints`` has (node, fp)."""
+    prints = common.written(prints.distinct(), "prints")
+    roots = components(simhash.links(prints.select("fp").distinct(), MOST)).withColumnRenamed("node", "fp")
+    rooted = common.written(prints.join(roots, "fp", "left").select("node", F.coalesce("root", "fp").alias("root")), "rooted")
+    least = rooted.groupBy("root").agg(F.min("node").alias("b"))
+    return rooted.join(least, "root").filter("node <> b").select(F.col("node").alias("a"), "b")
+
+
+def links(docs: DataFrame, distinct: DataFrame, prints: DataFrame, width: int, at_least: float) -> DataFrame:
     """Edges (a, b) that connect the nodes whose shingle sets are similar."""
-    roots = components(candidates(distinct))
+    roots = components(by_fingerprints(prints).unionByName(candidates(distinct)))
     wanted = common.written(distinct.select("node", "text_id").join(roots, "node"), "wanted")
     own = common.texts(docs).withColumn("text_id", common.text_id())
     # one exchange by text_id, at every size: the ids wanted grow with the texts
@@ -241,7 +257,7 @@ def keep_one(docs: DataFrame, width: int = 5, at_least: float = 0.8) -> DataFram
     firsts = [F.first(c).alias(c) for c in ("text_id", *KEYS, *MARKS)]  # of one text or of equal sets
     least = F.min(F.when(F.col("doc_id").isNotNull(), F.struct("doc_id", "text_id"))).alias("first")
     distinct = common.written(table.groupBy("node").agg(least, *firsts), "distinct")
-    roots = components(links(docs, distinct, width, at_least))
+    roots = components(links(docs, distinct, table.select("node", "fp"), width, at_least))
     rooted = distinct.select("node", "first").join(roots, "node", "left").select("first", F.coalesce("root", "node").alias("root"))
     kept = rooted.groupBy("root").agg(F.min("first").alias("first")).filter("first is not null")
     kept = kept.select(F.col("first.doc_id").alias("kept__id"), F.col("first.text_id").alias("kept__text"))

@@ -28,6 +28,6 @@ def rows(spark, name, folder):
     return key(want)
 
 
-@pytest.mark.parametrize("name", ["generated_uniform", "generated_narrow", "generated_normal", "generated_zipf", "generated_geometric", "convergence_generated", "metadata_overhead", "adjustment_bound", "index_bytes", "energy_ratio", "merge_cost_by_buffer"])
+@pytest.mark.parametrize("name", ["generated_uniform", "generated_narrow", "generated_normal", "generated_zipf", "generated_geometric", "convergence_generated", "metadata_overhead", "adjustment_bound", "index_bytes", "energy_ratio", "merge_cost_by_buffer", "python_source_tuples"])
 def test_result_follows_the_table(spark, sf, other, name):
     assert rows(spark, name, sf) != rows(spark, name, other)

@@ -7,8 +7,10 @@ from windowjoin.config import CountWindow, Layout, TimeWindow
 from windowjoin.operators import baselines, measures, splitters
 from windowjoin.operators.join import window_join
 from windowjoin.operators.sequence import prepare, sequence
+from windowjoin.plans import worker
 from windowjoin.predicates import Band, Equi, Inequality, MultiBand, NotEqual
 from windowjoin.queries.base import clicks_views
+from windowjoin.sources import tables
 
 W = CountWindow(50)
 
@@ -313,3 +315,20 @@ def test_generated_streams_against_the_nested_loop(spark, kind):
 
     ranked = two_streams(spark, 600, "zipf")
     assert found(window_join(ranked, Band(-40, 40), CountWindow(70), Layout(16, 8), kind)) == found(baselines.nested_loop(ranked, Band(-40, 40), CountWindow(70)))
+
+
+@pytest.mark.parametrize("slots", [None, 1, 3])
+def test_without_a_window_a_probe_is_sent_once_a_span(spark, monkeypatch, slots):
+    """Several subwindows share a span: all pairs and counts are there, and far fewer rows are sent than one a subwindow."""
+    monkeypatch.setattr(worker, "SPAN", 32)
+    monkeypatch.setattr(worker, "PROBES", 50)
+    ev = tables.two_streams(spark, 600, "narrow")
+    layout = Layout(8, 4, slots=slots)
+    got = sorted(tuple(r) for r in window_join(ev, Band(-40, 40), None, layout, "sorted").collect())
+    rows = [(r.side, r.key, r.value) for r in ev.collect()]
+    assert got == sorted((a, b, x, y) for p, a, x in rows if p == "S" for q, b, y in rows if q == "R" and abs(x - y) <= 40)
+    counted = window_join(ev, Band(-40, 40), None, layout, result="count").groupBy().sum("matches").first()[0]
+    assert counted == len(got)
+    sent = worker.packed(prepare(ev, 8), Band(-40, 40), None, layout, (), False)[0].filter(f"op = {worker.PROBE}")
+    most = max(r.n for r in sent.groupBy("side", "rows").agg(F.count("*").alias("n")).collect())
+    assert most <= -(-300 // 32) + (slots or 1)

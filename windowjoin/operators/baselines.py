@@ -5,38 +5,57 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from windowjoin.config import Layout
+from windowjoin.config import Layout, TimeWindow
 from windowjoin.operators.sequence import prepare
 from windowjoin.plans import bucket
 from windowjoin.plans import window as win
 from windowjoin.predicates import Predicate
+from windowjoin.runtime import shuffle_width
+
+
+def _reached(prepared: DataFrame, window: win.Window, blocks: int = 1) -> tuple[DataFrame, DataFrame, list[str]]:
+    """Stored tuples, probes, and the columns that bring them together: the side and, for exact windows,
+    runs of ``blocks`` window lengths, so that a probe is asked of its window and not of the whole stream."""
+    if window is None or not window.exact:
+        return win.stored(prepared).drop("sub_id"), win.probes(prepared), ["side"]
+    timed = isinstance(window, TimeWindow)
+    layout = Layout(max(1, blocks * (window.seconds if timed else window.size)))
+    rows = win.with_subwindows(prepared if timed else prepared.drop("ts"), window, layout)
+    return win.stored(rows), win.route(win.probes(rows), window, layout).drop("first_sub", "last_sub"), ["side", "sub_id"]
+
+
+def _met(asked: DataFrame, held: DataFrame, keys: list[str]) -> DataFrame:
+    """Equi join dealt over all of the shuffle's partitions: few bytes in make many comparisons, so neither
+    a broadcast nor joined-up small partitions do."""
+    width = shuffle_width(held.sparkSession)
+    return asked.repartition(width, *keys).join(held.repartition(width, *keys).hint("merge"), keys)
 
 
 def nested_loop(ranked: DataFrame, pred: Predicate, window: win.Window, n_bat: int = 1) -> DataFrame:
-    """Every probe looks at the whole other side: Spark's nested loop, the reference answer."""
-    prepared = prepare(ranked, 1, n_bat).drop("sub_id").withColumn("sub_id", F.lit(0))
-    held, asked = win.stored(prepared).drop("sub_id"), win.probes(prepared).withColumnRenamed("side", "asked_side")
-    both = asked.join(held, (F.col("asked_side") == F.col("side")) & bucket.holds(pred) & win.in_window(window))
-    return bucket.theta_filter(both, pred, ())
+    """Every probe is compared with every tuple of the other side's window, whatever its value: the reference answer."""
+    held, asked, keys = _reached(prepare(ranked, 1, n_bat), window)
+    return bucket.theta_filter(_met(asked, held, keys).filter(bucket.holds(pred) & win.in_window(window)), pred, ())
+
+
+def _on_slots(ranked: DataFrame, pred: Predicate, window: win.Window, slots: int, n_bat: int = 1) -> DataFrame:
+    """Each tuple is kept on one core and asked of all; nested loop over the window inside a core."""
+    held, asked, keys = _reached(prepare(ranked, 1, n_bat), window, 2)
+    held = held.withColumn("slot", F.pmod("st_rank", F.lit(slots)).cast("int"))
+    asked = asked.withColumn("slot", F.explode(F.sequence(F.lit(0), F.lit(slots - 1))))
+    return _met(asked, held, [*keys, "slot"]).filter(bucket.holds(pred) & win.in_window(window))
 
 
 def split_replicate(ranked: DataFrame, pred: Predicate, window: win.Window, slots: int = 16, n_bat: int = 1) -> DataFrame:
     """Each tuple is stored on one core and asked of all cores; nested loop inside a core."""
-    prepared = prepare(ranked, 1, n_bat)
-    held = win.stored(prepared).drop("sub_id").withColumn("slot", F.pmod("st_rank", F.lit(slots)).cast("int"))
-    asked = win.probes(prepared).withColumn("slot", F.explode(F.sequence(F.lit(0), F.lit(slots - 1))))
-    return bucket.theta_filter(asked.join(held, ["side", "slot"]).filter(bucket.holds(pred) & win.in_window(window)), pred, ())
+    return bucket.theta_filter(_on_slots(ranked, pred, window, slots, n_bat), pred, ())
 
 
 def chain_flow(ranked: DataFrame, pred: Predicate, window: win.Window, slots: int = 16) -> DataFrame:
     """Tuples pass along a chain of cores; each is kept by its home core. Adds the hops that
     brought a pair together: the distance of the stored tuple's core from the probe's entry
     (S enters at one end, R at the other)."""
-    prepared = prepare(ranked, 1)
-    held = win.stored(prepared).drop("sub_id").withColumn("slot", F.pmod("st_rank", F.lit(slots)).cast("int"))
-    asked = win.probes(prepared).withColumn("slot", F.explode(F.sequence(F.lit(0), F.lit(slots - 1))))
     hops = F.when(F.col("side") == "R", F.col("slot")).otherwise(F.lit(slots - 1) - F.col("slot"))
-    found = asked.join(held, ["side", "slot"]).filter(bucket.holds(pred) & win.in_window(window)).withColumn("hops", hops)
+    found = _on_slots(ranked, pred, window, slots).withColumn("hops", hops)
     return win.pairs(found.withColumns({"st_hops": F.col("hops"), "pr_hops": F.col("hops")}), ("hops",)).withColumnRenamed("s_hops", "hops").drop("r_hops")
 
 

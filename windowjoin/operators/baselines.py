@@ -9,7 +9,7 @@ from windowjoin.config import Layout, TimeWindow
 from windowjoin.operators.sequence import prepare
 from windowjoin.plans import bucket
 from windowjoin.plans import window as win
-from windowjoin.predicates import Predicate
+from windowjoin.predicates import Band, Predicate
 from windowjoin.runtime import shuffle_width
 
 
@@ -90,9 +90,16 @@ def no_op(ranked: DataFrame) -> None:
     ranked.write.format("noop").mode("overwrite").save()
 
 
-def spark_native(s: DataFrame, r: DataFrame, pred: Predicate) -> DataFrame:
-    """The theta join of two tables as Spark plans it by itself."""
-    return s.join(r, pred.residual(F.col("s_value"), F.col("r_value")))
+def spark_native(s: DataFrame, r: DataFrame, pred: Predicate, width: int = 128) -> DataFrame:
+    """The theta join of two tables as Spark plans it by itself. A band also says which value cells meet:
+    without an equality Spark compares every S with every R."""
+    test = pred.residual(F.col("s_value"), F.col("r_value"))
+    if not isinstance(pred, Band):
+        return s.join(r, test)
+    (near,) = pred.bounds(F.col("s_value"))
+    cells = F.sequence(F.floor(near.lo / width), F.floor(near.hi / width))
+    left = s.filter("s_value is not null").withColumn("cell", F.explode(cells))
+    return _met(left, r.withColumn("cell", F.floor(F.col("r_value") / width)), ["cell"]).filter(test).drop("cell")
 
 
 def asof_join(ranked: DataFrame) -> DataFrame:

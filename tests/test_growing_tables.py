@@ -1,11 +1,13 @@
 """Queries whose work must grow with the result or the window and not with the product of the tables."""
 
 import pytest
+from pyspark.sql import functions as F
 
 from windowjoin.config import CountWindow, Layout, TimeWindow
 from windowjoin.operators import baselines
-from windowjoin.operators.join import window_join
+from windowjoin.operators.join import theta_pairs, window_join
 from windowjoin.predicates import Band
+from windowjoin.queries import joins
 from windowjoin.queries.base import clicks_views
 
 
@@ -28,3 +30,16 @@ def test_baselines_ask_the_window_only(ev, method):
         df = method(ev, Band(-900, 900), window)
         assert "sub_id" in plan(df).split("Join Inner")[1].splitlines()[0]
         assert pairs(df) == pairs(window_join(ev, Band(-900, 900), window, layout, "sorted")) != []
+
+
+def test_dated_band_meets_by_day(spark, sf):
+    assert "also" in plan(joins.QUERIES["band_orders_lineitem_dated"](spark, sf)).split("Join Inner")[1].splitlines()[0]
+    days = [("2024-01-01", 1, 10), ("2024-01-02", 2, 10), ("2024-01-03", 3, 11), (None, 4, 10)]
+    t = spark.createDataFrame(days, "day string, key bigint, value bigint").withColumn("day", F.to_date("day"))
+    where = "datediff(r_day, s_day) BETWEEN 0 AND 1"
+    assert pairs(theta_pairs(t, t, Band(-1, 1), 4, where, ("array(s_day, date_add(s_day, 1))", "r_day"))) == pairs(theta_pairs(t, t, Band(-1, 1), 4, where)) == [(1, 1), (1, 2), (2, 2), (2, 3), (3, 3)]
+
+
+def test_native_theta_has_an_equality(spark, sf):
+    text = joins.QUERIES["spark_native_theta"](spark, sf)._jdf.queryExecution().executedPlan().toString()
+    assert "SortMergeJoin [cell" in text and "NestedLoop" not in text and "Cartesian" not in text

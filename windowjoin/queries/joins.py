@@ -138,7 +138,7 @@ def _band_orders(spark, d):
 
 @query("band_orders_lineitem_dated", "SELECT o_orderkey AS s_key, l_orderkey AS r_key, CAST(round(o_totalprice * 100) AS BIGINT) AS s_value, CAST(round(l_extendedprice * 100) AS BIGINT) AS r_value FROM orders JOIN lineitem ON CAST(round(l_extendedprice * 100) AS BIGINT) BETWEEN CAST(round(o_totalprice * 100) AS BIGINT) - 5000 AND CAST(round(o_totalprice * 100) AS BIGINT) + 5000 AND date_diff('day', o_orderdate, l_shipdate) BETWEEN 0 AND 1")
 def _band_orders_dated(spark, d):
-    return theta_pairs(_orders(spark, d), _lines(spark, d), Band(-5000, 5000), 16384, "datediff(r_day, s_day) BETWEEN 0 AND 1").select(*JOINED.split(", "))
+    return theta_pairs(_orders(spark, d), _lines(spark, d), Band(-5000, 5000), 16384, "datediff(r_day, s_day) BETWEEN 0 AND 1", ("array(cast(s_day AS date), date_add(s_day, 1))", "cast(r_day AS date)")).select(*JOINED.split(", "))
 
 
 @query("equi_interval_orders_lineitem", "SELECT o_orderkey AS s_key, l_linenumber AS line, CAST(round(l_extendedprice * 100) AS BIGINT) AS r_value FROM orders JOIN lineitem ON o_orderkey = l_orderkey AND date_diff('day', o_orderdate, l_shipdate) BETWEEN 0 AND 30")

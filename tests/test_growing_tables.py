@@ -1,13 +1,16 @@
 """Queries whose work must grow with the result or the window and not with the product of the tables."""
 
+import duckdb
 import pytest
 from pyspark.sql import functions as F
 
 from windowjoin.config import CountWindow, Layout, TimeWindow
 from windowjoin.operators import baselines
 from windowjoin.operators.join import theta_pairs, window_join
-from windowjoin.predicates import Band
-from windowjoin.queries import joins
+from windowjoin.operators.sequence import prepare
+from windowjoin.plans import worker
+from windowjoin.predicates import Band, MultiBand, NotEqual
+from windowjoin.queries import experiments, joins, measures
 from windowjoin.queries.base import clicks_views
 
 
@@ -43,3 +46,32 @@ def test_dated_band_meets_by_day(spark, sf):
 def test_native_theta_has_an_equality(spark, sf):
     text = joins.QUERIES["spark_native_theta"](spark, sf)._jdf.queryExecution().executedPlan().toString()
     assert "SortMergeJoin [cell" in text and "NestedLoop" not in text and "Cartesian" not in text
+
+
+@pytest.mark.parametrize("name", ["range_records", "result_size_forms", "range_records_expanded"])
+def test_probes_without_a_window_go_to_spans(spark, sf, name):
+    """Not a row for every probe and subwindow through the exchange."""
+    text = measures.QUERIES[name](spark, sf)._jdf.queryExecution().executedPlan().toString()
+    assert "MapInArrow" in text and "hashpartitioning(side" not in text and "hashpartitioning(sub_id" not in text
+
+
+@pytest.mark.parametrize("pred", [Band(-300, 300), MultiBand(((-9, 5), (200, 300))), NotEqual()])
+@pytest.mark.parametrize("window", [None, CountWindow(30)])
+def test_lists_are_the_pairs_and_found_records_those_that_hold_something(ev, pred, window):
+    prepared, layout = prepare(ev, 16), Layout(16, 4)
+    lists = worker.run(prepared, pred, window, layout, "sorted", "lists").select("probe_side", "probe_key", F.explode("keys").alias("key"))
+    from_s = F.col("probe_side") == "S"
+    as_pairs = lists.select(F.when(from_s, F.col("probe_key")).otherwise(F.col("key")).alias("s_key"), F.when(from_s, F.col("key")).otherwise(F.col("probe_key")).alias("r_key"))
+    assert pairs(as_pairs) == pairs(worker.run(prepared, pred, window, layout, "sorted")) != []
+    every = worker.run(prepared, pred, window, layout, "sorted", "ranges")
+    some = worker.run(prepared, pred, window, layout, "sorted", "ranges", found=True)
+    assert sorted(some.collect()) == sorted((every if pred.negated else every.filter("id_end > id_start")).collect())
+
+
+def test_mirror_expanded_where_keys_do_not_follow_time(spark, sf, tmp_path):
+    """Copies of the events under shifted keys: who came later is not told by the keys."""
+    con = duckdb.connect()
+    con.execute(f"COPY (SELECT e.* REPLACE (event_id + 100000 * i.range AS event_id) FROM '{sf}/events.parquet' e, range(2) i) TO '{tmp_path}/events.parquet' (FORMAT parquet)")
+    con.execute(f"CREATE VIEW events AS SELECT * FROM '{tmp_path}/events.parquet'")
+    want = sorted(con.execute(f"SELECT s_key, r_key FROM ({experiments.SQL['mirror_expanded']})").fetchall())
+    assert pairs(experiments.QUERIES["mirror_expanded"](spark, str(tmp_path))) == want

@@ -12,6 +12,8 @@ from windowjoin.plans import worker
 from windowjoin.predicates import Band, MultiBand, NotEqual
 from windowjoin.queries import experiments, joins, measures
 from windowjoin.queries.base import clicks_views
+from windowjoin.sources import sinks
+from windowjoin.streaming import replay
 
 
 @pytest.fixture(scope="module")
@@ -75,3 +77,16 @@ def test_mirror_expanded_where_keys_do_not_follow_time(spark, sf, tmp_path):
     con.execute(f"CREATE VIEW events AS SELECT * FROM '{tmp_path}/events.parquet'")
     want = sorted(con.execute(f"SELECT s_key, r_key FROM ({experiments.SQL['mirror_expanded']})").fetchall())
     assert pairs(experiments.QUERIES["mirror_expanded"](spark, str(tmp_path))) == want
+
+
+def test_a_batch_stores_what_later_batches_can_want(ev, monkeypatch):
+    """And no folder for each subwindow that it brings."""
+    laid_down, write = [], sinks.subwindow_store
+    monkeypatch.setattr(sinks, "subwindow_store", lambda rows, path: (laid_down.append(rows.select("side", "sub_id").distinct().count()), write(rows, path)))
+    window, layout = CountWindow(20), Layout(5)
+    got, store = replay.microbatch_join(ev, Band(-900, 900), window, layout)
+    assert len(laid_down) > 1 and max(laid_down) <= 2 * layout.live(window)
+    assert pairs(got) == pairs(window_join(ev, Band(-900, 900), window, layout, "sorted")) != []
+    tops = {r.side: r.top for r in ev.groupBy("side").agg(F.max("rank").alias("top")).collect()}
+    left = {(r.side, r.sub_id) for r in replay.stored_subwindows(ev.sparkSession, store).collect()}
+    assert left == {(side, x) for side, top in tops.items() for x in range((top - 20) // 5, (top - 1) // 5 + 1)}

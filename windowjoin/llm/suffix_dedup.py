@@ -70,7 +70,7 @@ def difference_cover(q: int) -> tuple[int, np.ndarray]:
 
 
 class Sampler:
-    """Names of substrings of one text after the other."""
+    """Names of substrings of a group of texts that lie one behind the other; places are those in the group."""
 
     def __init__(self, span: int, q: int):
         self.span, (self.v, self.residues) = span, difference_cover(q)
@@ -87,26 +87,39 @@ class Sampler:
             self.up = np.concatenate((one, np.multiply.accumulate(np.full(size, BASE))))
             self.down = np.concatenate((one, np.multiply.accumulate(np.full(size, BACK))))
 
-    def read(self, text: bytes) -> None:
-        self.n = len(text)
+    def read(self, texts: list[bytes]) -> None:
+        size = np.array([len(t) for t in texts], np.int64)
+        self.stops = np.cumsum(size)
+        self.starts = self.stops - size
+        self.n = int(size.sum())
         self._powers(self.n)
-        self.data = np.frombuffer(text, np.uint8)
+        self.data = np.frombuffer(b"".join(texts), np.uint8)
         self.sums = np.zeros(self.n + 1, np.uint64)
         np.cumsum(BYTE_VALUE[self.data] * self.up[: self.n], out=self.sums[1:])
 
+    def bounds(self, p: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Where the texts of the places begin and end."""
+        text = np.searchsorted(self.stops, p, side="right")
+        return self.starts[text], self.stops[text]
+
     def name(self, start: np.ndarray, stop: np.ndarray) -> np.ndarray:
         return mixed((self.sums[stop] - self.sums[start]) * self.down[start] + np.uint64(1) * (stop - start).astype(np.uint64))
 
     def samples(self) -> np.ndarray:
-        p = (np.arange(0, self.n, self.v)[:, None] + self.residues).ravel()
-        return p[p + self.tuple <= self.n] if self.n >= self.span else p[:0]
+        long = self.stops - self.starts >= self.span
+        starts, stops = self.starts[long], self.stops[long]
+        periods = -(-(stops - starts) // self.v)
+        at = np.repeat(starts, periods) + self.v * common.ranges(np.zeros(len(periods), np.int64), periods)
+        p = (at[:, None] + self.residues).ravel()
+        return p[p + self.tuple <= np.repeat(stops, periods * len(self.residues))]
 
     def names(self, p: np.ndarray) -> np.ndarray:
         return self.name(p, p + self.tuple)
 
     def sides(self, p: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """How many context bytes there are before the tuple and behind it."""
-        return np.minimum(p, self.side), np.minimum(self.n - p - self.tuple, self.side)
+        start, stop = self.bounds(p)
+        return np.minimum(p - start, self.side), np.minimum(stop - p - self.tuple, self.side)
 
     def keys(self, p: np.ndarray) -> np.ndarray:
         """Refined names: tuple with contexts and the contexts' lengths."""
@@ -115,9 +128,18 @@ class Sampler:
 
     def contexts(self, p: np.ndarray) -> np.ndarray:
         """The side bytes before each tuple and behind it, zeros beyond the text."""
-        at = p[:, None] + np.concatenate((np.arange(-self.side, 0), np.arange(self.tuple, self.tuple + self.side)))
-        inside = (at >= 0) & (at < self.n)
-        return self.data[np.where(inside, at, 0)] * inside
+        if not len(p):
+            return np.zeros((0, 2 * self.side), np.uint8)
+        none = np.zeros(self.side, np.uint8)
+        around = np.lib.stride_tricks.sliding_window_view(np.concatenate((none, self.data, none)), 2 * self.side + self.tuple)
+        out = np.empty((len(p), 2 * self.side), np.uint8)
+        out[:, : self.side], out[:, self.side :] = around[p, : self.side], around[p, self.side + self.tuple :]
+        before, behind = self.sides(p)
+        edge = np.flatnonzero((before < self.side) | (behind < self.side))
+        far = np.arange(self.side)
+        inside = np.concatenate((far[::-1] < before[edge, None], far < behind[edge, None]), axis=1)
+        out[edge] *= inside
+        return out
 
 
 def neighbours(names: np.ndarray, contexts: np.ndarray, before: np.ndarray, behind: np.ndarray) -> np.ndarray:
@@ -182,7 +204,21 @@ def _unique(values: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
 
 def _rows(batches, *columns: str):
     for batch in batches:
-        yield from zip(*(batch.column(c).to_pylist() for c in columns), strict=True)
+        yield from zip(*((batch.column(c).cast(pa.binary()) if c == "text" else batch.column(c)).to_pylist() for c in columns), strict=True)
+
+
+def _groups(texts):
+    """The rows (digest, copies, bytes) in lists of a bounded number of bytes, one row at least:
+    numpy is called once a group, not once a text, of which most are short."""
+    group, size = [], 0
+    for row in texts:
+        if group and size + len(row[2]) > AT_ONCE // 8:
+            yield group
+            group, size = [], 0
+        group.append(row)
+        size += len(row[2])
+    if group:
+        yield group
 
 
 def _buckets(batches):
@@ -204,7 +240,7 @@ def _buckets(batches):
 def _once(rows):
     for digest, same in groupby(rows, key=lambda r: r[2]):
         first = next(same)
-        yield digest, first[3] + sum(r[3] for r in same), first[4].encode()
+        yield digest, first[3] + sum(r[3] for r in same), first[4]
 
 
 class Plan:
@@ -275,8 +311,8 @@ class Plan:
 
             for bucket, _, texts in _buckets(batches):
                 found, size = [], 0
-                for _, _, text in texts:
-                    sampler.read(text)
+                for group in _groups(texts):
+                    sampler.read([text for _, _, text in group])
                     found.append(sampler.names(sampler.samples()))
                     size += len(found[-1])
                     if size > AT_ONCE:
@@ -312,8 +348,8 @@ class Plan:
                     continue
                 cols: list[list] = [[] for _ in range(5)]
                 spans, n_spans, n_contexts = [], 0, 0
-                for _, _, text in texts:
-                    sampler.read(text)
+                for group in _groups(texts):
+                    sampler.read([text for _, _, text in group])
                     p = sampler.samples()
                     own = sampler.names(p)
                     at = np.minimum(np.searchsorted(known, own), len(known) - 1)
@@ -364,9 +400,10 @@ class Plan:
                 hot_names, hot_spans = known[is_hot], _sorted(told, SPANS)
                 keys, masks = _masks(told, sampler.v)
                 out, size = [], 0
-                for digest, copies, text in texts:
-                    out.append(row(digest, text, *_runs(sampler, text, copies, keys, masks, hot_names, hot_spans, words, enough), copies))
-                    size += len(text)
+                for group in _groups(texts):
+                    runs = _runs(sampler, group, keys, masks, hot_names, hot_spans, words, enough)
+                    out += [row(digest, text, *found, copies) for (digest, copies, text), found in zip(group, runs, strict=True)]
+                    size += sum(len(text) for _, _, text in group)
                     if size > 4 << 20:
                         yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True), kinds, strict=True)], names=columns)
                         out, size = [], 0
@@ -468,46 +505,63 @@ def _spans_near(sampler: Sampler, p: np.ndarray) -> np.ndarray:
 
 
 def _starts_near(sampler: Sampler, p: np.ndarray) -> np.ndarray:
-    starts = np.unique((p[:, None] - np.arange(sampler.v)).ravel())
-    return starts[(starts >= 0) & (starts + sampler.span <= sampler.n)]
+    start, stop = sampler.bounds(p)
+    first, last = np.maximum(p - sampler.v + 1, start), np.minimum(p, stop - sampler.span)
+    some = first <= last
+    turns = np.bincount(first[some], minlength=sampler.n + 1) - np.bincount(last[some] + 1, minlength=sampler.n + 1)
+    return np.flatnonzero(np.cumsum(turns))
 
 
-def _runs(sampler: Sampler, text: bytes, copies: int, keys: np.ndarray, masks: np.ndarray, hot_names: np.ndarray, hot_spans: np.ndarray, words: int = 0, enough: int = 400) -> tuple[np.ndarray, np.ndarray, int]:
-    """Maximal removed runs of a text, with ``words`` only of passages of so many words or ``enough``
-    bytes; and the length of its longest run of repeated bytes, whatever its words."""
+def _runs(sampler: Sampler, group: list[tuple], keys: np.ndarray, masks: np.ndarray, hot_names: np.ndarray, hot_spans: np.ndarray, words: int = 0, enough: int = 400) -> list[tuple[np.ndarray, np.ndarray, int]]:
+    """For each text of the group its maximal removed runs, with ``words`` only of passages of so many
+    words or ``enough`` bytes; and the length of its longest run of repeated bytes, whatever its words."""
     none = np.zeros(0, np.int64)
-    if len(text) < sampler.span or not (copies > 1 or len(keys) or len(hot_spans)):
-        return none, none, 0
-    if copies > 1:
-        whole = not words or len(text) >= enough or whole_words(text, 0, len(text)) >= words
-        return (np.array([0]), np.array([len(text)]), len(text)) if whole else (none, none, len(text))
-    sampler.read(text)
+    out, once = [(none, none, 0)] * len(group), []
+    for i, (_, copies, text) in enumerate(group):
+        if len(text) < sampler.span:
+            continue
+        if copies == 1:
+            once.append(i)
+        elif not words or len(text) >= enough or whole_words(text, 0, len(text)) >= words:
+            out[i] = np.array([0]), np.array([len(text)]), len(text)
+        else:
+            out[i] = none, none, len(text)
+    if not once or not (len(keys) or len(hot_spans)):
+        return out
+    sampler.read([group[i][2] for i in once])
     p = sampler.samples()
-    repeated = np.zeros(len(text), bool)
+    repeated = np.zeros(sampler.n, bool)
     if len(keys):
         own = sampler.keys(p)
         at = np.minimum(np.searchsorted(keys, own), len(keys) - 1)
-        hit = keys[at] == own
-        if hit.any():
-            row, k = np.nonzero(np.unpackbits(masks[at[hit]], axis=1, count=sampler.v))
-            starts = p[hit][row] - k
-            repeated[starts[(starts >= 0) & (starts + sampler.span <= sampler.n)]] = True
+        hit = np.flatnonzero(keys[at] == own)
+        start, stop = sampler.bounds(p[hit])
+        row, k = np.nonzero(np.unpackbits(masks[at[hit]], axis=1, count=sampler.v))
+        starts = p[hit][row] - k
+        repeated[starts[(starts >= start[row]) & (starts + sampler.span <= stop[row])]] = True
     if len(hot_spans):
-        own = sampler.names(p)
-        near = _starts_near(sampler, p[np.isin(own, hot_names)])
+        near = _starts_near(sampler, p[np.isin(sampler.names(p), hot_names)])
         repeated[near[np.isin(sampler.name(near, near + sampler.span), hot_spans)]] = True
     starts = np.flatnonzero(repeated)
-    if not len(starts):
-        return none, none, 0
+    cuts = np.searchsorted(starts, np.append(sampler.starts, sampler.n))
+    for j in np.flatnonzero(np.diff(cuts)).tolist():
+        i = once[j]
+        out[i] = _of_starts(starts[cuts[j] : cuts[j + 1]] - sampler.starts[j], group[i][2], sampler.span, words, enough)
+    return out
+
+
+def _of_starts(starts: np.ndarray, text: bytes, span: int, words: int, enough: int) -> tuple[np.ndarray, np.ndarray, int]:
+    """The runs of one text, of which these spans are repeated."""
+    none = np.zeros(0, np.int64)
     passages = np.split(starts, np.flatnonzero(np.diff(starts) > 1) + 1)  # a repeated passage starts spans without a gap
-    longest = max(map(len, passages)) - 1 + sampler.span
+    longest = max(map(len, passages)) - 1 + span
     if words:
-        stay = [p for p in passages if p[-1] + sampler.span - p[0] >= enough or whole_words(text, int(p[0]), int(p[-1]) + sampler.span) >= words]
+        stay = [p for p in passages if p[-1] + span - p[0] >= enough or whole_words(text, int(p[0]), int(p[-1]) + span) >= words]
         starts = np.concatenate([none, *stay])
         if not len(starts):
             return none, none, longest
-    apart = np.flatnonzero(np.diff(starts) > sampler.span)
-    return starts[np.concatenate(([0], apart + 1))], starts[np.concatenate((apart, [len(starts) - 1]))] + sampler.span, longest
+    apart = np.flatnonzero(np.diff(starts) > span)
+    return starts[np.concatenate(([0], apart + 1))], starts[np.concatenate((apart, [len(starts) - 1]))] + span, longest
 
 
 def whole_words(text: bytes, start: int, stop: int) -> int:

@@ -174,11 +174,17 @@ ROW_SCHEMA = "bucket int, kind int, digest string, copies long, text string, dat
 
 
 def _blocks(part: np.ndarray, bucket: int, kind: int, *cols: np.ndarray) -> list[tuple]:
-    """One packed block of the columns for each part."""
-    order = np.argsort(part, kind="stable")
-    sorted_part = part[order]
-    at = np.flatnonzero(np.concatenate(([True], sorted_part[1:] != sorted_part[:-1]))) if len(part) else []
-    return [(int(part[g[0]]), bucket, kind, b"".join(np.ascontiguousarray(c[g]).tobytes() for c in cols)) for g in np.split(order, at[1:])] if len(part) else []
+    """One packed block of the columns for each part; rows that are in order of parts stay where they are."""
+    if (part[1:] < part[:-1]).any():
+        order = np.argsort(part, kind="stable")
+        part, cols = part[order], [c[order] for c in cols]
+    cuts = np.flatnonzero(np.concatenate(([True], part[1:] != part[:-1], [True]))).tolist() if len(part) else []
+    return [(int(part[i]), bucket, kind, b"".join(c[i:j].tobytes() for c in cols)) for i, j in zip(cuts[:-1], cuts[1:], strict=True)]
+
+
+def _part(names: np.ndarray, parts: int) -> np.ndarray:
+    """The part of a name, by its upper bits: names in order are in order of parts."""
+    return ((names >> np.uint64(32)) * np.uint64(parts) >> np.uint64(32)).astype(np.int64)
 
 
 def _block_batch(rows: list[tuple]) -> pa.RecordBatch:
@@ -202,6 +208,31 @@ def _unique(values: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return distinct, index, n > 1
 
 
+def _distinct(values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct values in order and whether each occurs again, without the places that ``_unique`` sorts along."""
+    values = np.sort(values)
+    new = np.concatenate((np.ones(min(1, len(values)), bool), values[1:] != values[:-1]))
+    first = np.flatnonzero(new)
+    return values[first], np.diff(np.append(first, len(values))) > 1
+
+
+class Lookup:
+    """Places of values in sorted ones; most values are not there, which a table of upper bits tells."""
+
+    def __init__(self, known: np.ndarray):
+        bits = min(25, len(known).bit_length() + 3)
+        self.known, self.shift = known, np.uint64(64 - bits)
+        self.some = np.zeros(1 << bits, bool)
+        self.some[known >> self.shift] = True
+
+    def find(self, values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Indices of the values that are known, and their places."""
+        maybe = np.flatnonzero(self.some[values >> self.shift])
+        at = np.searchsorted(self.known, values[maybe])
+        hit = np.flatnonzero(self.known[np.minimum(at, len(self.known) - 1)] == values[maybe]) if len(self.known) else maybe[:0]
+        return maybe[hit], at[hit]
+
+
 def _rows(batches, *columns: str):
     for batch in batches:
         yield from zip(*((batch.column(c).cast(pa.binary()) if c == "text" else batch.column(c)).to_pylist() for c in columns), strict=True)
@@ -306,8 +337,8 @@ class Plan:
             sampler = Sampler(span, q)
 
             def block(found):
-                names, _, again = _unique(np.concatenate(found))
-                return _block_batch(_blocks((names % np.uint64(parts)).astype(np.int64), bucket, NAMES, names, again))
+                names, again = _distinct(np.concatenate(found))
+                return _block_batch(_blocks(_part(names, parts), bucket, NAMES, names, again))
 
             for bucket, _, texts in _buckets(batches):
                 found, size = [], 0
@@ -335,29 +366,29 @@ class Plan:
             def contexts_block(cols):
                 own, keys, before, behind, contexts = map(np.concatenate, cols)
                 keys, index, again = _unique(keys)
-                part = (own[index] % np.uint64(parts)).astype(np.int64)
-                return _block_batch(_blocks(part, bucket, CONTEXTS, own[index], keys, before[index].astype(np.uint16), behind[index].astype(np.uint16), again, contexts[index].astype(np.uint8)))
+                return _block_batch(_blocks(_part(own[index], parts), bucket, CONTEXTS, own[index], keys, before[index].astype(np.uint16), behind[index].astype(np.uint16), again, contexts[index].astype(np.uint8)))
 
             def spans_block(spans):
-                starts, _, again = _unique(np.concatenate(spans))
-                return _block_batch(_blocks((starts % np.uint64(parts)).astype(np.int64), bucket, SPANS, starts, again))
+                starts, again = _distinct(np.concatenate(spans))
+                return _block_batch(_blocks(_part(starts, parts), bucket, SPANS, starts, again))
 
             for bucket, told, texts in _buckets(batches):
                 known, is_hot = _known(told)
                 if not len(known):
                     continue
+                places = Lookup(known)
                 cols: list[list] = [[] for _ in range(5)]
                 spans, n_spans, n_contexts = [], 0, 0
                 for group in _groups(texts):
                     sampler.read([text for _, _, text in group])
                     p = sampler.samples()
                     own = sampler.names(p)
-                    at = np.minimum(np.searchsorted(known, own), len(known) - 1)
-                    hit = known[at] == own
-                    if len(near := _spans_near(sampler, p[hit & is_hot[at]])):
+                    hit, at = places.find(own)
+                    if len(near := _spans_near(sampler, p[hit[is_hot[at]]])):
                         spans.append(near)
                         n_spans += len(near)
-                    p, own = p[hit & ~is_hot[at]], own[hit & ~is_hot[at]]
+                    hit = hit[~is_hot[at]]
+                    p, own = p[hit], own[hit]
                     if len(p):
                         n_contexts += len(p)
                         for c, x in zip(cols, (own, sampler.keys(p), *sampler.sides(p), sampler.contexts(p)), strict=True):
@@ -399,9 +430,10 @@ class Plan:
                 known, is_hot = _known(told)
                 hot_names, hot_spans = known[is_hot], _sorted(told, SPANS)
                 keys, masks = _masks(told, sampler.v)
+                places = Lookup(keys)
                 out, size = [], 0
                 for group in _groups(texts):
-                    runs = _runs(sampler, group, keys, masks, hot_names, hot_spans, words, enough)
+                    runs = _runs(sampler, group, places, masks, hot_names, hot_spans, words, enough)
                     out += [row(digest, text, *found, copies) for (digest, copies, text), found in zip(group, runs, strict=True)]
                     size += sum(len(text) for _, _, text in group)
                     if size > 4 << 20:
@@ -512,7 +544,7 @@ def _starts_near(sampler: Sampler, p: np.ndarray) -> np.ndarray:
     return np.flatnonzero(np.cumsum(turns))
 
 
-def _runs(sampler: Sampler, group: list[tuple], keys: np.ndarray, masks: np.ndarray, hot_names: np.ndarray, hot_spans: np.ndarray, words: int = 0, enough: int = 400) -> list[tuple[np.ndarray, np.ndarray, int]]:
+def _runs(sampler: Sampler, group: list[tuple], keys: Lookup, masks: np.ndarray, hot_names: np.ndarray, hot_spans: np.ndarray, words: int = 0, enough: int = 400) -> list[tuple[np.ndarray, np.ndarray, int]]:
     """For each text of the group its maximal removed runs, with ``words`` only of passages of so many
     words or ``enough`` bytes; and the length of its longest run of repeated bytes, whatever its words."""
     none = np.zeros(0, np.int64)
@@ -526,18 +558,19 @@ def _runs(sampler: Sampler, group: list[tuple], keys: np.ndarray, masks: np.ndar
             out[i] = np.array([0]), np.array([len(text)]), len(text)
         else:
             out[i] = none, none, len(text)
-    if not once or not (len(keys) or len(hot_spans)):
+    if not once or not (len(masks) or len(hot_spans)):
         return out
     sampler.read([group[i][2] for i in once])
     p = sampler.samples()
     repeated = np.zeros(sampler.n, bool)
-    if len(keys):
-        own = sampler.keys(p)
-        at = np.minimum(np.searchsorted(keys, own), len(keys) - 1)
-        hit = np.flatnonzero(keys[at] == own)
-        start, stop = sampler.bounds(p[hit])
-        row, k = np.nonzero(np.unpackbits(masks[at[hit]], axis=1, count=sampler.v))
-        starts = p[hit][row] - k
+    if len(masks):
+        hit, at = keys.find(sampler.keys(p))
+        whole = (masks[at] == np.packbits(np.ones(sampler.v, bool))).all(axis=1)
+        repeated[_starts_near(sampler, p[hit[whole]])] = True
+        places, at = p[hit[~whole]], at[~whole]
+        start, stop = sampler.bounds(places)
+        row, k = np.nonzero(np.unpackbits(masks[at], axis=1, count=sampler.v))
+        starts = places[row] - k
         repeated[starts[(starts >= start[row]) & (starts + sampler.span <= stop[row])]] = True
     if len(hot_spans):
         near = _starts_near(sampler, p[np.isin(sampler.names(p), hot_names)])

@@ -90,16 +90,34 @@ def no_op(ranked: DataFrame) -> None:
     ranked.write.format("noop").mode("overwrite").save()
 
 
+#: rows of S and of R that are met as one, and the least number of tasks that the pairs come from
+BLOCKS, TASKS = {"s": 32, "r": 128}, 64
+
+
+def _blocks(rows: DataFrame, side: str) -> DataFrame:
+    """Rows of a cell that are neighbours by value as one row, with their least and greatest value."""
+    value, fields = f"{side}_value", [c for c in rows.columns if c != "cell"]
+    placed = rows.repartition(max(TASKS, shuffle_width(rows.sparkSession)), "cell").sortWithinPartitions("cell", value)
+    numbered = placed.withColumn("block", F.expr(f"monotonically_increasing_id() div {BLOCKS[side]}"))
+    return numbered.groupBy("cell", "block").agg(F.min(value).alias(f"{side}_least"), F.max(value).alias(f"{side}_most"), F.collect_list(F.struct(*fields)).alias(side)).drop("block")
+
+
 def spark_native(s: DataFrame, r: DataFrame, pred: Predicate, width: int = 128) -> DataFrame:
     """The theta join of two tables as Spark plans it by itself. A band also says which value cells meet:
-    without an equality Spark compares every S with every R."""
+    without an equality Spark compares every S with every R. Blocks of tuples are joined and opened behind
+    the join, so that the same few R follow one S after the other: a column file then has few bytes a
+    pair. If all matches of an S came in one go, its pages would have as many different keys as rows."""
     test = pred.residual(F.col("s_value"), F.col("r_value"))
     if not isinstance(pred, Band):
         return s.join(r, test)
     (near,) = pred.bounds(F.col("s_value"))
     cells = F.sequence(F.floor(near.lo / width), F.floor(near.hi / width))
-    left = s.filter("s_value is not null").withColumn("cell", F.explode(cells))
-    return _met(left, r.withColumn("cell", F.floor(F.col("r_value") / width)), ["cell"]).filter(test).drop("cell")
+    left = _blocks(s.filter("s_value is not null").withColumn("cell", F.explode(cells)), "s")
+    right = _blocks(r.filter("r_value is not null").withColumn("cell", F.floor(F.col("r_value") / width)), "r")
+    (first,), (last,) = pred.bounds(F.col("s_least")), pred.bounds(F.col("s_most"))
+    met = left.join(right.hint("merge"), "cell").filter((F.col("r_most") >= first.lo) & (F.col("r_least") <= last.hi))
+    opened = met.select(F.explode("s").alias("s"), "r").select("s", F.explode("r").alias("r"))
+    return opened.select("s.*", "r.*").filter(test)
 
 
 def asof_join(ranked: DataFrame) -> DataFrame:

@@ -116,6 +116,8 @@ def spark_native(s: DataFrame, r: DataFrame, pred: Predicate, width: int = 128)
     right = _blocks(r.filter("r_value is not null").withColumn("cell", F.floor(F.col("r_value") / width)), "r")
     (first,), (last,) = pred.bounds(F.col("s_least")), pred.bounds(F.col("s_most"))
     met = left.join(right.hint("merge"), "cell").filter((F.col("r_most") >= first.lo) & (F.col("r_least") <= last.hi))
+    # a step without generated code: behind it a task holds the pairs of two blocks, not those of a whole S block
+    met = met.select("s", "r").coalesce(max(TASKS, shuffle_width(s.sparkSession)))
     opened = met.select(F.explode("s").alias("s"), "r").select("s", F.explode("r").alias("r"))
     return opened.select("s.*", "r.*").filter(test)
 
